@@ -40,6 +40,11 @@ class Scratch:
         self.paths[id(out)] = (path, out)
         return out
 
+    def free(self) -> None:
+        """Lets Spark delete the shuffle files of plans that are done with; it does so only when the driver collects its
+        garbage."""
+        self.spark.sparkContext._jvm.System.gc()
+
     def drop(self, df: DataFrame) -> None:
         path, _ = self.paths.pop(id(df), (None, None))
         if path:

@@ -26,7 +26,7 @@ from math import ceil
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import Scratch
@@ -108,13 +108,11 @@ def schemes(size: int, percent: int) -> list[int]:
     return sorted({max(1, 1 << max(0, s.bit_length() - 3)) for s in (own, most)})
 
 
-def signatures(s: np.ndarray, frequent: np.ndarray, percent: int) -> np.ndarray | None:
-    """Index entries of a sorted set, or None if its first tokens by hash are all rare (then they are the entries)."""
+def signatures(s: np.ndarray, frequent: np.ndarray, percent: int) -> tuple[np.ndarray, bool]:
+    """Index entries of a sorted set, and whether all are rare tokens."""
     need = missing(len(s), percent) + 1
     at = np.minimum(np.searchsorted(frequent, s), max(len(frequent) - 1, 0))
     common = frequent[at] == s if len(frequent) else np.zeros(len(s), bool)
-    if not common[:need].any():
-        return None
     rare, often = s[~common], s[common]
     out = [rare[:need]]
     if len(rare) < need:
@@ -135,32 +133,42 @@ def signatures(s: np.ndarray, frequent: np.ndarray, percent: int) -> np.ndarray
                 p = np.array(pairs, np.int64).astype(np.uint64)
                 h = p[:, 0] * np.uint64(MULS[0]) + p[:, 1] * np.uint64(MULS[1]) + np.uint64(classes)
                 out.append(-1 - (mixed(h) >> np.uint64(1)).astype(np.int64))
-    return np.unique(np.concatenate(out))
+    return np.unique(np.concatenate(out)), len(rare) >= need
 
 
 def _hint(df: DataFrame, rows: int):
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """(a, b, linked) of pairs of keys."""
-    x = pairs.join(sets.select(F.col("key").alias("b"), F.col("tokens").alias("_tb")), "b").join(sets.select(F.col("key").alias("a"), F.col("tokens").alias("_ta")), "a")
+def _verified(pairs: DataFrame, nodes: DataFrame, percent: int, scratch: Scratch) -> DataFrame:
+    """(a, b, linked) of pairs of keys; only the sets that the pairs name are moved."""
+    keys = scratch.keep(pairs.select(F.col("a").alias("key")).union(pairs.select("b")).distinct())
+    sets = scratch.keep(nodes.join(_hint(keys, keys.count()), "key", "left_semi").select("key", "head", "rest"))
+    side = lambda k: sets.select(F.col("key").alias(k), F.col("head").alias(f"h{k}"), F.col("rest").alias(f"r{k}"))
+    x = pairs.join(side("b"), "b").join(side("a"), "a")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for k in range(0, whole.num_rows, 500):
                 b = whole.slice(k, 500)
                 linked = []
-                for u, v in zip(b.column("_ta"), b.column("_tb"), strict=True):
-                    u, v = np.frombuffer(u.as_buffer(), np.int64), np.frombuffer(v.as_buffer(), np.int64)
+                for row in zip(b.column("ha"), b.column("ra"), b.column("hb"), b.column("rb"), strict=True):
+                    u, v = _whole(row[0], row[1]), _whole(row[2], row[3])
                     both = len(np.intersect1d(u, v, assume_unique=True))
                     linked.append(100 * both >= percent * (len(u) + len(v) - both))
                 yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(linked, pa.bool_())], ["a", "b", "linked"])
 
-    return x.select("a", "b", "_ta", "_tb").mapInArrow(run, "a binary, b binary, linked boolean")
+    out = scratch.keep(x.select("a", "b", "ha", "ra", "hb", "rb").mapInArrow(run, "a binary, b binary, linked boolean"))
+    scratch.drop(sets)
+    scratch.drop(keys)
+    return out
 
 
-def _close(a: str, b: str, percent: int):
+def _whole(head: pa.Scalar, rest: pa.Scalar) -> np.ndarray:
+    return np.concatenate([head.values.to_numpy(), np.frombuffer(rest.as_buffer(), np.int64)])
+
+
+def _close(a: str, b: str, percent: int) -> Column:
     """Sizes that a linked pair may have."""
     return (F.col(a) * 100 >= F.col(b) * percent) & (F.col(b) * 100 >= F.col(a) * percent)
 
@@ -176,7 +184,7 @@ def _frequent_tokens(nodes: DataFrame, scratch: Scratch) -> np.ndarray:
 
 
 def _index(nodes: DataFrame, frequent: np.ndarray, percent: int, scratch: Scratch) -> DataFrame:
-    """(sig, key, size, plain) of entries that at least two sets have. plain: the set has no frequent token in its head."""
+    """(sig, key, size, plain) of entries that at least two sets have. plain: all entries of the set are rare tokens."""
     entries = nodes.select("key", "size", F.col("head").alias("sigs"), F.lit(True).alias("plain"))
     if len(frequent):
         common = nodes.sparkSession.sparkContext.broadcast(frequent)
@@ -186,24 +194,27 @@ def _index(nodes: DataFrame, frequent: np.ndarray, percent: int, scratch: Scratc
             for whole in batches:
                 for k in range(0, whole.num_rows, 1000):
                     b = whole.slice(k, 1000)
-                    at, sigs, heads = [], [], b.column("head")
+                    at, sigs, plain, heads = [], [], [], b.column("head")
                     flat, ends = heads.flatten().to_numpy(zero_copy_only=False), np.cumsum(np.array([len(h) for h in heads], np.int64))
                     hit = frequent[np.minimum(np.searchsorted(frequent, flat), len(frequent) - 1)] == flat
                     n = np.add.reduceat(hit.astype(np.int64), np.concatenate([[0], ends[:-1]])) if len(ends) else []
                     for i in np.flatnonzero(n):
-                        s = np.concatenate([heads[int(i)].values.to_numpy(), np.frombuffer(b.column("rest")[int(i)].as_buffer(), np.int64)])
+                        got, rare = signatures(_whole(heads[int(i)], b.column("rest")[int(i)]), frequent, percent)
                         at.append(int(i))
-                        sigs.append(signatures(s, frequent, percent))
+                        sigs.append(got)
+                        plain.append(rare)
                     if at:
                         take = pa.array(at, pa.int64())
-                        yield pa.RecordBatch.from_arrays([b.column("key").take(take), b.column("size").take(take), pa.array(sigs, pa.list_(pa.int64()))], ["key", "size", "sigs"])
+                        yield pa.RecordBatch.from_arrays([b.column("key").take(take), b.column("size").take(take), pa.array(sigs, pa.list_(pa.int64())), pa.array(plain, pa.bool_())], ["key", "size", "sigs", "plain"])
 
-        again = scratch.keep(nodes.select("key", "size", "head", "rest").mapInArrow(run, "key binary, size int, sigs array<long>"))
+        again = scratch.keep(nodes.select("key", "size", "head", "rest").mapInArrow(run, "key binary, size int, sigs array<long>, plain boolean"))
         n = again.count()
-        entries = entries.join(_hint(again.select("key"), n), "key", "left_anti").unionByName(again.withColumn("plain", F.lit(False)))
+        entries = entries.join(_hint(again.select("key"), n), "key", "left_anti").unionByName(again)
     shared = scratch.keep(entries.select(F.explode("sigs").alias("sig")).groupBy("sig").count().where("count > 1").select("sig"))
     out = entries.select(F.explode("sigs").alias("sig"), "key", "size", "plain").join(_hint(shared, shared.count()), "sig")
-    return scratch.keep(out)
+    out = scratch.keep(out)
+    scratch.free()
+    return out
 
 
 def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int = 80) -> tuple[DataFrame, DataFrame, Scratch]:
@@ -211,78 +222,68 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
     if not 60 <= percent <= 100:
         raise ValueError("percent must be from 60 to 100")
     scratch = Scratch(df.sparkSession)
-    rows = scratch.keep(_sets(df.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text")), n, percent))
-    copies = scratch.keep(rows.where("key is not null").groupBy("key").agg(F.count("*").alias("_n"), F.min("_id").alias("_least")).where("_n > 1").select("key", "_least"))
+    rows = scratch.keep(_sets(df.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text")), n, percent).withColumn("_row", F.monotonically_increasing_id()))
+    first = F.min(F.struct("_id", "_row")).alias("_first")
+    copies = scratch.keep(rows.where("key is not null").groupBy("key").agg(F.count("*").alias("_n"), first).where("_n > 1").select("key", "_first"))
     known = rows.where("key is not null").join(_hint(copies, copies.count()), "key", "left")
-    nodes = known.where(F.col("_least").isNull() | F.col("_id").eqNullSafe(F.col("_least"))).drop("_least")
+    nodes = known.where("_first is null or _row = _first._row").drop("_first")
     index = _index(nodes, _frequent_tokens(nodes, scratch), percent, scratch)
 
-    wanted = scratch.keep(index.select("key").distinct())
-    few = wanted.count()
-    sets = nodes.join(_hint(wanted, few), "key").select("key", F.col("_id").alias("least"), "size", "head", "rest")
-
-    def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            tokens = [h.values.to_numpy().tobytes() + r.as_py() for h, r in zip(b.column("head"), b.column("rest"), strict=True)]
-            yield pa.RecordBatch.from_arrays([b.column("key"), b.column("least"), pa.array(tokens, pa.binary())], ["key", "least", "tokens"])
-
-    id_type = df.schema[id_col].dataType.simpleString()
-    sets = scratch.keep(sets.select("key", "least", "head", "rest").mapInArrow(whole, f"key binary, least {id_type}, tokens binary").dropDuplicates(["key"]))
-
-    tried: DataFrame | None = None
-    found = None
-    comps = None
+    tried = found = comps = None
     for turn in range(STAR_ROUNDS + 1):
         # Entries with the component of their set; only groups of more than one component have anything left to find.
-        at = index if comps is None else index.join(_hint(comps, few), index["key"] == comps["node"], "left").drop("node")
-        at = at.withColumn("comp", F.col("key") if comps is None else F.coalesce("component", "key")).drop("component")
+        at = index.withColumn("comp", F.col("key"))
         if comps is not None:
+            at = index.join(_hint(comps, comps.count()), index["key"] == comps["node"], "left").withColumn("comp", F.coalesce("component", "key")).drop("node", "component")
             open_ = at.groupBy("sig").agg(F.min("comp").alias("_x"), F.max("comp").alias("_y")).where("_x <> _y").select("sig")
-            at = at.join(open_, "sig", "left_semi")
-        at = scratch.keep(at)
+            at = scratch.keep(at.join(open_, "sig", "left_semi"))
         per = at.groupBy("sig").agg(F.count("*").alias("n"))
-        ask = F.coalesce(F.sum(F.col("n") * (F.col("n") - 1) / 2), F.lit(0.0))
-        possible, entries = per.agg(ask, F.coalesce(F.sum("n"), F.lit(0))).first()
+        possible, entries = per.agg(F.coalesce(F.sum(F.col("n") * (F.col("n") - 1) / 2), F.lit(0.0)), F.coalesce(F.sum("n"), F.lit(0))).first()
         if not entries:
             break
-        last = turn > 0 and (possible <= 4 * entries or turn == STAR_ROUNDS)
+        last = possible <= FREQUENT / 2 * entries or turn == STAR_ROUNDS
         if last:
             u, v = (at.select("sig", F.col("key").alias(k), F.col("comp").alias(f"c{k}"), F.col("size").alias(f"n{k}"), F.col("plain").alias(f"p{k}")) for k in "ab")
             pairs = u.join(v, "sig").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & _close("na", "nb", percent))
-            pairs = pairs.groupBy("a", "b").agg(F.count("*").alias("n"), F.first("na").alias("na"), F.first("nb").alias("nb"), F.first(F.col("pa") & F.col("pb")).alias("plain"))
-            pairs = pairs.where(~F.col("plain") | _enough(percent)).select("a", "b")
+            pairs = pairs.groupBy("a", "b", "na", "nb", "pa", "pb").agg(F.count("*").alias("n")).where(F.col("n") >= _shared(percent))
         else:
             order = F.xxhash64("key", F.lit(turn))
-            least = at.groupBy("sig").agg(F.min(F.struct(order.alias("o"), F.col("key").alias("a"), F.col("size").alias("na"), F.col("comp").alias("ca"))).alias("m")).select("sig", "m.a", "m.na", "m.ca")
-            met = at.select("sig", F.col("key").alias("b"), F.col("size").alias("nb"), F.col("comp").alias("cb")).join(least, "sig")
-            met = met.where((F.col("a") != F.col("b")) & (F.col("ca") != F.col("cb")) & _close("na", "nb", percent)).groupBy("a", "b").count()
-            pairs = met.groupBy("b").agg(F.max_by("a", "count").alias("a")).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+            least = F.min(F.struct(order.alias("o"), F.col("key").alias("a"), F.col("size").alias("na"), F.col("comp").alias("ca"), F.col("plain").alias("pa"))).alias("m")
+            least = at.groupBy("sig").agg(least).select("sig", "m.a", "m.na", "m.ca", "m.pa")
+            met = at.select("sig", F.col("key").alias("b"), F.col("size").alias("nb"), F.col("comp").alias("cb"), F.col("plain").alias("pb")).join(least, "sig")
+            met = met.where((F.col("a") != F.col("b")) & (F.col("ca") != F.col("cb")) & _close("na", "nb", percent)).groupBy("a", "b", "na", "nb", "pa", "pb").agg(F.count("*").alias("n"))
+            # Not all that two sets share is counted here, so this only says which pairs are worth trying first.
+            pairs = met.where(2 * F.col("n") >= _shared(percent)).groupBy("b").agg(F.max_by("a", "n").alias("a"))
+        pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
-        done = scratch.keep(_verified(pairs, sets, percent))
-        scratch.drop(at)
+        done = _verified(scratch.keep(pairs), nodes, percent, scratch)
+        if comps is not None:
+            scratch.drop(at)
         tried = done.select("a", "b") if tried is None else tried.unionByName(done.select("a", "b"))
         got = done.where("linked").select("a", "b")
         found = got if found is None else found.unionByName(got)
         comps = components(found, scratch)
+        scratch.free()
         if last:
             break
-    linked = comps if comps is not None else None
-    if linked is None:
-        return rows, copies.select("key", F.col("_least").alias("component_id")), scratch
-    owned = linked.join(sets.select(F.col("key").alias("node"), "least"), "node")
+    single = copies.select("key", F.col("_first._id").alias("component_id"))
+    if comps is None:
+        return rows, single, scratch
+    owned = nodes.select(F.col("key").alias("node"), F.col("_id").alias("least")).join(_hint(comps, comps.count()), "node")
+    owned = scratch.keep(owned)
     least = owned.groupBy("component").agg(F.min("least").alias("component_id"))
     named = owned.join(least, "component").select(F.col("node").alias("key"), "component_id")
-    out = copies.join(named, "key", "left_anti").select("key", F.col("_least").alias("component_id")).unionByName(named)
-    return rows, scratch.keep(out), scratch
+    return rows, scratch.keep(single.join(named, "key", "left_anti").unionByName(named)), scratch
 
 
-def _enough(percent: int):
-    """For two sets of rare tokens: the shared entries that a linked pair must have at least. The set whose head ends first
-    has all it shares of that head in the other's."""
+def _shared(percent: int) -> Column:
+    """Entries that a linked pair shares at least. A set whose entries are all rare, and end before the other's do, has all
+    that it shares of them among the other's; it lacks no more of them than of its whole."""
     overlap = F.ceil((F.col("na") + F.col("nb")) * percent / (100 + percent) - F.lit(1e-9))
     must = lambda n: n - F.ceil(n * percent / 100 - F.lit(1e-9)) + 1 - (n - overlap)
-    return F.col("n") >= F.least(must(F.col("na")), must(F.col("nb")))
+    a, b = must(F.col("na")), must(F.col("nb"))
+    return F.greatest(F.lit(1), F.when(F.col("pa") & F.col("pb"), F.least(a, b)).when(F.col("pa"), a).when(F.col("pb"), b).otherwise(F.lit(1)))
 
 
 def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, percent: int = 80) -> DataFrame:
