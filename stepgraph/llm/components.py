@@ -8,33 +8,39 @@ from pyspark.sql import functions as F
 from .common import Scratch
 
 
-def _stars(edges: DataFrame, large: bool) -> DataFrame:
-    """large: every node hangs its larger neighbours on its least one; small: a node hangs its smaller ones, and itself."""
-    if large:
-        both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        return both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-    down = edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-    least = down.groupBy("a").agg(F.min("b").alias("m"))
-    hung = down.join(least, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
+#: Up to so many links, what is joined with them is broadcast.
+BROADCAST_LINKS = 500_000
+LINKS_PER_TASK = 50_000
+
+
+def _large(edges: DataFrame, hint) -> DataFrame:
+    """Every node hangs its larger neighbours on the least node near it."""
+    both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
+    return both.where("b > a").join(hint(least), "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b")
+
+
+def _small(edges: DataFrame, hint) -> DataFrame:
+    """Every node hangs its smaller neighbours, and itself, on the least of them."""
+    least = edges.groupBy("a").agg(F.min("b").alias("m"))
+    hung = edges.join(hint(least), "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
     return hung.unionByName(least.select("a", F.col("m").alias("b"))).distinct()
 
 
 def components(links: DataFrame, scratch: Scratch, max_rounds: int = 60) -> DataFrame:
     """(node, component): the nodes of (a, b), each with the least node it reaches. Nodes may be of any ordered type."""
-    edges = scratch.keep(links.select("a", "b").where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
-    mark = lambda e: tuple(e.agg(F.count("*"), F.bit_xor(F.xxhash64("a", "b"))).first())
-    seen = mark(edges)
+    n = links.count()
+    hint = F.broadcast if n <= BROADCAST_LINKS else (lambda df: df)
+    tasks = n // LINKS_PER_TASK + 4
+    edges = links.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
     for _ in range(max_rounds):
-        if not seen[0]:
-            break
-        new = scratch.keep(_stars(_stars(edges, True), False))
-        now = mark(new)
+        new = scratch.keep(_small(_large(edges, hint), hint).coalesce(tasks))
         scratch.drop(edges)
         edges = new
-        if now == seen:
+        # Done once every node that isn't a root hangs on exactly one, and that is a root.
+        roots = edges.select(F.col("b").alias("a")).distinct().withColumn("root", F.lit(1))
+        if not edges.join(hint(roots), "a", "left").groupBy("a").agg(F.count("*").alias("n"), F.max("root").alias("root")).where("n > 1 or root = 1").limit(1).count():
             break
-        seen = now
     else:
         raise RuntimeError("components have not settled")
     return edges.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(edges.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())

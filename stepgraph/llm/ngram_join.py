@@ -34,11 +34,13 @@ from .components import components
 
 #: A token in more prefixes than this is frequent.
 FREQUENT = 16
+#: Frequency is counted over the first tokens by hash and a share more, as what takes a frequent token's place comes from there.
+WIDER = 1.3
 #: Tables of more rows than this are joined by shuffle, not by broadcast (40 MB or so).
 BROADCAST_ROWS = 1_000_000
 #: A longer list of frequent tokens is cut by counting fewer tokens as frequent.
 MAX_FREQUENT = 2_000_000
-STAR_ROUNDS, MEMO = 6, 400_000
+STAR_ROUNDS, MEMO = 4, 400_000
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 MULS = [pow(0x9E3779B97F4A7C15, 2 * i + 1, 1 << 64) for i in range(64)]
 
@@ -76,7 +78,7 @@ def missing(size: int, percent: int) -> int:
 
 
 def _sets(df: DataFrame, n: int, percent: int) -> DataFrame:
-    """(_id, size, key, head, rest): head has the first tokens by hash, rest the others as bytes."""
+    """(_id, size, key, head, rest): head has the first tokens by hash (the prefix and ``WIDER``), rest the others as bytes."""
     id_type = df.schema["_id"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -89,7 +91,7 @@ def _sets(df: DataFrame, n: int, percent: int) -> DataFrame:
                     s = token_set(text, n, memo)
                     size.append(len(s))
                     if len(s):
-                        cut = missing(len(s), percent) + 1
+                        cut = int(WIDER * (missing(len(s), percent) + 1)) + 1
                         key.append(xxhash.xxh3_128_digest(s.tobytes()))
                         head.append(s[:cut])
                         rest.append(s[cut:].tobytes())
@@ -173,46 +175,62 @@ def _close(a: str, b: str, percent: int) -> Column:
     return (F.col(a) * 100 >= F.col(b) * percent) & (F.col(b) * 100 >= F.col(a) * percent)
 
 
-def _frequent_tokens(nodes: DataFrame, scratch: Scratch) -> np.ndarray:
-    counts = scratch.keep(nodes.select(F.explode("head").alias("token")).groupBy("token").count().where(F.col("count") > FREQUENT))
-    bar = FREQUENT
+def _frequent_tokens(counts: DataFrame, bar: int) -> np.ndarray:
+    """Sorted tokens of (token, count) above the bar, or above a higher one that leaves few enough."""
     while counts.where(F.col("count") > bar).count() > MAX_FREQUENT:
         bar *= 2
-    got = counts.where(F.col("count") > bar).select("token").toPandas()["token"].to_numpy(np.int64)
-    scratch.drop(counts)
-    return np.sort(got)
+    return np.sort(counts.where(F.col("count") > bar).select("token").toPandas()["token"].to_numpy(np.int64))
+
 
+def _paired(nodes: DataFrame, frequent: np.ndarray, percent: int) -> DataFrame:
+    """(key, size, sigs, plain) of the sets with a frequent token in their prefix."""
+    common = nodes.sparkSession.sparkContext.broadcast(frequent)
 
-def _index(nodes: DataFrame, frequent: np.ndarray, percent: int, scratch: Scratch) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        frequent = common.value
+        for whole in batches:
+            for k in range(0, whole.num_rows, 1000):
+                b = whole.slice(k, 1000)
+                at, sigs, plain, heads = [], [], [], b.column("head")
+                flat, sizes = heads.flatten().to_numpy(zero_copy_only=False), b.column("size").to_numpy()
+                ends = np.cumsum(np.array([len(h) for h in heads], np.int64))
+                hits = np.concatenate([[0], np.cumsum(frequent[np.minimum(np.searchsorted(frequent, flat), len(frequent) - 1)] == flat)])
+                starts = np.concatenate([[0], ends[:-1]]).astype(np.int64)
+                prefix = np.array([missing(int(x), percent) + 1 for x in sizes], np.int64)
+                for i in np.flatnonzero(hits[starts + prefix] > hits[starts]).tolist():
+                    got, rare = signatures(_whole(heads[i], b.column("rest")[i]), frequent, percent)
+                    at.append(i)
+                    sigs.append(got)
+                    plain.append(rare)
+                if at:
+                    take = pa.array(at, pa.int64())
+                    yield pa.RecordBatch.from_arrays([b.column("key").take(take), b.column("size").take(take), pa.array(sigs, pa.list_(pa.int64())), pa.array(plain, pa.bool_())], ["key", "size", "sigs", "plain"])
+
+    return nodes.select("key", "size", "head", "rest").mapInArrow(run, "key binary, size int, sigs array<long>, plain boolean")
+
+
+def _index(nodes: DataFrame, percent: int, scratch: Scratch) -> DataFrame:
     """(sig, key, size, plain) of entries that at least two sets have. plain: all entries of the set are rare tokens."""
-    entries = nodes.select("key", "size", F.col("head").alias("sigs"), F.lit(True).alias("plain"))
-    if len(frequent):
-        common = nodes.sparkSession.sparkContext.broadcast(frequent)
-
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            frequent = common.value
-            for whole in batches:
-                for k in range(0, whole.num_rows, 1000):
-                    b = whole.slice(k, 1000)
-                    at, sigs, plain, heads = [], [], [], b.column("head")
-                    flat, ends = heads.flatten().to_numpy(zero_copy_only=False), np.cumsum(np.array([len(h) for h in heads], np.int64))
-                    hit = frequent[np.minimum(np.searchsorted(frequent, flat), len(frequent) - 1)] == flat
-                    n = np.add.reduceat(hit.astype(np.int64), np.concatenate([[0], ends[:-1]])) if len(ends) else []
-                    for i in np.flatnonzero(n):
-                        got, rare = signatures(_whole(heads[int(i)], b.column("rest")[int(i)]), frequent, percent)
-                        at.append(int(i))
-                        sigs.append(got)
-                        plain.append(rare)
-                    if at:
-                        take = pa.array(at, pa.int64())
-                        yield pa.RecordBatch.from_arrays([b.column("key").take(take), b.column("size").take(take), pa.array(sigs, pa.list_(pa.int64())), pa.array(plain, pa.bool_())], ["key", "size", "sigs", "plain"])
-
-        again = scratch.keep(nodes.select("key", "size", "head", "rest").mapInArrow(run, "key binary, size int, sigs array<long>, plain boolean"))
-        n = again.count()
-        entries = entries.join(_hint(again.select("key"), n), "key", "left_anti").unionByName(again)
-    shared = scratch.keep(entries.select(F.explode("sigs").alias("sig")).groupBy("sig").count().where("count > 1").select("sig"))
-    out = entries.select(F.explode("sigs").alias("sig"), "key", "size", "plain").join(_hint(shared, shared.count()), "sig")
-    out = scratch.keep(out)
+    counts = scratch.keep(nodes.select(F.explode("head").alias("token")).groupBy("token").count().where(F.col("count") > FREQUENT))
+    frequent = _frequent_tokens(counts, FREQUENT)
+    scratch.drop(counts)
+    scratch.free()
+    prefix = F.slice("head", F.lit(1), F.col("size") - F.ceil(F.col("size") * percent / 100 - F.lit(1e-9)).cast("int") + 1)
+    for again in range(3):
+        entries = nodes.select("key", "size", prefix.alias("sigs"), F.lit(True).alias("plain"))
+        if len(frequent):
+            paired = scratch.keep(_paired(nodes, frequent, percent))
+            entries = entries.join(_hint(paired.select("key"), paired.count()), "key", "left_anti").unionByName(paired)
+        shared = scratch.keep(entries.select(F.explode("sigs").alias("token")).groupBy("token").count().where("count > 1"))
+        scratch.free()
+        # Tokens that came in for frequent ones can turn out to be frequent themselves.
+        more = shared.where("token >= 0")
+        if again == 2 or not more.where(F.col("count") > 4 * FREQUENT).limit(1).count():
+            break
+        frequent = np.union1d(frequent, _frequent_tokens(more, 2 * FREQUENT))
+        scratch.drop(shared)
+    shared = shared.select(F.col("token").alias("sig"))
+    out = scratch.keep(entries.select(F.explode("sigs").alias("sig"), "key", "size", "plain").join(_hint(shared, shared.count()), "sig"))
     scratch.free()
     return out
 
@@ -227,7 +245,7 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
     copies = scratch.keep(rows.where("key is not null").groupBy("key").agg(F.count("*").alias("_n"), first).where("_n > 1").select("key", "_first"))
     known = rows.where("key is not null").join(_hint(copies, copies.count()), "key", "left")
     nodes = known.where("_first is null or _row = _first._row").drop("_first")
-    index = _index(nodes, _frequent_tokens(nodes, scratch), percent, scratch)
+    index = _index(nodes, percent, scratch)
 
     tried = found = comps = None
     for turn in range(STAR_ROUNDS + 1):
