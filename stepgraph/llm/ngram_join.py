@@ -41,6 +41,8 @@ BROADCAST_ROWS = 1_000_000
 #: A longer list of frequent tokens is cut by counting fewer tokens as frequent.
 MAX_FREQUENT = 2_000_000
 STAR_ROUNDS, MEMO = 4, 400_000
+#: Index groups above this meet their least set first; of smaller ones every pair is looked at.
+BIG = 4 * FREQUENT
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 MULS = [pow(0x9E3779B97F4A7C15, 2 * i + 1, 1 << 64) for i in range(64)]
 
@@ -77,31 +79,47 @@ def missing(size: int, percent: int) -> int:
     return size - ceil(percent * size / 100)
 
 
-def _sets(df: DataFrame, n: int, percent: int) -> DataFrame:
-    """(_id, size, key, head, rest): head has the first tokens by hash (the prefix and ``WIDER``), rest the others as bytes."""
-    id_type = df.schema["_id"]
+def _heads(df: DataFrame, n: int, percent: int) -> DataFrame:
+    """(_id, size, key, head) of (_id, _text): head has the set's first tokens by hash (the prefix and ``WIDER``)."""
+    id_type = df.schema["_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memo = Memo()
         for whole in batches:
             for k in range(0, whole.num_rows, 1000):
                 b = whole.slice(k, 1000)
-                size, key, head, rest = [], [], [], []
+                size, key, head = [], [], []
                 for text in b.column("_text").to_pylist():
                     s = token_set(text, n, memo)
                     size.append(len(s))
-                    if len(s):
-                        cut = int(WIDER * (missing(len(s), percent) + 1)) + 1
-                        key.append(xxhash.xxh3_128_digest(s.tobytes()))
-                        head.append(s[:cut])
-                        rest.append(s[cut:].tobytes())
-                    else:
-                        key.append(None)
-                        head.append(None)
-                        rest.append(None)
-                yield pa.RecordBatch.from_arrays([b.column("_id"), pa.array(size, pa.int32()), pa.array(key, pa.binary()), pa.array(head, pa.list_(pa.int64())), pa.array(rest, pa.binary())], ["_id", "size", "key", "head", "rest"])
+                    key.append(_key(s))
+                    head.append(s[: int(WIDER * (missing(len(s), percent) + 1)) + 1] if len(s) else None)
+                yield pa.RecordBatch.from_arrays([b.column("_id"), pa.array(size, pa.int32()), pa.array(key, pa.binary()), pa.array(head, pa.list_(pa.int64()))], ["_id", "size", "key", "head"])
 
-    return df.mapInArrow(run, f"_id {id_type.dataType.simpleString()}, size int, key binary, head array<long>, rest binary")
+    return df.mapInArrow(run, f"_id {id_type}, size int, key binary, head array<long>")
+
+
+def _key(s: np.ndarray) -> bytes | None:
+    return xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None
+
+
+def _token_sets(texts: DataFrame, wanted: DataFrame, n: int, scratch: Scratch) -> DataFrame:
+    """(key, tokens) of the sets that ``wanted`` (key, _id) names, made again from their texts: only these few move."""
+    wanted = scratch.keep(wanted)
+    rows = wanted.count()
+    few = texts.join(_hint(wanted.select("_id").distinct(), rows), "_id", "left_semi")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        memo = Memo()
+        for whole in batches:
+            for k in range(0, whole.num_rows, 500):
+                sets = [token_set(t, n, memo) for t in whole.column("_text").slice(k, 500).to_pylist()]
+                yield pa.RecordBatch.from_arrays([pa.array([_key(s) for s in sets], pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], ["key", "tokens"])
+
+    made = few.select("_text").mapInArrow(run, "key binary, tokens binary")
+    out = scratch.keep(made.join(_hint(wanted.select("key"), rows), "key", "left_semi").groupBy("key").agg(F.first("tokens").alias("tokens")))
+    scratch.drop(wanted)
+    return out
 
 
 def schemes(size: int, percent: int) -> list[int]:
@@ -142,11 +160,11 @@ def _hint(df: DataFrame, rows: int):
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df
 
 
-def _verified(pairs: DataFrame, nodes: DataFrame, percent: int, scratch: Scratch) -> DataFrame:
-    """(a, b, linked) of pairs of keys; only the sets that the pairs name are moved."""
+def _verified(pairs: DataFrame, texts: DataFrame, nodes: DataFrame, n: int, percent: int, scratch: Scratch) -> DataFrame:
+    """(a, b, linked) of pairs of keys."""
     keys = scratch.keep(pairs.select(F.col("a").alias("key")).union(pairs.select("b")).distinct())
-    sets = scratch.keep(nodes.join(_hint(keys, keys.count()), "key", "left_semi").select("key", "head", "rest"))
-    side = lambda k: sets.select(F.col("key").alias(k), F.col("head").alias(f"h{k}"), F.col("rest").alias(f"r{k}"))
+    sets = _token_sets(texts, nodes.select("key", "_id").join(_hint(keys, keys.count()), "key", "left_semi"), n, scratch)
+    side = lambda k: sets.select(F.col("key").alias(k), F.col("tokens").alias(f"t{k}"))
     x = pairs.join(side("b"), "b").join(side("a"), "a")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -154,22 +172,18 @@ def _verified(pairs: DataFrame, nodes: DataFrame, percent: int, scratch: Scratch
             for k in range(0, whole.num_rows, 500):
                 b = whole.slice(k, 500)
                 linked = []
-                for row in zip(b.column("ha"), b.column("ra"), b.column("hb"), b.column("rb"), strict=True):
-                    u, v = _whole(row[0], row[1]), _whole(row[2], row[3])
+                for u, v in zip(b.column("ta"), b.column("tb"), strict=True):
+                    u, v = np.frombuffer(u.as_buffer(), np.int64), np.frombuffer(v.as_buffer(), np.int64)
                     both = len(np.intersect1d(u, v, assume_unique=True))
                     linked.append(100 * both >= percent * (len(u) + len(v) - both))
                 yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(linked, pa.bool_())], ["a", "b", "linked"])
 
-    out = scratch.keep(x.select("a", "b", "ha", "ra", "hb", "rb").mapInArrow(run, "a binary, b binary, linked boolean"))
+    out = scratch.keep(x.select("a", "b", "ta", "tb").mapInArrow(run, "a binary, b binary, linked boolean"))
     scratch.drop(sets)
     scratch.drop(keys)
     return out
 
 
-def _whole(head: pa.Scalar, rest: pa.Scalar) -> np.ndarray:
-    return np.concatenate([head.values.to_numpy(), np.frombuffer(rest.as_buffer(), np.int64)])
-
-
 def _close(a: str, b: str, percent: int) -> Column:
     """Sizes that a linked pair may have."""
     return (F.col(a) * 100 >= F.col(b) * percent) & (F.col(b) * 100 >= F.col(a) * percent)
@@ -182,8 +196,17 @@ def _frequent_tokens(counts: DataFrame, bar: int) -> np.ndarray:
     return np.sort(counts.where(F.col("count") > bar).select("token").toPandas()["token"].to_numpy(np.int64))
 
 
-def _paired(nodes: DataFrame, frequent: np.ndarray, percent: int) -> DataFrame:
-    """(key, size, sigs, plain) of the sets with a frequent token in their prefix."""
+INDEXED = "key binary, size int, sigs array<long>, plain boolean"
+
+
+def _record(rows: list[tuple]) -> pa.RecordBatch:
+    key, size, sigs, plain = zip(*rows, strict=True)
+    return pa.RecordBatch.from_arrays([pa.array(key, pa.binary()), pa.array(size, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(plain, pa.bool_())], ["key", "size", "sigs", "plain"])
+
+
+def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int, percent: int, scratch: Scratch) -> DataFrame:
+    """(key, size, sigs, plain) of the sets with a frequent token in their prefix. Where the rest of the head has rare ones
+    enough to take their place, the set itself isn't needed."""
     common = nodes.sparkSession.sparkContext.broadcast(frequent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -191,25 +214,40 @@ def _paired(nodes: DataFrame, frequent: np.ndarray, percent: int) -> DataFrame:
         for whole in batches:
             for k in range(0, whole.num_rows, 1000):
                 b = whole.slice(k, 1000)
-                at, sigs, plain, heads = [], [], [], b.column("head")
-                flat, sizes = heads.flatten().to_numpy(zero_copy_only=False), b.column("size").to_numpy()
-                ends = np.cumsum(np.array([len(h) for h in heads], np.int64))
-                hits = np.concatenate([[0], np.cumsum(frequent[np.minimum(np.searchsorted(frequent, flat), len(frequent) - 1)] == flat)])
-                starts = np.concatenate([[0], ends[:-1]]).astype(np.int64)
-                prefix = np.array([missing(int(x), percent) + 1 for x in sizes], np.int64)
-                for i in np.flatnonzero(hits[starts + prefix] > hits[starts]).tolist():
-                    got, rare = signatures(_whole(heads[i], b.column("rest")[i]), frequent, percent)
-                    at.append(i)
-                    sigs.append(got)
-                    plain.append(rare)
-                if at:
-                    take = pa.array(at, pa.int64())
-                    yield pa.RecordBatch.from_arrays([b.column("key").take(take), b.column("size").take(take), pa.array(sigs, pa.list_(pa.int64())), pa.array(plain, pa.bool_())], ["key", "size", "sigs", "plain"])
-
-    return nodes.select("key", "size", "head", "rest").mapInArrow(run, "key binary, size int, sigs array<long>, plain boolean")
-
-
-def _index(nodes: DataFrame, percent: int, scratch: Scratch) -> DataFrame:
+                heads, sizes, keys, out = b.column("head"), b.column("size").to_pylist(), b.column("key"), []
+                flat = heads.flatten().to_numpy(zero_copy_only=False)
+                common_ = frequent[np.minimum(np.searchsorted(frequent, flat), len(frequent) - 1)] == flat
+                at = 0
+                for i, size in enumerate(sizes):
+                    here, need = len(heads[i]), missing(size, percent) + 1
+                    often = common_[at : at + here]
+                    if often[:need].any():
+                        head = flat[at : at + here]
+                        rare = head[~often][:need]
+                        if len(rare) == need:
+                            out.append((keys[i].as_py(), size, rare, True))
+                        elif here == size:
+                            out.append((keys[i].as_py(), size, *signatures(head, frequent, percent)))
+                        else:
+                            out.append((keys[i].as_py(), size, None, None))
+                    at += here
+                if out:
+                    yield _record(out)
+
+    def full(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        frequent = common.value
+        for b in batches:
+            sets = [np.frombuffer(t.as_buffer(), np.int64) for t in b.column("tokens")]
+            if sets:
+                yield _record([(k.as_py(), len(s), *signatures(s, frequent, percent)) for k, s in zip(b.column("key"), sets, strict=True)])
+
+    first = scratch.keep(nodes.select("key", "size", "head").mapInArrow(run, INDEXED))
+    open_ = first.where("sigs is null").select("key")
+    sets = _token_sets(texts, nodes.select("key", "_id").join(_hint(open_, first.count()), "key", "left_semi"), n, scratch)
+    return scratch.keep(first.where("sigs is not null").unionByName(sets.mapInArrow(full, INDEXED)))
+
+
+def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Scratch) -> DataFrame:
     """(sig, key, size, plain) of entries that at least two sets have. plain: all entries of the set are rare tokens."""
     counts = scratch.keep(nodes.select(F.explode("head").alias("token")).groupBy("token").count().where(F.col("count") > FREQUENT))
     frequent = _frequent_tokens(counts, FREQUENT)
@@ -219,15 +257,16 @@ def _index(nodes: DataFrame, percent: int, scratch: Scratch) -> DataFrame:
     for again in range(3):
         entries = nodes.select("key", "size", prefix.alias("sigs"), F.lit(True).alias("plain"))
         if len(frequent):
-            paired = scratch.keep(_paired(nodes, frequent, percent))
-            entries = entries.join(_hint(paired.select("key"), paired.count()), "key", "left_anti").unionByName(paired)
+            replaced = _replaced(nodes, texts, frequent, n, percent, scratch)
+            entries = entries.join(_hint(replaced.select("key"), replaced.count()), "key", "left_anti").unionByName(replaced)
         shared = scratch.keep(entries.select(F.explode("sigs").alias("token")).groupBy("token").count().where("count > 1"))
         scratch.free()
-        # Tokens that came in for frequent ones can turn out to be frequent themselves.
-        more = shared.where("token >= 0")
-        if again == 2 or not more.where(F.col("count") > 4 * FREQUENT).limit(1).count():
+        # Tokens that came in for frequent ones can turn out to be frequent themselves; if that costs much, they are made so.
+        hot = (F.col("token") >= 0) & (F.col("count") > BIG)
+        pairs, rows = shared.agg(F.sum(F.when(hot, F.col("count") * F.col("count") / 2)), F.sum("count")).first()
+        if again == 2 or not pairs or pairs <= 4 * rows:
             break
-        frequent = np.union1d(frequent, _frequent_tokens(more, 2 * FREQUENT))
+        frequent = np.union1d(frequent, _frequent_tokens(shared.where("token >= 0"), 2 * FREQUENT))
         scratch.drop(shared)
     shared = shared.select(F.col("token").alias("sig"))
     out = scratch.keep(entries.select(F.explode("sigs").alias("sig"), "key", "size", "plain").join(_hint(shared, shared.count()), "sig"))
@@ -240,12 +279,13 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
     if not 60 <= percent <= 100:
         raise ValueError("percent must be from 60 to 100")
     scratch = Scratch(df.sparkSession)
-    rows = scratch.keep(_sets(df.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text")), n, percent).withColumn("_row", F.monotonically_increasing_id()))
+    texts = df.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
+    rows = scratch.keep(_heads(texts, n, percent).withColumn("_row", F.monotonically_increasing_id()))
     first = F.min(F.struct("_id", "_row")).alias("_first")
     copies = scratch.keep(rows.where("key is not null").groupBy("key").agg(F.count("*").alias("_n"), first).where("_n > 1").select("key", "_first"))
     known = rows.where("key is not null").join(_hint(copies, copies.count()), "key", "left")
     nodes = known.where("_first is null or _row = _first._row").drop("_first")
-    index = _index(nodes, percent, scratch)
+    index = _index(nodes, texts, n, percent, scratch)
 
     tried = found = comps = None
     for turn in range(STAR_ROUNDS + 1):
@@ -256,15 +296,18 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
             open_ = at.groupBy("sig").agg(F.min("comp").alias("_x"), F.max("comp").alias("_y")).where("_x <> _y").select("sig")
             at = scratch.keep(at.join(open_, "sig", "left_semi"))
         per = at.groupBy("sig").agg(F.count("*").alias("n"))
-        possible, entries = per.agg(F.coalesce(F.sum(F.col("n") * (F.col("n") - 1) / 2), F.lit(0.0)), F.coalesce(F.sum("n"), F.lit(0))).first()
+        big = F.col("n") > BIG
+        possible, entries = per.agg(F.coalesce(F.sum(F.when(big, F.col("n") * (F.col("n") - 1) / 2)), F.lit(0.0)), F.coalesce(F.sum("n"), F.lit(0))).first()
         if not entries:
             break
-        last = possible <= FREQUENT / 2 * entries or turn == STAR_ROUNDS
+        last = possible <= 4 * entries or turn == STAR_ROUNDS
         if last:
             u, v = (at.select("sig", F.col("key").alias(k), F.col("comp").alias(f"c{k}"), F.col("size").alias(f"n{k}"), F.col("plain").alias(f"p{k}")) for k in "ab")
             pairs = u.join(v, "sig").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & _close("na", "nb", percent))
             pairs = pairs.groupBy("a", "b", "na", "nb", "pa", "pb").agg(F.count("*").alias("n")).where(F.col("n") >= _shared(percent))
         else:
+            groups = scratch.keep(per.where(big).select("sig"))
+            at = scratch.keep(at.join(_hint(groups, groups.count()), "sig", "left_semi"))
             order = F.xxhash64("key", F.lit(turn))
             least = F.min(F.struct(order.alias("o"), F.col("key").alias("a"), F.col("size").alias("na"), F.col("comp").alias("ca"), F.col("plain").alias("pa"))).alias("m")
             least = at.groupBy("sig").agg(least).select("sig", "m.a", "m.na", "m.ca", "m.pa")
@@ -275,9 +318,8 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
         pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
-        done = _verified(scratch.keep(pairs), nodes, percent, scratch)
-        if comps is not None:
-            scratch.drop(at)
+        pairs = scratch.keep(pairs)
+        done = _verified(pairs, texts, nodes, n, percent, scratch)
         tried = done.select("a", "b") if tried is None else tried.unionByName(done.select("a", "b"))
         got = done.where("linked").select("a", "b")
         found = got if found is None else found.unionByName(got)
