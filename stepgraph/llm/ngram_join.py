@@ -40,7 +40,7 @@ WIDER = 1.3
 BROADCAST_ROWS = 1_000_000
 #: A longer list of frequent tokens is cut by counting fewer tokens as frequent.
 MAX_FREQUENT = 2_000_000
-STAR_ROUNDS, MEMO = 4, 400_000
+STAR_ROUNDS, MEMO = 3, 400_000
 #: Index groups above this meet their least set first; of smaller ones every pair is looked at.
 BIG = 4 * FREQUENT
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
@@ -128,8 +128,8 @@ def schemes(size: int, percent: int) -> list[int]:
     return sorted({max(1, 1 << max(0, s.bit_length() - 3)) for s in (own, most)})
 
 
-def signatures(s: np.ndarray, frequent: np.ndarray, percent: int) -> tuple[np.ndarray, bool]:
-    """Index entries of a sorted set, and whether all are rare tokens."""
+def signatures(s: np.ndarray, frequent: np.ndarray, percent: int) -> tuple[np.ndarray, int | None]:
+    """Index entries of a sorted set, and how many frequent tokens it has, or None if all entries are rare tokens."""
     need = missing(len(s), percent) + 1
     at = np.minimum(np.searchsorted(frequent, s), max(len(frequent) - 1, 0))
     common = frequent[at] == s if len(frequent) else np.zeros(len(s), bool)
@@ -153,7 +153,7 @@ def signatures(s: np.ndarray, frequent: np.ndarray, percent: int) -> tuple[np.nd
                 p = np.array(pairs, np.int64).astype(np.uint64)
                 h = p[:, 0] * np.uint64(MULS[0]) + p[:, 1] * np.uint64(MULS[1]) + np.uint64(classes)
                 out.append(-1 - (mixed(h) >> np.uint64(1)).astype(np.int64))
-    return np.unique(np.concatenate(out)), len(rare) >= need
+    return np.unique(np.concatenate(out)), None if len(rare) >= need else len(often)
 
 
 def _hint(df: DataFrame, rows: int):
@@ -196,16 +196,16 @@ def _frequent_tokens(counts: DataFrame, bar: int) -> np.ndarray:
     return np.sort(counts.where(F.col("count") > bar).select("token").toPandas()["token"].to_numpy(np.int64))
 
 
-INDEXED = "key binary, size int, sigs array<long>, plain boolean"
+INDEXED = "key binary, size int, sigs array<long>, often int"
 
 
 def _record(rows: list[tuple]) -> pa.RecordBatch:
-    key, size, sigs, plain = zip(*rows, strict=True)
-    return pa.RecordBatch.from_arrays([pa.array(key, pa.binary()), pa.array(size, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(plain, pa.bool_())], ["key", "size", "sigs", "plain"])
+    key, size, sigs, often = zip(*rows, strict=True)
+    return pa.RecordBatch.from_arrays([pa.array(key, pa.binary()), pa.array(size, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(often, pa.int32())], ["key", "size", "sigs", "often"])
 
 
 def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int, percent: int, scratch: Scratch) -> DataFrame:
-    """(key, size, sigs, plain) of the sets with a frequent token in their prefix. Where the rest of the head has rare ones
+    """(key, size, sigs, often) of the sets with a frequent token in their prefix. Where the rest of the head has rare ones
     enough to take their place, the set itself isn't needed."""
     common = nodes.sparkSession.sparkContext.broadcast(frequent)
 
@@ -225,7 +225,7 @@ def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int,
                         head = flat[at : at + here]
                         rare = head[~often][:need]
                         if len(rare) == need:
-                            out.append((keys[i].as_py(), size, rare, True))
+                            out.append((keys[i].as_py(), size, rare, None))
                         elif here == size:
                             out.append((keys[i].as_py(), size, *signatures(head, frequent, percent)))
                         else:
@@ -248,14 +248,15 @@ def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int,
 
 
 def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Scratch) -> DataFrame:
-    """(sig, key, size, plain) of entries that at least two sets have. plain: all entries of the set are rare tokens."""
+    """(sig, key, size, often) of entries that at least two sets have. often: the set's frequent tokens, null if all its
+    entries are rare ones. Rare tokens are 0 or more, pairs of frequent ones below 0."""
     counts = scratch.keep(nodes.select(F.explode("head").alias("token")).groupBy("token").count().where(F.col("count") > FREQUENT))
     frequent = _frequent_tokens(counts, FREQUENT)
     scratch.drop(counts)
     scratch.free()
     prefix = F.slice("head", F.lit(1), F.col("size") - F.ceil(F.col("size") * percent / 100 - F.lit(1e-9)).cast("int") + 1)
     for again in range(3):
-        entries = nodes.select("key", "size", prefix.alias("sigs"), F.lit(True).alias("plain"))
+        entries = nodes.select("key", "size", prefix.alias("sigs"), F.lit(None).cast("int").alias("often"))
         if len(frequent):
             replaced = _replaced(nodes, texts, frequent, n, percent, scratch)
             entries = entries.join(_hint(replaced.select("key"), replaced.count()), "key", "left_anti").unionByName(replaced)
@@ -269,7 +270,7 @@ def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Sc
         frequent = np.union1d(frequent, _frequent_tokens(shared.where("token >= 0"), 2 * FREQUENT))
         scratch.drop(shared)
     shared = shared.select(F.col("token").alias("sig"))
-    out = scratch.keep(entries.select(F.explode("sigs").alias("sig"), "key", "size", "plain").join(_hint(shared, shared.count()), "sig"))
+    out = scratch.keep(entries.select(F.explode("sigs").alias("sig"), "key", "size", "often").join(_hint(shared, shared.count()), "sig"))
     scratch.free()
     return out
 
@@ -295,26 +296,31 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
             at = index.join(_hint(comps, comps.count()), index["key"] == comps["node"], "left").withColumn("comp", F.coalesce("component", "key")).drop("node", "component")
             open_ = at.groupBy("sig").agg(F.min("comp").alias("_x"), F.max("comp").alias("_y")).where("_x <> _y").select("sig")
             at = scratch.keep(at.join(open_, "sig", "left_semi"))
-        per = at.groupBy("sig").agg(F.count("*").alias("n"))
-        big = F.col("n") > BIG
-        possible, entries = per.agg(F.coalesce(F.sum(F.when(big, F.col("n") * (F.col("n") - 1) / 2)), F.lit(0.0)), F.coalesce(F.sum("n"), F.lit(0))).first()
+        # Of two linked sets of mostly frequent tokens the smaller one has at least 2p / (100 + p) of its own in the other.
+        light = (F.col("sig") < 0) & (F.col("often") * (100 + percent) >= F.col("size") * (2 * percent))
+        per = at.groupBy("sig").agg(F.count("*").alias("n"), F.sum(light.cast("long")).alias("light"))
+        big = (F.col("sig") < 0) & (F.col("n") > BIG) & (F.col("light") > 0)
+        possible, entries = per.agg(F.coalesce(F.sum(F.when(big, F.col("n") * F.col("light"))), F.lit(0)), F.coalesce(F.sum("n"), F.lit(0))).first()
         if not entries:
             break
         last = possible <= 4 * entries or turn == STAR_ROUNDS
+        side = lambda x, k: x.select("sig", F.col("key").alias(k), F.col("comp").alias(f"c{k}"), F.col("size").alias(f"n{k}"), F.col("often").alias(f"f{k}"))  # noqa: B023, E731
+        apart = (F.col("ca") != F.col("cb")) & _close("na", "nb", percent)
+        covered = _overlap(percent) <= F.least("fa", "fb")
         if last:
-            u, v = (at.select("sig", F.col("key").alias(k), F.col("comp").alias(f"c{k}"), F.col("size").alias(f"n{k}"), F.col("plain").alias(f"p{k}")) for k in "ab")
-            pairs = u.join(v, "sig").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & _close("na", "nb", percent))
-            pairs = pairs.groupBy("a", "b", "na", "nb", "pa", "pb").agg(F.count("*").alias("n")).where(F.col("n") >= _shared(percent))
+            rare = at.where("sig >= 0")
+            single = side(rare, "a").join(side(rare, "b"), "sig").where((F.col("a") < F.col("b")) & apart)
+            single = single.groupBy("a", "b", "na", "nb", "fa", "fb").agg(F.count("*").alias("n")).where(F.col("n") >= _shared(percent)).select("a", "b")
+            both = side(at.where(light), "a").join(side(at.where("sig < 0"), "b"), "sig").where((F.col("a") != F.col("b")) & apart & covered)
+            pairs = single.unionByName(both.select("a", "b"))
         else:
             groups = scratch.keep(per.where(big).select("sig"))
             at = scratch.keep(at.join(_hint(groups, groups.count()), "sig", "left_semi"))
             order = F.xxhash64("key", F.lit(turn))
-            least = F.min(F.struct(order.alias("o"), F.col("key").alias("a"), F.col("size").alias("na"), F.col("comp").alias("ca"), F.col("plain").alias("pa"))).alias("m")
-            least = at.groupBy("sig").agg(least).select("sig", "m.a", "m.na", "m.ca", "m.pa")
-            met = at.select("sig", F.col("key").alias("b"), F.col("size").alias("nb"), F.col("comp").alias("cb"), F.col("plain").alias("pb")).join(least, "sig")
-            met = met.where((F.col("a") != F.col("b")) & (F.col("ca") != F.col("cb")) & _close("na", "nb", percent)).groupBy("a", "b", "na", "nb", "pa", "pb").agg(F.count("*").alias("n"))
-            # Not all that two sets share is counted here, so this only says which pairs are worth trying first.
-            pairs = met.where(2 * F.col("n") >= _shared(percent)).groupBy("b").agg(F.max_by("a", "n").alias("a"))
+            least = F.min(F.struct(order.alias("o"), F.col("key").alias("a"), F.col("size").alias("na"), F.col("comp").alias("ca"), F.col("often").alias("fa"))).alias("m")
+            least = at.where(light).groupBy("sig").agg(least).select("sig", "m.a", "m.na", "m.ca", "m.fa")
+            met = side(at, "b").join(least, "sig").where((F.col("a") != F.col("b")) & apart & covered)
+            pairs = met.groupBy("b", "a").agg(F.count("*").alias("n")).groupBy("b").agg(F.max_by("a", "n").alias("a"))
         pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
@@ -337,13 +343,18 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
     return rows, scratch.keep(single.join(named, "key", "left_anti").unionByName(named)), scratch
 
 
+def _overlap(percent: int) -> Column:
+    """Tokens that two linked sets have in common at least."""
+    return F.ceil((F.col("na") + F.col("nb")) * percent / (100 + percent) - F.lit(1e-9))
+
+
 def _shared(percent: int) -> Column:
-    """Entries that a linked pair shares at least. A set whose entries are all rare, and end before the other's do, has all
-    that it shares of them among the other's; it lacks no more of them than of its whole."""
-    overlap = F.ceil((F.col("na") + F.col("nb")) * percent / (100 + percent) - F.lit(1e-9))
-    must = lambda n: n - F.ceil(n * percent / 100 - F.lit(1e-9)) + 1 - (n - overlap)
-    a, b = must(F.col("na")), must(F.col("nb"))
-    return F.greatest(F.lit(1), F.when(F.col("pa") & F.col("pb"), F.least(a, b)).when(F.col("pa"), a).when(F.col("pb"), b).otherwise(F.lit(1)))
+    """Rare entries that two linked sets share at least, if any. A set whose entries are all rare, and end before the other's
+    do, has all that it shares of them among the other's, and lacks no more of them than of its whole. Two sets with fewer
+    rare tokens than that have all of them among their entries, and can share no more frequent ones than either has."""
+    must = lambda n: n - F.ceil(n * percent / 100 - F.lit(1e-9)) + 1 - (n - _overlap(percent))
+    a, b, fa, fb = must(F.col("na")), must(F.col("nb")), F.col("fa"), F.col("fb")
+    return F.greatest(F.lit(1), F.when(fa.isNull() & fb.isNull(), F.least(a, b)).when(fa.isNull(), a).when(fb.isNull(), b).otherwise(_overlap(percent) - F.least(fa, fb)))
 
 
 def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, percent: int = 80) -> DataFrame:
