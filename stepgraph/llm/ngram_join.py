@@ -33,11 +33,14 @@ from .common import Scratch
 from .components import components
 
 #: A token in more prefixes than this is frequent.
-FREQUENT = 16
+FREQUENT = 8
 #: Frequency is counted over the first tokens by hash and a share more, as what takes a frequent token's place comes from there.
 WIDER = 1.3
 #: Tables of more rows than this are joined by shuffle, not by broadcast (40 MB or so).
 BROADCAST_ROWS = 1_000_000
+#: Tokens that more than one head has go to the executors as a sorted array (64 MB at most) to leave out all others early;
+#: with more of them than this nothing is left out before the index is counted.
+MAX_SHARED = 8_000_000
 #: A longer list of frequent tokens is cut by counting fewer tokens as frequent.
 MAX_FREQUENT = 2_000_000
 STAR_ROUNDS, MEMO = 3, 400_000
@@ -193,7 +196,31 @@ def _frequent_tokens(counts: DataFrame, bar: int) -> np.ndarray:
     """Sorted tokens of (token, count) above the bar, or above a higher one that leaves few enough."""
     while counts.where(F.col("count") > bar).count() > MAX_FREQUENT:
         bar *= 2
-    return np.sort(counts.where(F.col("count") > bar).select("token").toPandas()["token"].to_numpy(np.int64))
+    return _tokens(counts.where(F.col("count") > bar))
+
+
+def _tokens(df: DataFrame) -> np.ndarray:
+    return np.sort(df.select("token").toPandas()["token"].to_numpy(np.int64))
+
+
+def _shared_only(entries: DataFrame, shared: np.ndarray) -> DataFrame:
+    """Entries without the rare tokens that only one set can have."""
+    common = entries.sparkSession.sparkContext.broadcast(shared)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shared = common.value
+        for whole in batches:
+            for k in range(0, whole.num_rows, 2000):
+                b = whole.slice(k, 2000)
+                sigs = b.column("sigs")
+                flat, sizes = sigs.flatten().to_numpy(zero_copy_only=False), np.array([len(x) for x in sigs], np.int64)
+                keep = (flat < 0) | (shared[np.minimum(np.searchsorted(shared, flat), len(shared) - 1)] == flat) if len(shared) else flat < 0
+                ends = np.concatenate([[0], np.cumsum(keep)])[np.concatenate([[0], np.cumsum(sizes)])].astype(np.int32)
+                cut = pa.ListArray.from_arrays(pa.array(ends), pa.array(flat[keep]))
+                some = pa.array(np.flatnonzero(np.diff(ends)))
+                yield pa.RecordBatch.from_arrays([b.column("key").take(some), b.column("size").take(some), cut.take(some), b.column("often").take(some)], ["key", "size", "sigs", "often"])
+
+    return entries.select("key", "size", "sigs", "often").mapInArrow(run, INDEXED)
 
 
 INDEXED = "key binary, size int, sigs array<long>, often int"
@@ -204,9 +231,9 @@ def _record(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(key, pa.binary()), pa.array(size, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(often, pa.int32())], ["key", "size", "sigs", "often"])
 
 
-def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int, percent: int, scratch: Scratch) -> DataFrame:
-    """(key, size, sigs, often) of the sets with a frequent token in their prefix. Where the rest of the head has rare ones
-    enough to take their place, the set itself isn't needed."""
+def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+    """(key, size, sigs, often) of the sets with a frequent token in their prefix: first those whose head has rare ones enough
+    to take their place, then those that are made again as a whole."""
     common = nodes.sparkSession.sparkContext.broadcast(frequent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -244,33 +271,45 @@ def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int,
     first = scratch.keep(nodes.select("key", "size", "head").mapInArrow(run, INDEXED))
     open_ = first.where("sigs is null").select("key")
     sets = _token_sets(texts, nodes.select("key", "_id").join(_hint(open_, first.count()), "key", "left_semi"), n, scratch)
-    return scratch.keep(first.where("sigs is not null").unionByName(sets.mapInArrow(full, INDEXED)))
+    return scratch.keep(first.where("sigs is not null")), scratch.keep(sets.mapInArrow(full, INDEXED))
 
 
 def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Scratch) -> DataFrame:
     """(sig, key, size, often) of entries that at least two sets have. often: the set's frequent tokens, null if all its
     entries are rare ones. Rare tokens are 0 or more, pairs of frequent ones below 0."""
-    counts = scratch.keep(nodes.select(F.explode("head").alias("token")).groupBy("token").count().where(F.col("count") > FREQUENT))
-    frequent = _frequent_tokens(counts, FREQUENT)
-    scratch.drop(counts)
+    counts = scratch.keep(nodes.select(F.explode("head").alias("token")).groupBy("token").count().where("count > 1"))
     scratch.free()
+    frequent = _frequent_tokens(counts, FREQUENT)
+    few = counts.count() <= MAX_SHARED // 2
+    known = _tokens(counts) if few else None
     prefix = F.slice("head", F.lit(1), F.col("size") - F.ceil(F.col("size") * percent / 100 - F.lit(1e-9)).cast("int") + 1)
     for again in range(3):
         entries = nodes.select("key", "size", prefix.alias("sigs"), F.lit(None).cast("int").alias("often"))
+        shared = known
         if len(frequent):
-            replaced = _replaced(nodes, texts, frequent, n, percent, scratch)
+            near, whole = _replaced(nodes, texts, frequent, n, percent, scratch)
+            replaced = near.unionByName(whole)
             entries = entries.join(_hint(replaced.select("key"), replaced.count()), "key", "left_anti").unionByName(replaced)
-        shared = scratch.keep(entries.select(F.explode("sigs").alias("token")).groupBy("token").count().where("count > 1"))
+            if few:  # the heads know nothing of what the whole sets bring in
+                more = whole.select(F.explode("sigs").alias("token")).where("token >= 0").distinct()
+                few = more.count() <= MAX_SHARED // 2
+                shared = np.union1d(known, _tokens(more)) if few else None
+        if few:
+            entries = _shared_only(entries, shared)
+        entries = scratch.keep(entries.select(F.explode("sigs").alias("sig"), "key", "size", "often"))
+        again_shared = scratch.keep(entries.groupBy("sig").count().where("count > 1"))
         scratch.free()
         # Tokens that came in for frequent ones can turn out to be frequent themselves; if that costs much, they are made so.
-        hot = (F.col("token") >= 0) & (F.col("count") > BIG)
-        pairs, rows = shared.agg(F.sum(F.when(hot, F.col("count") * F.col("count") / 2)), F.sum("count")).first()
+        hot = (F.col("sig") >= 0) & (F.col("count") > BIG)
+        pairs, rows = again_shared.agg(F.sum(F.when(hot, F.col("count") * F.col("count") / 2)), F.sum("count")).first()
         if again == 2 or not pairs or pairs <= 4 * rows:
             break
-        frequent = np.union1d(frequent, _frequent_tokens(shared.where("token >= 0"), 2 * FREQUENT))
-        scratch.drop(shared)
-    shared = shared.select(F.col("token").alias("sig"))
-    out = scratch.keep(entries.select(F.explode("sigs").alias("sig"), "key", "size", "often").join(_hint(shared, shared.count()), "sig"))
+        frequent = np.union1d(frequent, _frequent_tokens(again_shared.where("sig >= 0").select(F.col("sig").alias("token"), "count"), 2 * FREQUENT))
+        scratch.drop(entries)
+        scratch.drop(again_shared)
+    sigs = again_shared.select("sig")
+    out = scratch.keep(entries.join(_hint(sigs, sigs.count()), "sig"))
+    scratch.drop(entries)
     scratch.free()
     return out
 
