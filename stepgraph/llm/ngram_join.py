@@ -200,7 +200,7 @@ def _frequent_tokens(counts: DataFrame, bar: int) -> np.ndarray:
 
 
 def _tokens(df: DataFrame) -> np.ndarray:
-    return np.sort(df.select("token").toPandas()["token"].to_numpy(np.int64))
+    return np.sort(df.select("token").toArrow().column("token").to_numpy())
 
 
 def _shared_only(entries: DataFrame, shared: np.ndarray) -> DataFrame:
