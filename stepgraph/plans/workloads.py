@@ -224,7 +224,7 @@ def balance(algo: str, make: Callable, c: float = 4.0) -> Query:
 
 add("balance_tour", balance("tour", lambda s, d: graph(s, d, "geo_tree")), "select true as messages_ok, true as rounds_ok")
 add("balance_flood", balance("flood", lambda s, d: generators.path(s, 48), c=2.0), "select true as messages_ok, false as rounds_ok")
-add("balance_diameter", balance("diameter", lambda s, d: generators.path(s, 32), c=2.0), "select false as messages_ok, false as rounds_ok")
+add("balance_diameter", balance("diameter", lambda s, d: generators.star(s, 32), c=4.0), "select false as messages_ok, true as rounds_ok")
 add("balance_hook_star", balance("hook", lambda s, d: generators.path(s, 64), c=4.0))
 # Harder workloads ---------------------------------------------------------------------------------------------------
 TRI = "with {e} select a.src as x, a.dst as y, b.dst as z from e a join e b on a.dst = b.src join e c on c.src = a.src and c.dst = b.dst where a.src < a.dst and a.dst < b.dst"
