@@ -231,9 +231,9 @@ def _record(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(key, pa.binary()), pa.array(size, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(often, pa.int32())], ["key", "size", "sigs", "often"])
 
 
-def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(key, size, sigs, often) of the sets with a frequent token in their prefix: first those whose head has rare ones enough
-    to take their place, then those that are made again as a whole."""
+    to take their place, then those that are made again as a whole; and these whole sets."""
     common = nodes.sparkSession.sparkContext.broadcast(frequent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -271,7 +271,18 @@ def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int,
     first = scratch.keep(nodes.select("key", "size", "head").mapInArrow(run, INDEXED))
     open_ = first.where("sigs is null").select("key")
     sets = _token_sets(texts, nodes.select("key", "_id").join(_hint(open_, first.count()), "key", "left_semi"), n, scratch)
-    return scratch.keep(first.where("sigs is not null")), scratch.keep(sets.mapInArrow(full, INDEXED))
+    return scratch.keep(first.where("sigs is not null")), scratch.keep(sets.mapInArrow(full, INDEXED)), sets
+
+
+def _all_tokens(sets: DataFrame) -> DataFrame:
+    """(token) of whole sets."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for t in b.column("tokens"):
+                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(t.as_buffer(), np.int64))], ["token"])
+
+    return sets.select("tokens").mapInArrow(run, "token long")
 
 
 def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Scratch) -> DataFrame:
@@ -283,11 +294,19 @@ def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Sc
     few = counts.count() <= MAX_SHARED // 2
     known = _tokens(counts) if few else None
     prefix = F.slice("head", F.lit(1), F.col("size") - F.ceil(F.col("size") * percent / 100 - F.lit(1e-9)).cast("int") + 1)
-    for again in range(3):
+    for again in range(4):
         entries = nodes.select("key", "size", prefix.alias("sigs"), F.lit(None).cast("int").alias("often"))
         shared = known
         if len(frequent):
-            near, whole = _replaced(nodes, texts, frequent, n, percent, scratch)
+            near, whole, sets = _replaced(nodes, texts, frequent, n, percent, scratch)
+            if again == 0:  # sets of mostly frequent tokens: what of the rest of them is frequent is counted before they are indexed
+                often = _all_tokens(sets).groupBy("token").count().where(F.col("count") > FREQUENT)
+                frequent = np.union1d(frequent, _frequent_tokens(scratch.keep(often), FREQUENT))
+                for old in (near, whole, sets):
+                    scratch.drop(old)
+                scratch.free()
+                continue
+            scratch.drop(sets)
             replaced = near.unionByName(whole)
             entries = entries.join(_hint(replaced.select("key"), replaced.count()), "key", "left_anti").unionByName(replaced)
             if few:  # the heads know nothing of what the whole sets bring in
@@ -302,7 +321,7 @@ def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Sc
         # Tokens that came in for frequent ones can turn out to be frequent themselves; if that costs much, they are made so.
         hot = (F.col("sig") >= 0) & (F.col("count") > BIG)
         pairs, rows = again_shared.agg(F.sum(F.when(hot, F.col("count") * F.col("count") / 2)), F.sum("count")).first()
-        if again == 2 or not pairs or pairs <= 4 * rows:
+        if again == 3 or not pairs or pairs <= 4 * rows:
             break
         frequent = np.union1d(frequent, _frequent_tokens(again_shared.where("sig >= 0").select(F.col("sig").alias("token"), "count"), 2 * FREQUENT))
         scratch.drop(entries)
