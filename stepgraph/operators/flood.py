@@ -75,7 +75,7 @@ def min_label(g: Graph, ledger: Ledger | None = None, arcs: DataFrame | None = N
     rounds = Rounds(g.spark, ledger)
     arcs, _ = rounds.cut((g.symmetrized().arcs() if arcs is None else arcs).select("src", "dst"))
     degrees = g.degrees() if ledger else None
-    near = arcs.groupBy(F.col("src").alias("id")).agg(F.min("dst").alias("m"))
+    near = arcs.groupBy(F.col("dst").alias("id")).agg(F.min("src").alias("m"))
     state, _ = rounds.cut(g.vertices.select("id").join(near, "id", "left").select("id", F.least("id", "m").alias("component"), F.lit(True).alias("changed")))
     while True:
         step = rounds.next()
