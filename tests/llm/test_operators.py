@@ -42,7 +42,8 @@ def test_urls(spark):
 
 def test_languages(spark, odd, none):
     got = queries.op2_language_id(spark, "/root/testdata/sf0.01").join(spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "lang"), "doc_id").where("held_out").collect()
-    assert np.mean([r.lang_pred == r.lang for r in got]) > 0.98 and all(0 <= r.score <= 1 for r in got) and not any(r.rejected for r in got)
+    assert np.mean([r.lang_pred == r.lang for r in got]) > 0.98 and all(0 <= r.score <= 1 for r in got)
+    assert np.mean([r.rejected for r in got]) < 0.01  # a text that changes its language half-way, and one of secrets
     model = langid.train(spark.read.parquet(f"{SF}/documents.parquet"))
     out = {r.doc_id: r for r in langid.identify(odd, model).collect()}
     assert out[1].lang_pred == out[2].lang_pred == "und" and out[1].rejected and out[4].lang_pred in model.langs
@@ -53,7 +54,8 @@ def test_kneser_ney_sums_to_one():
     counts = {"a": Counter("".join(x) for x in zip(*(("abcabdab" * 3)[i:] for i in range(langid.ORDER)), strict=False))}
     model = langid.kneser_ney(counts)
     letters = sorted({g[-1] for g in counts["a"]})
-    total = sum(np.exp(model.sums(np.array([ord(c) for c in "abc" + x], np.uint32), np.array([0]))[0][0, 0] - model.sums(np.array([ord(c) for c in "abc"], np.uint32), np.array([0]))[0][0, 0]) for x in letters)
+    logp = lambda t: model.sums(*langid.normal([t]))[0][0, 0]  # noqa: E731  a text stands behind its gaps
+    total = sum(np.exp(logp("abc" + x) - logp("abc")) for x in letters)
     assert 0.9 < total <= 1.0001
 
 
