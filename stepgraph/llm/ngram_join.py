@@ -12,7 +12,8 @@ What is frequent is counted over all prefixes. It only decides how sets are inde
 Links are verified on whole sets. First, each set meets the least set of its index groups (once or a few times), which
 costs no more than the index and joins groups of near copies; then every pair of an index group that is not yet in one
 component is verified as well. So no pair that could join two components is left out, and pairs inside one are not
-listed.
+listed. Pairs of mostly frequent sets, which may share one long passage, are met only where a bound allows a link: each such
+set carries the parities of its tokens in 256 buckets, and two sets differ in at least as many tokens as in parities.
 
 Cases: a text without words (or null) has an empty set and is linked with nothing; with fewer words than n, the whole
 sequence is one token; equal sets are one node; repeated rows and ids are fine; an empty table gives an empty result.
@@ -218,21 +219,36 @@ def _shared_only(entries: DataFrame, shared: np.ndarray) -> DataFrame:
                 ends = np.concatenate([[0], np.cumsum(keep)])[np.concatenate([[0], np.cumsum(sizes)])].astype(np.int32)
                 cut = pa.ListArray.from_arrays(pa.array(ends), pa.array(flat[keep]))
                 some = pa.array(np.flatnonzero(np.diff(ends)))
-                yield pa.RecordBatch.from_arrays([b.column("key").take(some), b.column("size").take(some), cut.take(some), b.column("often").take(some)], ["key", "size", "sigs", "often"])
+                yield pa.RecordBatch.from_arrays([b.column("key").take(some), b.column("size").take(some), cut.take(some), b.column("often").take(some), b.column("parity").take(some)], ["key", "size", "sigs", "often", "parity"])
 
-    return entries.select("key", "size", "sigs", "often").mapInArrow(run, INDEXED)
+    return entries.select("key", "size", "sigs", "often", "parity").mapInArrow(run, INDEXED)
 
 
-INDEXED = "key binary, size int, sigs array<long>, often int"
+PARITY = pa.struct([(f"w{i}", pa.int64()) for i in range(4)])
+PARITY_TYPE = "struct<w0: long, w1: long, w2: long, w3: long>"
+INDEXED = f"key binary, size int, sigs array<long>, often int, parity {PARITY_TYPE}"
+
+
+def parity(s: np.ndarray) -> dict[str, int]:
+    """Whether the set has an odd number of tokens in each of 256 buckets, as four words."""
+    bits = np.packbits(np.bincount(s & 255, minlength=256).astype(np.uint8) & 1, bitorder="little").view(np.int64)
+    return {f"w{i}": int(w) for i, w in enumerate(bits)}
+
+
+def _apart(a: str, b: str) -> Column:
+    """Tokens that are in one of two sets alone, at least: an odd bucket of one and an even one of the other differ in one."""
+    return sum((F.bit_count(F.col(f"{a}.w{i}").bitwiseXOR(F.col(f"{b}.w{i}"))) for i in range(1, 4)), F.bit_count(F.col(f"{a}.w0").bitwiseXOR(F.col(f"{b}.w0"))))
 
 
 def _record(rows: list[tuple]) -> pa.RecordBatch:
-    key, size, sigs, often = zip(*rows, strict=True)
-    return pa.RecordBatch.from_arrays([pa.array(key, pa.binary()), pa.array(size, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(often, pa.int32())], ["key", "size", "sigs", "often"])
+    """Of (key, size, entries, frequent tokens, whole set); the whole set may be None where there are no frequent tokens."""
+    key, size, sigs, often, sets = zip(*rows, strict=True)
+    odd = [None if o is None else parity(s) for o, s in zip(often, sets, strict=True)]
+    return pa.RecordBatch.from_arrays([pa.array(key, pa.binary()), pa.array(size, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(often, pa.int32()), pa.array(odd, PARITY)], ["key", "size", "sigs", "often", "parity"])
 
 
 def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(key, size, sigs, often) of the sets with a frequent token in their prefix: first those whose head has rare ones enough
+    """(key, size, sigs, often, parity) of the sets with a frequent token in their prefix: first those whose head has rare ones enough
     to take their place, then those that are made again as a whole; and these whole sets."""
     common = nodes.sparkSession.sparkContext.broadcast(frequent)
 
@@ -252,11 +268,11 @@ def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int,
                         head = flat[at : at + here]
                         rare = head[~often][:need]
                         if len(rare) == need:
-                            out.append((keys[i].as_py(), size, rare, None))
+                            out.append((keys[i].as_py(), size, rare, None, None))
                         elif here == size:
-                            out.append((keys[i].as_py(), size, *signatures(head, frequent, percent)))
+                            out.append((keys[i].as_py(), size, *signatures(head, frequent, percent), head))
                         else:
-                            out.append((keys[i].as_py(), size, None, None))
+                            out.append((keys[i].as_py(), size, None, None, None))
                     at += here
                 if out:
                     yield _record(out)
@@ -266,7 +282,7 @@ def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int,
         for b in batches:
             sets = [np.frombuffer(t.as_buffer(), np.int64) for t in b.column("tokens")]
             if sets:
-                yield _record([(k.as_py(), len(s), *signatures(s, frequent, percent)) for k, s in zip(b.column("key"), sets, strict=True)])
+                yield _record([(k.as_py(), len(s), *signatures(s, frequent, percent), s) for k, s in zip(b.column("key"), sets, strict=True)])
 
     first = scratch.keep(nodes.select("key", "size", "head").mapInArrow(run, INDEXED))
     open_ = first.where("sigs is null").select("key")
@@ -286,7 +302,7 @@ def _all_tokens(sets: DataFrame) -> DataFrame:
 
 
 def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Scratch) -> DataFrame:
-    """(sig, key, size, often) of entries that at least two sets have. often: the set's frequent tokens, null if all its
+    """(sig, key, size, often, parity) of entries that at least two sets have. often: the set's frequent tokens, null if all its
     entries are rare ones. Rare tokens are 0 or more, pairs of frequent ones below 0."""
     counts = scratch.keep(nodes.select(F.explode("head").alias("token")).groupBy("token").count().where("count > 1"))
     scratch.free()
@@ -295,7 +311,7 @@ def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Sc
     known = _tokens(counts) if few else None
     prefix = F.slice("head", F.lit(1), F.col("size") - F.ceil(F.col("size") * percent / 100 - F.lit(1e-9)).cast("int") + 1)
     for again in range(4):
-        entries = nodes.select("key", "size", prefix.alias("sigs"), F.lit(None).cast("int").alias("often"))
+        entries = nodes.select("key", "size", prefix.alias("sigs"), F.lit(None).cast("int").alias("often"), F.lit(None).cast(PARITY_TYPE).alias("parity"))
         shared = known
         if len(frequent):
             near, whole, sets = _replaced(nodes, texts, frequent, n, percent, scratch)
@@ -315,7 +331,7 @@ def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Sc
                 shared = np.union1d(known, _tokens(more)) if few else None
         if few:
             entries = _shared_only(entries, shared)
-        entries = scratch.keep(entries.select(F.explode("sigs").alias("sig"), "key", "size", "often"))
+        entries = scratch.keep(entries.select(F.explode("sigs").alias("sig"), "key", "size", "often", "parity"))
         again_shared = scratch.keep(entries.groupBy("sig").count().where("count > 1"))
         scratch.free()
         # Tokens that came in for frequent ones can turn out to be frequent themselves; if that costs much, they are made so.
@@ -362,21 +378,23 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
         if not entries:
             break
         last = possible <= 4 * entries or turn == STAR_ROUNDS
-        side = lambda x, k: x.select("sig", F.col("key").alias(k), F.col("comp").alias(f"c{k}"), F.col("size").alias(f"n{k}"), F.col("often").alias(f"f{k}"))  # noqa: B023, E731
+        side = lambda x, k: x.select("sig", F.col("key").alias(k), F.col("comp").alias(f"c{k}"), F.col("size").alias(f"n{k}"), F.col("often").alias(f"f{k}"), F.col("parity").alias(f"p{k}"))  # noqa: B023, E731
         apart = (F.col("ca") != F.col("cb")) & _close("na", "nb", percent)
-        covered = _overlap(percent) <= F.least("fa", "fb")
+        covered = (_overlap(percent) <= F.least("fa", "fb")) & (_apart("pa", "pb") <= F.col("na") + F.col("nb") - 2 * _overlap(percent))
         if last:
             rare = at.where("sig >= 0")
-            single = side(rare, "a").join(side(rare, "b"), "sig").where((F.col("a") < F.col("b")) & apart)
+            single = side(rare, "a").drop("pa").join(side(rare, "b").drop("pb"), "sig").where((F.col("a") < F.col("b")) & apart)
             single = single.groupBy("a", "b", "na", "nb", "fa", "fb").agg(F.count("*").alias("n")).where(F.col("n") >= _shared(percent)).select("a", "b")
             both = side(at.where(light), "a").join(side(at.where("sig < 0"), "b"), "sig").where((F.col("a") != F.col("b")) & apart & covered)
             pairs = single.unionByName(both.select("a", "b"))
         else:
             groups = scratch.keep(per.where(big).select("sig"))
             at = scratch.keep(at.join(_hint(groups, groups.count()), "sig", "left_semi"))
-            order = F.xxhash64("key", F.lit(turn))
-            least = F.min(F.struct(order.alias("o"), F.col("key").alias("a"), F.col("size").alias("na"), F.col("comp").alias("ca"), F.col("often").alias("fa"))).alias("m")
-            least = at.where(light).groupBy("sig").agg(least).select("sig", "m.a", "m.na", "m.ca", "m.fa")
+            # What a group has in common is frequent, so the set with the least besides is nearest to all; later, one of about the least.
+            own = 1 - F.col("often") / F.col("size")
+            order = F.struct(own if turn == 0 else F.floor(own * 16), F.xxhash64("key", F.lit(turn)))
+            least = F.min(F.struct(order.alias("o"), F.col("key").alias("a"), F.col("size").alias("na"), F.col("comp").alias("ca"), F.col("often").alias("fa"), F.col("parity").alias("pa"))).alias("m")
+            least = at.where(light).groupBy("sig").agg(least).select("sig", "m.a", "m.na", "m.ca", "m.fa", "m.pa")
             met = side(at, "b").join(least, "sig").where((F.col("a") != F.col("b")) & apart & covered)
             pairs = met.groupBy("b", "a").agg(F.count("*").alias("n")).groupBy("b").agg(F.max_by("a", "n").alias("a"))
         pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
