@@ -247,9 +247,9 @@ def _record(rows: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(key, pa.binary()), pa.array(size, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(often, pa.int32()), pa.array(odd, PARITY)], ["key", "size", "sigs", "often", "parity"])
 
 
-def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(key, size, sigs, often, parity) of the sets with a frequent token in their prefix: first those whose head has rare ones enough
-    to take their place, then those that are made again as a whole; and these whole sets."""
+def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+    """(key, size, sigs, often, parity) of the sets with a frequent token in their prefix, where sigs is null if their head
+    hasn't rare ones enough to take its place; and the whole of these, made again from their texts, as (key, tokens)."""
     common = nodes.sparkSession.sparkContext.broadcast(frequent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -277,6 +277,16 @@ def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int,
                 if out:
                     yield _record(out)
 
+    first = scratch.keep(nodes.select("key", "size", "head").mapInArrow(run, INDEXED))
+    open_ = first.where("sigs is null").select("key")
+    sets = _token_sets(texts, nodes.select("key", "_id").join(_hint(open_, first.count()), "key", "left_semi"), n, scratch)
+    return first, sets
+
+
+def _whole(sets: DataFrame, frequent: np.ndarray, percent: int) -> DataFrame:
+    """The rows of ``_replaced`` for whole sets."""
+    common = sets.sparkSession.sparkContext.broadcast(frequent)
+
     def full(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         frequent = common.value
         for b in batches:
@@ -284,10 +294,7 @@ def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int,
             if sets:
                 yield _record([(k.as_py(), len(s), *signatures(s, frequent, percent), s) for k, s in zip(b.column("key"), sets, strict=True)])
 
-    first = scratch.keep(nodes.select("key", "size", "head").mapInArrow(run, INDEXED))
-    open_ = first.where("sigs is null").select("key")
-    sets = _token_sets(texts, nodes.select("key", "_id").join(_hint(open_, first.count()), "key", "left_semi"), n, scratch)
-    return scratch.keep(first.where("sigs is not null")), scratch.keep(sets.mapInArrow(full, INDEXED)), sets
+    return sets.mapInArrow(full, INDEXED)
 
 
 def _all_tokens(sets: DataFrame) -> DataFrame:
@@ -312,18 +319,20 @@ def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Sc
     prefix = F.slice("head", F.lit(1), F.col("size") - F.ceil(F.col("size") * percent / 100 - F.lit(1e-9)).cast("int") + 1)
     for again in range(4):
         entries = nodes.select("key", "size", prefix.alias("sigs"), F.lit(None).cast("int").alias("often"), F.lit(None).cast(PARITY_TYPE).alias("parity"))
-        shared = known
+        shared, used = known, []
         if len(frequent):
-            near, whole, sets = _replaced(nodes, texts, frequent, n, percent, scratch)
+            near, sets = _replaced(nodes, texts, frequent, n, percent, scratch)
             if again == 0:  # sets of mostly frequent tokens: what of the rest of them is frequent is counted before they are indexed
                 often = _all_tokens(sets).groupBy("token").count().where(F.col("count") > FREQUENT)
                 frequent = np.union1d(frequent, _frequent_tokens(scratch.keep(often), FREQUENT))
-                for old in (near, whole, sets):
-                    scratch.drop(old)
+                scratch.drop(near)
+                scratch.drop(sets)
                 scratch.free()
                 continue
+            whole = scratch.keep(_whole(sets, frequent, percent))
             scratch.drop(sets)
-            replaced = near.unionByName(whole)
+            used = [near, whole]
+            replaced = near.where("sigs is not null").unionByName(whole)
             entries = entries.join(_hint(replaced.select("key"), replaced.count()), "key", "left_anti").unionByName(replaced)
             if few:  # the heads know nothing of what the whole sets bring in
                 more = whole.select(F.explode("sigs").alias("token")).where("token >= 0").distinct()
@@ -332,6 +341,8 @@ def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Sc
         if few:
             entries = _shared_only(entries, shared)
         entries = scratch.keep(entries.select(F.explode("sigs").alias("sig"), "key", "size", "often", "parity"))
+        for old in used:
+            scratch.drop(old)
         again_shared = scratch.keep(entries.groupBy("sig").count().where("count > 1"))
         scratch.free()
         # Tokens that came in for frequent ones can turn out to be frequent themselves; if that costs much, they are made so.
@@ -345,6 +356,8 @@ def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Sc
     sigs = again_shared.select("sig")
     out = scratch.keep(entries.join(_hint(sigs, sigs.count()), "sig"))
     scratch.drop(entries)
+    scratch.drop(again_shared)
+    scratch.drop(counts)
     scratch.free()
     return out
 
@@ -355,21 +368,27 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
         raise ValueError("percent must be from 60 to 100")
     scratch = Scratch(df.sparkSession)
     texts = df.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
-    rows = scratch.keep(_heads(texts, n, percent).withColumn("_row", F.monotonically_increasing_id()))
+    heads = scratch.keep(_heads(texts, n, percent).withColumn("_row", F.monotonically_increasing_id()))
+    rows = scratch.keep(heads.drop("head"))
     first = F.min(F.struct("_id", "_row")).alias("_first")
     copies = scratch.keep(rows.where("key is not null").groupBy("key").agg(F.count("*").alias("_n"), first).where("_n > 1").select("key", "_first"))
-    known = rows.where("key is not null").join(_hint(copies, copies.count()), "key", "left")
-    nodes = known.where("_first is null or _row = _first._row").drop("_first")
-    index = _index(nodes, texts, n, percent, scratch)
+
+    def once(rows: DataFrame) -> DataFrame:
+        known = rows.where("key is not null").join(_hint(copies, copies.count()), "key", "left")
+        return known.where("_first is null or _row = _first._row").drop("_first")
+
+    index, nodes = _index(once(heads), texts, n, percent, scratch), once(rows)
+    scratch.drop(heads)
 
     tried = found = comps = None
     for turn in range(STAR_ROUNDS + 1):
         # Entries with the component of their set; only groups of more than one component have anything left to find.
-        at = index.withColumn("comp", F.col("key"))
+        at, turned = index.withColumn("comp", F.col("key")), []
         if comps is not None:
             at = index.join(_hint(comps, comps.count()), index["key"] == comps["node"], "left").withColumn("comp", F.coalesce("component", "key")).drop("node", "component")
             open_ = at.groupBy("sig").agg(F.min("comp").alias("_x"), F.max("comp").alias("_y")).where("_x <> _y").select("sig")
             at = scratch.keep(at.join(open_, "sig", "left_semi"))
+            turned.append(at)
         # Of two linked sets of mostly frequent tokens the smaller one has at least 2p / (100 + p) of its own in the other.
         light = (F.col("sig") < 0) & (F.col("often") * (100 + percent) >= F.col("size") * (2 * percent))
         per = at.groupBy("sig").agg(F.count("*").alias("n"), F.sum(light.cast("long")).alias("light"))
@@ -390,6 +409,7 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
         else:
             groups = scratch.keep(per.where(big).select("sig"))
             at = scratch.keep(at.join(_hint(groups, groups.count()), "sig", "left_semi"))
+            turned += [groups, at]
             # What a group has in common is frequent, so the set with the least besides is nearest to all; later, one of about the least.
             own = 1 - F.col("often") / F.col("size")
             order = F.struct(own if turn == 0 else F.floor(own * 16), F.xxhash64("key", F.lit(turn)))
@@ -406,6 +426,8 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
         got = done.where("linked").select("a", "b")
         found = got if found is None else found.unionByName(got)
         comps = components(found, scratch)
+        for old in (pairs, *turned):
+            scratch.drop(old)
         scratch.free()
         if last:
             break
