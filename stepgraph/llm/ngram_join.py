@@ -309,7 +309,7 @@ def _all_tokens(sets: DataFrame) -> DataFrame:
 
 
 def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Scratch) -> DataFrame:
-    """(sig, key, size, often, parity) of entries that at least two sets have. often: the set's frequent tokens, null if all its
+    """(sig, key, size, often, parity) of entries that at least two sets have, and perhaps a few others. often: the set's frequent tokens, null if all its
     entries are rare ones. Rare tokens are 0 or more, pairs of frequent ones below 0."""
     counts = scratch.keep(nodes.select(F.explode("head").alias("token")).groupBy("token").count().where("count > 1"))
     scratch.free()
@@ -353,9 +353,11 @@ def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Sc
         frequent = np.union1d(frequent, _frequent_tokens(again_shared.where("sig >= 0").select(F.col("sig").alias("token"), "count"), 2 * FREQUENT))
         scratch.drop(entries)
         scratch.drop(again_shared)
-    sigs = again_shared.select("sig")
-    out = scratch.keep(entries.join(_hint(sigs, sigs.count()), "sig"))
-    scratch.drop(entries)
+    out = entries
+    if not few:  # else few entries are left that one set alone has
+        sigs = again_shared.select("sig")
+        out = scratch.keep(entries.join(_hint(sigs, sigs.count()), "sig"))
+        scratch.drop(entries)
     scratch.drop(again_shared)
     scratch.drop(counts)
     scratch.free()
