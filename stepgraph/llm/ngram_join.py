@@ -388,9 +388,11 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
         at, turned = index.withColumn("comp", F.col("key")), []
         if comps is not None:
             at = index.join(_hint(comps, comps.count()), index["key"] == comps["node"], "left").withColumn("comp", F.coalesce("component", "key")).drop("node", "component")
-            open_ = at.groupBy("sig").agg(F.min("comp").alias("_x"), F.max("comp").alias("_y")).where("_x <> _y").select("sig")
-            at = scratch.keep(at.join(open_, "sig", "left_semi"))
-            turned.append(at)
+            comp = F.xxhash64("comp")  # 8 bytes move instead of 16, as tokens are hashes of this width too
+            open_ = at.groupBy("sig").agg(F.min(comp).alias("_x"), F.max(comp).alias("_y")).where("_x <> _y").select("sig")
+            open_ = scratch.keep(open_)
+            at = scratch.keep(at.join(_hint(open_, open_.count()), "sig", "left_semi"))
+            turned += [open_, at]
         # Of two linked sets of mostly frequent tokens the smaller one has at least 2p / (100 + p) of its own in the other.
         light = (F.col("sig") < 0) & (F.col("often") * (100 + percent) >= F.col("size") * (2 * percent))
         per = at.groupBy("sig").agg(F.count("*").alias("n"), F.sum(light.cast("long")).alias("light"))
