@@ -17,7 +17,7 @@ def all_pairs_hops(g: Graph, sources: DataFrame | None = None, max_hops: int | N
     arcs, _ = rounds.cut(g.simple().arcs().select(F.col("src").alias("via"), F.col("dst").alias("to")))
     start = (g.vertices if sources is None else sources).select("id").distinct()
     front, _ = rounds.cut(start.select(F.col("id").alias("src"), F.col("id").alias("dst"), F.lit(0).alias("hops")))
-    parts, seen, total = [front], front, 0
+    last, seen, total = front.limit(0), front, 0
     degrees = g.degrees() if ledger else None
     while max_hops is None or rounds.step < max_hops:
         hop = rounds.next()
@@ -26,14 +26,16 @@ def all_pairs_hops(g: Graph, sources: DataFrame | None = None, max_hops: int | N
             sent = ledger.record(hop - 1, mail.select(F.col("via").alias("src"), F.col("to").alias("dst")), degrees)
             if not sent:
                 break
-        new = mail.select("src", F.col("to").alias("dst")).distinct().join(seen, ["src", "dst"], "left_anti").withColumn("hops", F.lit(hop))
+        # Where arcs go both ways, a neighbour of what is ``hop - 1`` away is at least ``hop - 2`` away.
+        known = seen if g.directed else last.unionByName(front)
+        new = mail.select("src", F.col("to").alias("dst")).distinct().join(known, ["src", "dst"], "left_anti").withColumn("hops", F.lit(hop))
+        last = front
         front, got = rounds.cut(new, n=F.count(F.lit(1)))
         total += got["n"]
         if not got["n"]:
             break
         if total > max_pairs:
             raise ValueError(f"more than {max_pairs} pairs: give sources, or raise max_pairs")
-        parts.append(front)
         seen = seen.unionByName(front)
     return seen
 

@@ -36,7 +36,7 @@ def _first_id(g: Graph) -> DataFrame:
 
 # Hop distances ------------------------------------------------------------------------------------------------------
 add("diameter_user_hop", lambda s, d: flood.diameter(graph(s, d, "user_hop")), oracles.hops("user_hop") + "select max(hops) as diameter from r")
-add("ecc_event_chain", lambda s, d: flood.eccentricity(graph(s, d, "event_chain_12"), batches=2), "select event_id as id, greatest(nth - 1, n - nth)::int as ecc from (select *, count(*) over (partition by user_id) as n from (select *, row_number() over (partition by user_id order by ts, event_id) as nth from events) as a where nth <= 12) as b where n > 1")
+add("ecc_event_chain", lambda s, d: flood.eccentricity(graph(s, d, "event_chain"), batches=2), "select event_id as id, greatest(nth - 1, n - nth)::int as ecc from (select event_id, row_number() over (partition by user_id order by ts, event_id) as nth, count(*) over (partition by user_id) as n from events) as q where n > 1")
 add("ecc_directed_hop_sparse", lambda s, d: flood.eccentricity(graph(s, d, "hop_sparse", True)), oracles.hops("hop_sparse", True) + "select src as id, max(hops) as ecc from r group by src")
 add("diameter_by_component_supply_thin", lambda s, d: flood.diameter(graph(s, d, "supply_thin"), by_component=True), oracles.hops("supply_thin") + ", x as (select src, min(dst) as component, max(hops) as ecc from r group by src) select component, max(ecc) as diameter from x group by component")
 add("apsp_user_hop", lambda s, d: flood.all_pairs_hops(graph(s, d, "user_hop")), oracles.hops("user_hop") + "select src, dst, hops from r")
@@ -57,7 +57,7 @@ def pagerank_tol(s: SparkSession, d: str) -> DataFrame:
 
 add("pagerank_tol", pagerank_tol, "select true as whole, true as settled")
 # Components ---------------------------------------------------------------------------------------------------------
-add("cc_flood_chain", lambda s, d: flood.min_label(graph(s, d, "event_chain_12")), "select event_id as id, min(event_id) over (partition by user_id) as component from (select *, count(*) over (partition by user_id) as n from (select *, row_number() over (partition by user_id order by ts, event_id) as nth from events) as a where nth <= 12) as b where n > 1")
+add("cc_flood_chain", lambda s, d: flood.min_label(graph(s, d, "event_chain")), oracles.chain_components())
 add("cc_flood_supply_thin", lambda s, d: flood.min_label(graph(s, d, "supply_thin")), oracles.components("supply_thin"))
 add("cc_flood_supply_forest", lambda s, d: flood.min_label(graph(s, d, "supply_forest")), oracles.components("supply_forest"))
 add("cc_hook_chain", lambda s, d: components.hook_shortcut(graph(s, d, "event_chain")), oracles.chain_components())

@@ -10,7 +10,7 @@ TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineite
 
 SUPPLY = "select l_suppkey as src, l_partkey + 1000000 as dst, min(l_extendedprice) as w from {lineitem} {where} group by l_suppkey, l_partkey"
 HOP = "select distinct src, dst from (select user_id as src, lead(user_id) over (partition by props order by ts, event_id) as dst from {{events}} where {where}) as h where dst is not null and src <> dst"
-CHAIN = "select src, dst from (select event_id as src, lead(event_id) over (partition by user_id order by ts, event_id) as dst, row_number() over (partition by user_id order by ts, event_id) as nth from {{events}}) as c where dst is not null{more}"
+CHAIN = "select src, dst from (select event_id as src, lead(event_id) over (partition by user_id order by ts, event_id) as dst from {events}) as c where dst is not null"
 LINKS = "select distinct page_id, href from (select page_id, {explode}(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) as href from {pages}) as l"
 KEYED = " union all ".join((
     "select cast(0 as bigint) as src, cast(r_regionkey + 1 as bigint) as dst from {region}",
@@ -23,8 +23,7 @@ SQL = {
     "supply_thin": SUPPLY.replace("{where}", "where l_returnflag = 'R' and l_quantity >= 48"),
     "supply_forest": SUPPLY.replace("{where}", "where l_returnflag = 'R' and l_quantity >= 50"),
     "basket_thin": "select distinct l_orderkey as src, l_partkey + 100000000 as dst from {lineitem} where l_quantity >= 46",
-    "event_chain": CHAIN.format(more=""),
-    "event_chain_12": CHAIN.format(more=" and nth < 12"),
+    "event_chain": CHAIN,
     "user_hop": HOP.format(where="event_type = 'error'"),
     "hop_sparse": HOP.format(where="event_type = 'click' and value > 110"),
     "page_link": f"with l as ({LINKS}), p as (select href, 1000000 + cast(row_number() over (order by href) as bigint) as pid from (select distinct href from l) as d) select l.page_id as src, p.pid as dst from l join p on l.href = p.href",

@@ -119,3 +119,13 @@ def test_costs(spark):
     hops = Ledger("hops")
     flood.all_pairs_hops(gen.star(spark, 24), ledger=hops)
     assert not certificate(hops, 24).messages_ok
+
+
+def test_chains_are_whole(spark, tmp_path):
+    from stepgraph.plans import workloads
+
+    n = 15  # more events than the first dozen of a user
+    spark.range(n).selectExpr("100 - id as event_id", "1L as user_id", "timestamp_seconds(id) as ts").write.parquet(f"{tmp_path}/events.parquet")
+    got = {name: rows(workloads.queries()[name](spark, str(tmp_path)), "*") for name in ("cc_flood_chain", "ecc_event_chain")}
+    assert got["cc_flood_chain"] == [(i, 86) for i in range(86, 101)]
+    assert got["ecc_event_chain"] == [(100 - i, max(i, n - 1 - i)) for i in reversed(range(n))]
