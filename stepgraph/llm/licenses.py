@@ -1,9 +1,11 @@
 """License scan: exact set-similarity join of text blocks with license templates, beside exact phrases.
 
-A block is a line, or a stretch of ``BLOCK`` words of a longer one, two of which overlap by half. A template's words are
-ordered by how many documents of the whole table hold them, rarest first. A block that holds at least the threshold's
-share of a template holds one of the template's first words (prefix), has at least as many words as are needed (length),
-and after its first common word both sides still have enough (position); what passes is compared in full.
+A template is found where a stretch of words holds at least the threshold's share of its words. Line ends don't matter, as
+notices are wrapped. A stretch has ``STRETCH`` words, or twice as many as the longest template. The text is read in blocks
+that overlap so far that every stretch lies in one. A template's words are ordered by how many documents of the whole
+table hold them, rarest first. A block that holds at least the threshold's share of a template holds one of the template's
+first words (prefix), has at least as many words as are needed (length), and after its first common word both sides still
+have enough (position); what passes is compared in full, and its densest stretch counts.
 
 Cases: a null or empty text has no words, no places and no labels; repeated rows are scanned one by one; texts are read
 whole; an empty table gives an empty result.
@@ -11,15 +13,17 @@ whole; an empty table gives an empty result.
 
 from __future__ import annotations
 
+from bisect import bisect_right
 from collections import Counter
 from collections.abc import Iterator, Sequence
+from itertools import accumulate
 from math import ceil
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-BLOCK = 64
+STRETCH = 64
 #: More templates than this are refused: they go to every executor.
 MAX_TEMPLATES = 10_000
 # Notices as public licenses word them, and the label of each.
@@ -35,7 +39,7 @@ TEMPLATES = (
     ("cc-by-nc", "Licensed under CC BY-NC 4.0."),
     ("cc-by", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
 )
-#: Non-word bytes become spaces, but line ends stay; A-Z become small. Bytes from 0x80 up belong to words.
+#: Non-word bytes become spaces, but line ends stay, as places are given by line; A-Z become small. Bytes from 0x80 up belong to words.
 TABLE = bytes(10 if c == 10 else c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
 
 
@@ -56,6 +60,7 @@ class Templates:
             for at, r in enumerate(ranks[: len(ranks) - need + 1]):
                 self.index.setdefault(r, []).append((k, at))
         self.first = {w for w, r in self.rank.items() if r in self.index}
+        self.stretch = max(STRETCH, *(2 * len(clean(t).split()) for _, t in templates)) if templates else STRETCH
 
     def match(self, words: list[bytes]) -> dict[int, float]:
         """Share of every template that the block holds enough of."""
@@ -72,12 +77,33 @@ class Templates:
         return out
 
 
-def blocks(line: list[bytes]) -> Iterator[list[bytes]]:
-    if len(line) <= BLOCK:
-        yield line
-    else:
-        for i in range(0, len(line) - BLOCK // 2, BLOCK // 2):
-            yield line[i : i + BLOCK]
+    def densest(self, k: int, words: list[bytes]) -> tuple[int, int]:
+        """Most words of a template that a stretch of the block holds, and where the first of them is."""
+        whole, held, left, best = self.sets[k][2], Counter(), 0, (0, 0)
+        at = [(i, r) for i, w in enumerate(words) if (r := self.rank.get(w)) in whole]
+        for i, r in at:
+            held[r] += 1
+            while i - at[left][0] >= self.stretch:
+                held[at[left][1]] -= 1
+                if not held[at[left][1]]:
+                    del held[at[left][1]]
+                left += 1
+            best = max(best, (len(held), -at[left][0]))
+        return best[0], -best[1]
+
+    def find(self, words: list[bytes]) -> dict[tuple[int, int], float]:
+        """Share of every template that a stretch of the text holds enough of, by (template, place of the first word)."""
+        out, step = {}, self.stretch // 2
+        for i in range(0, max(1, len(words) - self.stretch + 1), step):
+            block = words[i : i + self.stretch + step - 1]
+            if self.first.isdisjoint(block):
+                continue
+            for k in self.match(block):
+                _, _, whole, need = self.sets[k]
+                n, at = self.densest(k, block)
+                if n >= need:
+                    out[k, i + at] = n / len(whole)
+        return out
 
 
 def word_frequency(df: DataFrame, text_col: str, templates: Sequence[tuple[str, str]]) -> dict[bytes, int]:
@@ -109,7 +135,7 @@ def places(words: list[bytes], phrase: list[bytes]) -> list[int]:
 
 def scan(df: DataFrame, id_col: str, text_col: str, phrases: Sequence[tuple[str, str]], templates: Sequence[tuple[str, str]] = TEMPLATES, threshold: float = 0.8) -> DataFrame:
     """(id, n_words, n_base, first_word, last_word, base_labels, labels, score, matches). ``matches`` has the text's
-    matching blocks: label, number of the line, share of the template."""
+    matching stretches: label, number of the line they begin in, share of the template."""
     known = Templates(templates, word_frequency(df, text_col, templates), threshold)
     wanted = [(clean(p).split(), label) for p, label in phrases]
     kind = "n_words long, n_base long, first_word long, last_word long, base_labels string, labels string, score double, matches array<struct<label:string,line:int,share:double>>"
@@ -124,14 +150,10 @@ def scan(df: DataFrame, id_col: str, text_col: str, phrases: Sequence[tuple[str,
                 labels.add(label)
         named = ",".join(sorted(labels))
         if not held.isdisjoint(known.first):
-            for n, line in enumerate(data.split(b"\n")):
-                tokens = line.split()
-                if known.first.isdisjoint(tokens):
-                    continue
-                for block in blocks(tokens):
-                    for k, share in known.match(block).items():
-                        found.append((known.sets[k][0], n, share))
-                        score = max(score, share)
+            if got := known.find(words):
+                ends = list(accumulate(len(line.split()) for line in data.split(b"\n")))
+                found = [(known.sets[k][0], bisect_right(ends, at), share) for (k, at), share in got.items()]
+                score = max(got.values())
         labels.update(x[0] for x in found)
         return len(words), len(base), min(base, default=None), max(base, default=None), named, ",".join(sorted(labels)), 1.0 if base else score, found
 

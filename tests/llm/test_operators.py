@@ -150,6 +150,32 @@ def test_license_join_finds_every_block():
         assert set(known.match(block)) == want
 
 
+def test_wrapped_notices_are_found(spark):
+    rnd = random.Random(6)
+    filler, texts, want = ["zig", "zag", "the", "of", "license", "software"], [], []
+    share = lambda words, t: len(set(words) & set(t)) / len(set(t))
+    temps = [(label, licenses.clean(t).split()) for label, t in licenses.TEMPLATES]
+    for _ in range(150):
+        words = [rnd.choice(filler) for _ in range(rnd.randint(0, 150))]
+        for _, notice in rnd.sample(licenses.TEMPLATES, 2):
+            at = rnd.randrange(len(words) + 1)
+            words[at:at] = [w for w in notice.split() if rnd.random() < 0.85]
+        texts.append("".join(w + rnd.choice(" \n") for w in words))
+        words = licenses.clean(texts[-1]).split()
+        stretches = [words[i : i + 64] for i in range(max(1, len(words) - 63))]
+        shares = sorted((max(share(x, t) for x in stretches), label) for label, t in temps)
+        want.append({label: s for s, label in shares if s >= 0.8 - 1e-9})
+    texts.append("x\nThis work is licensed under a Creative Commons\nAttribution 4.0 International License.")
+    want.append({"cc-by": 1.0})
+    got = licenses.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), "doc_id", "text", ()).orderBy("doc_id").collect()
+    for r, labels in zip(got, want, strict=True):
+        best = {}
+        for m in r.matches:
+            best[m.label] = max(best.get(m.label, 0), m.share)
+        assert best == pytest.approx(labels) and r.labels == ",".join(sorted(labels)) and r.score == pytest.approx(max(labels.values(), default=0))
+    assert [m.line for m in got[-1].matches] == [1]
+
+
 def test_mix(spark, odd, none):
     got = queries.op8_source_mix(spark, SF).collect()
     total = sum(r["size"] for r in got)
