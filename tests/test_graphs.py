@@ -129,3 +129,13 @@ def test_chains_are_whole(spark, tmp_path):
     got = {name: rows(workloads.queries()[name](spark, str(tmp_path)), "*") for name in ("cc_flood_chain", "ecc_event_chain")}
     assert got["cc_flood_chain"] == [(i, 86) for i in range(86, 101)]
     assert got["ecc_event_chain"] == [(100 - i, max(i, n - 1 - i)) for i in reversed(range(n))]
+
+
+def test_lines_of_many_documents_link_them(spark, tmp_path):
+    from stepgraph.plans import workloads
+
+    n, line = 60, "a line that every document has in common"
+    spark.range(n).selectExpr("id as doc_id", f"concat('own ', id, '\\n{line}') as text").write.parquet(f"{tmp_path}/documents.parquet")
+    assert workloads.queries()["doc_edges"](spark, str(tmp_path)).count() == n
+    got = workloads.queries()["cc_hook_docs"](spark, str(tmp_path)).where(f"id < {n}")
+    assert rows(got, "id", "component") == [(i, 0) for i in range(n)]
