@@ -16,7 +16,8 @@ listed. Pairs of mostly frequent sets, which may share one long passage, are met
 set carries the parities of its tokens in 256 buckets, and two sets differ in at least as many tokens as in parities.
 
 Cases: a text without words (or null) has an empty set and is linked with nothing; with fewer words than n, the whole
-sequence is one token; equal sets are one node; repeated rows and ids are fine; an empty table gives an empty result.
+sequence is one token; equal sets are one node; rows are linked by their texts, so ids may be null, repeated, or stand on
+different texts; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -84,8 +85,10 @@ def missing(size: int, percent: int) -> int:
 
 
 def _heads(df: DataFrame, n: int, percent: int) -> DataFrame:
-    """(_id, size, key, head) of (_id, _text): head has the set's first tokens by hash (the prefix and ``WIDER``)."""
-    id_type = df.schema["_id"].dataType.simpleString()
+    """(_id, size, key, head) of (_id, _text), and other columns as they are: head has the set's first tokens by hash (the
+    prefix and ``WIDER``)."""
+    more = [c for c in df.columns if c != "_text"]
+    kinds = ", ".join(f"{c} {df.schema[c].dataType.simpleString()}" for c in more)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memo = Memo()
@@ -98,9 +101,9 @@ def _heads(df: DataFrame, n: int, percent: int) -> DataFrame:
                     size.append(len(s))
                     key.append(_key(s))
                     head.append(s[: int(WIDER * (missing(len(s), percent) + 1)) + 1] if len(s) else None)
-                yield pa.RecordBatch.from_arrays([b.column("_id"), pa.array(size, pa.int32()), pa.array(key, pa.binary()), pa.array(head, pa.list_(pa.int64()))], ["_id", "size", "key", "head"])
+                yield pa.RecordBatch.from_arrays([*map(b.column, more), pa.array(size, pa.int32()), pa.array(key, pa.binary()), pa.array(head, pa.list_(pa.int64()))], [*more, "size", "key", "head"])
 
-    return df.mapInArrow(run, f"_id {id_type}, size int, key binary, head array<long>")
+    return df.mapInArrow(run, f"{kinds}, size int, key binary, head array<long>")
 
 
 def _key(s: np.ndarray) -> bytes | None:
@@ -111,7 +114,8 @@ def _token_sets(texts: DataFrame, wanted: DataFrame, n: int, scratch: Scratch) -
     """(key, tokens) of the sets that ``wanted`` (key, _id) names, made again from their texts: only these few move."""
     wanted = scratch.keep(wanted)
     rows = wanted.count()
-    few = texts.join(_hint(wanted.select("_id").distinct(), rows), "_id", "left_semi")
+    ids = wanted.select(F.col("_id").alias("_wanted")).distinct()
+    few = texts.join(_hint(ids, rows), F.col("_id").eqNullSafe(F.col("_wanted")), "left_semi")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memo = Memo()
@@ -364,15 +368,21 @@ def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Sc
     return out
 
 
-def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int = 80) -> tuple[DataFrame, DataFrame, Scratch]:
-    """Rows (_id, size, key) and a table (key, component_id) of the keys whose component isn't their one row."""
+def _order(*more: str) -> Column:
+    """Rows by id, null ids last."""
+    return F.struct(F.col("_id").isNull().alias("_none"), "_id", *more)
+
+
+def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int = 80, **more: Column) -> tuple[DataFrame, DataFrame, Scratch]:
+    """Rows (_id, size, key, _row) with ``more``, and a table (key, component_id, component) of the keys whose component isn't
+    their one row. component_id is its smallest id that is not null, which another component can have too; component is its own."""
     if not 60 <= percent <= 100:
         raise ValueError("percent must be from 60 to 100")
     scratch = Scratch(df.sparkSession)
     texts = df.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
-    heads = scratch.keep(_heads(texts, n, percent).withColumn("_row", F.monotonically_increasing_id()))
+    heads = scratch.keep(_heads(texts.withColumns(more), n, percent).withColumn("_row", F.monotonically_increasing_id()))
     rows = scratch.keep(heads.drop("head"))
-    first = F.min(F.struct("_id", "_row")).alias("_first")
+    first = F.min(_order("_row")).alias("_first")
     copies = scratch.keep(rows.where("key is not null").groupBy("key").agg(F.count("*").alias("_n"), first).where("_n > 1").select("key", "_first"))
 
     def once(rows: DataFrame) -> DataFrame:
@@ -435,13 +445,13 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
         scratch.free()
         if last:
             break
-    single = copies.select("key", F.col("_first._id").alias("component_id"))
+    single = copies.select("key", F.col("_first._id").alias("component_id"), F.col("key").alias("component"))
     if comps is None:
         return rows, single, scratch
     owned = nodes.select(F.col("key").alias("node"), F.col("_id").alias("least")).join(_hint(comps, comps.count()), "node")
     owned = scratch.keep(owned)
     least = owned.groupBy("component").agg(F.min("least").alias("component_id"))
-    named = owned.join(least, "component").select(F.col("node").alias("key"), "component_id")
+    named = owned.join(least, "component").select(F.col("node").alias("key"), "component_id", "component")
     return rows, scratch.keep(single.join(named, "key", "left_anti").unionByName(named)), scratch
 
 
@@ -467,7 +477,18 @@ def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, percent: int = 80) -> DataFrame:
-    """One row of each component, that of the smallest id, with the columns it came with; of rows with one id one stays."""
-    marked = Scratch(df.sparkSession).keep(near_duplicates(df, id_col, text_col, n, percent))
-    gone = marked.where(F.col("component_id") != F.col(id_col)).select(id_col).distinct()
-    return df.join(_hint(gone, gone.count()), id_col, "left_anti")
+    """One row of each component, that of the smallest id that is not null, with the columns it came with. Rows without words
+    all stay. A row is known by its id and its text's hash, as others can have its id."""
+    hashed = F.unhex(F.md5(F.col(text_col)))
+    rows, named, scratch = links(df, id_col, text_col, n, percent, _hash=F.unhex(F.md5("_text")))
+    held = scratch.keep(rows.join(_hint(named, named.count()), "key").select("_id", "_hash", "component"))
+    best = held.groupBy("component").agg(F.min(_order("_hash")).alias("_best"))
+    stays = F.col("_id").eqNullSafe(F.col("_best._id")) & (F.col("_hash") == F.col("_best._hash"))
+    marked = scratch.keep(held.join(_hint(best, held.count()), "component").groupBy(F.col("_id").alias("_of"), F.col("_hash").alias("_text_hash"), stays.alias("_stays")).agg(F.count("*").alias("_n")))
+    same = F.col(id_col).eqNullSafe(F.col("_of")) & (F.col("_hash") == F.col("_text_hash"))
+    gone, twice = marked.where("not _stays"), marked.where("_stays and _n > 1")
+    out = df.withColumn("_hash", hashed).join(_hint(gone, gone.count()), same, "left_anti")
+    if again := twice.count():  # equal rows, of which one stays
+        several = out.join(_hint(twice, again), same, "left_semi").dropDuplicates([id_col, "_hash"])
+        out = out.join(_hint(twice, again), same, "left_anti").unionByName(several)
+    return out.drop("_hash")

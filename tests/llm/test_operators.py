@@ -243,6 +243,19 @@ def test_join_against_brute_force(spark, none, monkeypatch):
     assert ngram_join.near_duplicates(none).count() == 0
 
 
+def test_join_of_null_and_shared_ids(spark):
+    t, u, v = (" ".join(f"{x}{i}" for i in range(60)) for x in "tuv")
+    near = lambda text, k: f"{text} more{k}"  # noqa: E731  linked with the text
+    docs = [(None, t), (5, t), (9, t), (None, near(u, 1)), (7, near(u, 2)), (8, near(u, 3)), (7, "a text of its own"), (1, v), (1, near(v, 1)), (1, v), (None, "x y"), (None, "x y"), (None, None), (None, "")]
+    df = spark.createDataFrame([(i, x, k) for k, (i, x) in enumerate(docs)], "doc_id long, text string, k int")
+    got = Counter((r.doc_id, r.n_shingles, r.component_id) for r in ngram_join.near_duplicates(df).collect())
+    assert got == Counter([(None, 56, 5), (5, 56, 5), (9, 56, 5), (None, 57, 7), (7, 57, 7), (8, 57, 7), (7, 1, 7), (1, 56, 1), (1, 57, 1), (1, 56, 1), (None, 1, None), (None, 1, None), (None, 0, None), (None, 0, None)])
+    kept = ngram_join.keep_one(df)
+    assert kept.columns == df.columns
+    left = [r.k for r in kept.collect()]
+    assert len(left) == 7 and {1, 4, 6, 12, 13} <= set(left) and len({7, 8, 9} & set(left)) == 1 == len({10, 11} & set(left))
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
