@@ -241,7 +241,8 @@ add("reachable_supply_thin", lambda s, d: one(s, yes=flood.reachable(graph(s, d,
 
 
 def efficiency_table(s: SparkSession, d: str) -> DataFrame:
-    """Measured products against sequential operations on the given graphs; the growth over sizes is in ``bench.py``."""
+    """Measured products against sequential operations on the given graphs, at one size. Neither the growth over sizes nor the
+    verdict on more work is part of it; README lists the methods that are missing."""
     rows = []
     for algo, name, base in (("flood", "supply_forest", seq.components), ("hook", "supply_forest", seq.components), ("tour", "geo_tree", seq.tree_orders), ("pagerank", "supply_thin", seq.power_iteration), ("diameter", "user_hop", seq.hops)):
         g = graph(s, d, name)
