@@ -19,11 +19,14 @@ class Ledger:
     p: int = 8
     steps: list[tuple] = field(default_factory=list)  # rows of ROUND, p a round
     worst: list[tuple] = field(default_factory=list)  # (step, largest messages / (degree + 1), its vertex)
+    computed: list[tuple] = field(default_factory=list)  # the same of what a vertex does
+    stored: list[tuple] = field(default_factory=list)  # and of what it keeps
     combined: list[int] = field(default_factory=list)
     active: list[int] = field(default_factory=list)
 
-    def record(self, step: int, sends: DataFrame, degrees: DataFrame | None = None, active: DataFrame | None = None) -> int:
-        """``sends``: a row (src, dst) per message before combining, with ``size`` if messages are not of one scalar."""
+    def record(self, step: int, sends: DataFrame, degrees: DataFrame | None = None, active: DataFrame | None = None, stored: DataFrame | None = None) -> int:
+        """``sends``: a row (src, dst) per message before combining, with ``size`` if messages are not of one scalar. ``stored``:
+        (id, n), the values that a vertex keeps between rounds besides its edges, where they are not one a vertex."""
         size = F.col("size") if "size" in sends.columns else F.lit(1)
         out = sends.groupBy(F.col("src").alias("id")).agg(F.sum(size).alias("sent"))
         into = sends.groupBy(F.col("dst").alias("id")).agg(F.sum(size).alias("received"))
@@ -38,9 +41,12 @@ class Ledger:
         self.combined.append(sum(r.combined for r in rows))
         self.active.append(sum(r.on for r in rows))
         if degrees is not None:
-            load = F.greatest("sent", "received") / (F.col("degree") + 1)
-            w = both.join(degrees, "id").agg(F.max(load).alias("w"), F.max_by("id", load).alias("id")).first()
-            self.worst.append((step, w.w or 0.0, w.id))
+            room = F.col("degree") + 1
+            kept = degrees.withColumn("n", F.lit(1)) if stored is None else degrees.join(stored.select("id", "n"), "id", "left").fillna(0, ["n"])
+            loads = ((self.worst, both.join(degrees, "id"), F.greatest("sent", "received") / room), (self.computed, both.join(degrees, "id"), F.col("work") / room), (self.stored, kept, (F.col("degree") + F.col("n")) / room))
+            for into_, rows_, load in loads:
+                w = rows_.agg(F.max(load).alias("w"), F.max_by("id", load).alias("id")).first()
+                into_.append((step, w.w or 0.0, w.id))
         return sum(r.sent for r in rows)
 
     @property
@@ -93,13 +99,16 @@ class Certificate:
     worst_ratio: float
     witness: int | None
     rounds: int
+    compute_ratio: float = 0.0
+    compute_witness: int | None = None
+    storage_ratio: float = 0.0
+    storage_witness: int | None = None
 
     @property
     def balanced(self) -> bool:
         return self.storage_ok and self.compute_ok and self.messages_ok and self.rounds_ok
 
 
-def certificate(ledger: Ledger, n: int, c: float = 4.0, storage_ratio: float = 1.0) -> Certificate:
-    worst = max(ledger.worst, key=lambda w: w[1], default=(0, 0.0, None))
-    fair = worst[1] <= c
-    return Certificate(storage_ratio <= c, fair, fair, ledger.rounds <= c * max(1.0, math.log2(max(n, 2))), worst[1], worst[2], ledger.rounds)
+def certificate(ledger: Ledger, n: int, c: float = 4.0) -> Certificate:
+    sent, done, kept = (max(x, key=lambda w: w[1], default=(0, 0.0, None)) for x in (ledger.worst, ledger.computed, ledger.stored))
+    return Certificate(kept[1] <= c, done[1] <= c, sent[1] <= c, ledger.rounds <= c * max(1.0, math.log2(max(n, 2))), *sent[1:], ledger.rounds, *done[1:], *kept[1:])

@@ -23,7 +23,7 @@ def all_pairs_hops(g: Graph, sources: DataFrame | None = None, max_hops: int | N
         hop = rounds.next()
         mail = front.join(arcs, front["dst"] == arcs["via"])
         if ledger:
-            sent = ledger.record(hop - 1, mail.select(F.col("via").alias("src"), F.col("to").alias("dst")), degrees)
+            sent = ledger.record(hop - 1, mail.select(F.col("via").alias("src"), F.col("to").alias("dst")), degrees, stored=seen.groupBy(F.col("dst").alias("id")).agg(F.count("*").alias("n")))
             if not sent:
                 break
         # Where arcs go both ways, a neighbour of what is ``hop - 1`` away is at least ``hop - 2`` away.

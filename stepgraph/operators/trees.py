@@ -17,7 +17,7 @@ def euler_tour(tree: Graph, ledger: Ledger | None = None) -> DataFrame:
     w = Window.partitionBy("src").orderBy("dst")
     after = F.coalesce(F.lead("dst").over(w), F.first("dst").over(w.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)))
     if ledger:
-        ledger.record(0, arcs, tree.degrees())
+        ledger.record(0, arcs, tree.degrees(), stored=tree.degrees().withColumnRenamed("degree", "n"))
         ledger.record(1, arcs.limit(0), active=tree.vertices)
     return arcs.withColumn("next", after).select(F.col("dst").alias("src"), F.col("src").alias("dst"), F.col("src").alias("next_src"), F.col("next").alias("next_dst"))
 

@@ -226,6 +226,18 @@ add("balance_tour", balance("tour", lambda s, d: graph(s, d, "geo_tree")), "sele
 add("balance_flood", balance("flood", lambda s, d: generators.path(s, 48), c=2.0), "select true as messages_ok, false as rounds_ok")
 add("balance_diameter", balance("diameter", lambda s, d: generators.star(s, 32), c=4.0), "select false as messages_ok, true as rounds_ok")
 add("balance_hook_star", balance("hook", lambda s, d: generators.path(s, 64), c=4.0))
+
+
+def balance_verdicts(s: SparkSession, d: str) -> DataFrame:
+    """All four parts of the balance test, with the worst ratio to degree + 1 of each of the first three and its vertex."""
+    rows = []
+    for algo, g, c in (("tour", graph(s, d, "geo_tree"), 4.0), ("flood", generators.path(s, 48), 2.0), ("diameter", generators.star(s, 32), 4.0), ("hook", generators.path(s, 64), 4.0)):
+        x = certificate(ledger_of(algo, g), g.vertices.count(), c)
+        rows.append((algo, x.storage_ok, x.compute_ok, x.messages_ok, x.rounds_ok, x.storage_ratio, x.storage_witness, x.compute_ratio, x.compute_witness, x.worst_ratio, x.witness))
+    return s.createDataFrame(rows, "algo string, storage_ok boolean, compute_ok boolean, messages_ok boolean, rounds_ok boolean, storage_ratio double, storage_witness long, compute_ratio double, compute_witness long, message_ratio double, message_witness long")
+
+
+add("balance_verdicts", balance_verdicts)
 # Harder workloads ---------------------------------------------------------------------------------------------------
 TRI = "with {e} select a.src as x, a.dst as y, b.dst as z from e a join e b on a.dst = b.src join e c on c.src = a.src and c.dst = b.dst where a.src < a.dst and a.dst < b.dst"
 add("triangles_user_hop", lambda s, d: subgraph.triangles(graph(s, d, "user_hop")), TRI.format(e=oracles.sym("user_hop")))

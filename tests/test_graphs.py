@@ -139,3 +139,15 @@ def test_lines_of_many_documents_link_them(spark, tmp_path):
     assert workloads.queries()["doc_edges"](spark, str(tmp_path)).count() == n
     got = workloads.queries()["cc_hook_docs"](spark, str(tmp_path)).where(f"id < {n}")
     assert rows(got, "id", "component") == [(i, 0) for i in range(n)]
+
+
+def test_storage_and_compute_are_measured(spark):
+    hops = Ledger("hops")
+    flood.all_pairs_hops(gen.star(spark, 24), ledger=hops)
+    cert = certificate(hops, 24)
+    n = hops.stored[-1]
+    assert not cert.storage_ok and not cert.compute_ok and cert.storage_ratio == n[1] > 4 and cert.compute_ratio > 4
+    tour = Ledger("tour")
+    trees.euler_tour(gen.random_tree(spark, 64, 2), tour)
+    cert = certificate(tour, 64)
+    assert cert.storage_ok and cert.compute_ok and 1 < cert.storage_ratio < 2 and 1 < cert.compute_ratio < 2.5
