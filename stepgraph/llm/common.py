@@ -23,6 +23,15 @@ def shared_folder(spark: SparkSession) -> str:
     return spark.conf.get("spark.checkpoint.dir", None) or f"file://{_own_folder()}"
 
 
+#: Tables of more rows than this are joined by shuffle, not by broadcast (40 MB or so).
+BROADCAST_ROWS = 1_000_000
+
+
+def broadcast_small(df: DataFrame, rows: int) -> DataFrame:
+    """For a join with a table of so many rows: broadcast only if they are few."""
+    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
+
+
 class Scratch:
     """Written tables that cut lineage. All executors and the driver see them, so a lost executor loses nothing.
 
@@ -40,11 +49,6 @@ class Scratch:
         self.paths[id(out)] = (path, out)
         return out
 
-    def free(self) -> None:
-        """Lets Spark delete the shuffle files of plans that are done with; it does so only when the driver collects its
-        garbage."""
-        self.spark.sparkContext._jvm.System.gc()
-
     def drop(self, df: DataFrame) -> None:
         path, _ = self.paths.pop(id(df), (None, None))
         if path:

@@ -1,19 +1,16 @@
 """Exact n-gram Jaccard join with token-combination prefixes, and the components of its links.
 
-Tokens (hashed word n-grams) are ordered globally: rare ones first, then frequent ones, each by hash. If x and y reach
-the threshold t, x lacks at most m = |x| - ceil(t |x|) of its tokens in y; so among the first tokens of x, once more than
-m of them are counted, y has one. Frequent tokens fall into classes, and a class of n tokens counts as n - 1, for which
-the prefix is extended: then x and y share a rare token of the prefix or two tokens of one class. So rare tokens are
-indexed alone and frequent ones in pairs of their class. The number of classes follows the size of the set, which keeps
-the pairs about as many as the tokens; sets near the border of two sizes are indexed under both, so linked sets meet.
+``prefix_index`` says how sets are indexed. Links are verified on whole sets, remade from texts; these are sets of 63-bit
+hashes of the word n-grams, and that is what the join is exact about.
 
-What is frequent is counted over all prefixes. It only decides how sets are indexed, never whether they are.
+Pairs of an index entry's group are compared by what is known of them before any set moves: their sizes, how many entries
+they share, and for wide sets (mostly frequent tokens, such as documents with one long passage in common) the parities of
+their tokens in 256 buckets, as two sets differ in at least as many tokens as in parities. Large groups of pairs of frequent
+tokens are looked at first, star-wise: each set meets one hub of its group, once a round, and the links found this way join
+what belongs together. Then all pairs of each group that are not yet in one component are compared and, if they can link,
+verified. No pair that could join two components is left out, and pairs inside one are not listed.
 
-Links are verified on whole sets. First, each set meets the least set of its index groups (once or a few times), which
-costs no more than the index and joins groups of near copies; then every pair of an index group that is not yet in one
-component is verified as well. So no pair that could join two components is left out, and pairs inside one are not
-listed. Pairs of mostly frequent sets, which may share one long passage, are met only where a bound allows a link: each such
-set carries the parities of its tokens in 256 buckets, and two sets differ in at least as many tokens as in parities.
+Sets are known by 8-byte row numbers; the index holds these and two counts, and parities stand in a table of their own.
 
 Cases: a text without words (or null) has an empty set and is linked with nothing; with fewer words than n, the whole
 sequence is one token; equal sets are one node; rows are linked by their texts, so ids may be null, repeated, or stand on
@@ -23,472 +20,254 @@ different texts; an empty table gives an empty result.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from math import ceil
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch
+from .common import Scratch, broadcast_small
 from .components import components
+from .prefix_index import CUT, FREQUENT, build, lowest
+from .shingles import Memo, in_steps, set_key, sets_of, token_set
 
-#: A token in more prefixes than this is frequent.
-FREQUENT = 8
-#: Frequency is counted over the first tokens by hash and a share more, as what takes a frequent token's place comes from there.
-WIDER = 1.3
-#: Tables of more rows than this are joined by shuffle, not by broadcast (40 MB or so).
-BROADCAST_ROWS = 1_000_000
-#: Tokens that more than one head has go to the executors as a sorted array (64 MB at most) to leave out all others early;
-#: with more of them than this nothing is left out before the index is counted.
-MAX_SHARED = 8_000_000
-#: A longer list of frequent tokens is cut by counting fewer tokens as frequent.
-MAX_FREQUENT = 2_000_000
-STAR_ROUNDS, MEMO = 3, 400_000
-#: Index groups above this meet their least set first; of smaller ones every pair is looked at.
+#: Index groups above this meet a hub first; of smaller ones every pair is looked at.
 BIG = 4 * FREQUENT
-LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
-MULS = [pow(0x9E3779B97F4A7C15, 2 * i + 1, 1 << 64) for i in range(64)]
+#: Rounds of hubs at most. They end sooner once they find nothing more, or few comparisons are left.
+STAR_ROUNDS = 3
 
 
-def mixed(h: np.ndarray) -> np.ndarray:
-    h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return h ^ (h >> np.uint64(31))
-
-
-class Memo(dict):
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= MEMO:
-            self.clear()
-        h = self[word] = xxhash.xxh3_64_intdigest(word)
-        return h
-
-
-def token_set(text: str | None, n: int, memo: Memo) -> np.ndarray:
-    """Sorted distinct 63-bit hashes of the text's word n-grams."""
-    words = text.encode("utf-8", "surrogatepass").translate(LOWER).split() if text else []
-    if not words:
-        return np.zeros(0, np.int64)
-    w = np.fromiter(map(memo.__getitem__, words), np.uint64, len(words))
-    k = min(n, len(w))
-    h = np.full(len(w) - k + 1, k, np.uint64)
-    for i in range(k):
-        h = h + w[i : len(w) - k + 1 + i] * np.uint64(MULS[i])
-    return np.unique((mixed(h) >> np.uint64(1)).astype(np.int64))
-
-
-def missing(size: int, percent: int) -> int:
-    """Most tokens that a set may lack in another that it is linked with."""
-    return size - ceil(percent * size / 100)
-
-
-def _heads(df: DataFrame, n: int, percent: int) -> DataFrame:
-    """(_id, size, key, head) of (_id, _text), and other columns as they are: head has the set's first tokens by hash (the
-    prefix and ``WIDER``)."""
-    more = [c for c in df.columns if c != "_text"]
-    kinds = ", ".join(f"{c} {df.schema[c].dataType.simpleString()}" for c in more)
+def _heads(texts: DataFrame, n: int, percent: int) -> DataFrame:
+    """(_id, size, key, tokens) of (_id, _text), and other columns as they are: the set's 48-bit tokens of the low zone."""
+    more = [c for c in texts.columns if c != "_text"]
+    kinds = ", ".join(f"{c} {texts.schema[c].dataType.simpleString()}" for c in more)
+    end = lowest(percent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memo = Memo()
-        for whole in batches:
-            for k in range(0, whole.num_rows, 1000):
-                b = whole.slice(k, 1000)
-                size, key, head = [], [], []
-                for text in b.column("_text").to_pylist():
-                    s = token_set(text, n, memo)
-                    size.append(len(s))
-                    key.append(_key(s))
-                    head.append(s[: int(WIDER * (missing(len(s), percent) + 1)) + 1] if len(s) else None)
-                yield pa.RecordBatch.from_arrays([*map(b.column, more), pa.array(size, pa.int32()), pa.array(key, pa.binary()), pa.array(head, pa.list_(pa.int64()))], [*more, "size", "key", "head"])
+        for b in in_steps(batches):
+            sets = [token_set(text, n, memo) for text in b.column("_text").to_pylist()]
+            low = pa.array([s[: int(np.searchsorted(s, end))] >> CUT for s in sets], pa.list_(pa.int64()))
+            made = [pa.array([len(s) for s in sets], pa.int32()), pa.array([set_key(s) for s in sets], pa.binary()), low]
+            yield pa.RecordBatch.from_arrays([*map(b.column, more), *made], [*more, "size", "key", "tokens"])
 
-    return df.mapInArrow(run, f"{kinds}, size int, key binary, head array<long>")
+    return texts.mapInArrow(run, f"{kinds}, size int, key binary, tokens array<long>")
 
 
-def _key(s: np.ndarray) -> bytes | None:
-    return xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None
-
-
-def _token_sets(texts: DataFrame, wanted: DataFrame, n: int, scratch: Scratch) -> DataFrame:
-    """(key, tokens) of the sets that ``wanted`` (key, _id) names, made again from their texts: only these few move."""
-    wanted = scratch.keep(wanted)
-    rows = wanted.count()
-    ids = wanted.select(F.col("_id").alias("_wanted")).distinct()
-    few = texts.join(_hint(ids, rows), F.col("_id").eqNullSafe(F.col("_wanted")), "left_semi")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo = Memo()
-        for whole in batches:
-            for k in range(0, whole.num_rows, 500):
-                sets = [token_set(t, n, memo) for t in whole.column("_text").slice(k, 500).to_pylist()]
-                yield pa.RecordBatch.from_arrays([pa.array([_key(s) for s in sets], pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], ["key", "tokens"])
-
-    made = few.select("_text").mapInArrow(run, "key binary, tokens binary")
-    out = scratch.keep(made.join(_hint(wanted.select("key"), rows), "key", "left_semi").groupBy("key").agg(F.first("tokens").alias("tokens")))
-    scratch.drop(wanted)
-    return out
+def _order(*more: str) -> Column:
+    """Rows by id, null ids last."""
+    return F.struct(F.col("_id").isNull().alias("_none"), "_id", *more)
 
 
-def schemes(size: int, percent: int) -> list[int]:
-    """Numbers of classes under which a set's frequent tokens are paired: by its own size and by the largest that could link."""
-    own, most = size, size * 100 // percent
-    return sorted({max(1, 1 << max(0, s.bit_length() - 3)) for s in (own, most)})
-
-
-def signatures(s: np.ndarray, frequent: np.ndarray, percent: int) -> tuple[np.ndarray, int | None]:
-    """Index entries of a sorted set, and how many frequent tokens it has, or None if all entries are rare tokens."""
-    need = missing(len(s), percent) + 1
-    at = np.minimum(np.searchsorted(frequent, s), max(len(frequent) - 1, 0))
-    common = frequent[at] == s if len(frequent) else np.zeros(len(s), bool)
-    rare, often = s[~common], s[common]
-    out = [rare[:need]]
-    if len(rare) < need:
-        lack = need - len(rare)
-        for classes in schemes(len(s), percent):
-            group = ((often.astype(np.uint64) * np.uint64(0x2545F4914F6CDD1D)) >> np.uint64(33)) % np.uint64(classes)
-            counts, first = np.zeros(classes, np.int64), np.zeros(len(often), np.int64)
-            for i, g in enumerate(group.tolist()):  # by hash, as the order wants it
-                first[i] = counts[g]
-                counts[g] += 1
-            worth = np.cumsum(first > 0)
-            end = int(np.searchsorted(worth, lack)) + 1
-            by: dict[int, list[int]] = {}
-            for t, g in zip(often[:end].tolist(), group[:end].tolist(), strict=True):
-                by.setdefault(g, []).append(t)
-            pairs = [(a, b) for ts in by.values() for i, a in enumerate(ts) for b in ts[i + 1 :]]
-            if pairs:
-                p = np.array(pairs, np.int64).astype(np.uint64)
-                h = p[:, 0] * np.uint64(MULS[0]) + p[:, 1] * np.uint64(MULS[1]) + np.uint64(classes)
-                out.append(-1 - (mixed(h) >> np.uint64(1)).astype(np.int64))
-    return np.unique(np.concatenate(out)), None if len(rare) >= need else len(often)
-
-
-def _hint(df: DataFrame, rows: int):
-    return F.broadcast(df) if rows <= BROADCAST_ROWS else df
+def _rows_and_heads(texts: DataFrame, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Rows (_id, _row, size, key, low, node, least) with the other columns of ``texts``; heads (node, first, tokens); copies
+    (node, least) of the sets that several rows have. A set's node is the number of its first row, ``least`` that row's id."""
+    heads = scratch.keep(_heads(texts, n, percent).withColumn("_row", F.monotonically_increasing_id()))
+    known = heads.where("key is not null").groupBy("key").agg(F.count("*").alias("_n"), F.min(_order("_row")).alias("_first"))
+    copies = scratch.keep(known.where("_n > 1").select("key", F.col("_first._row").alias("_node"), F.col("_first._id").alias("_least")))
+    marked = heads.join(broadcast_small(copies, copies.count()), "key", "left")
+    several = F.col("_node").isNotNull()
+    node = F.when(F.col("key").isNotNull(), F.coalesce("_node", "_row"))
+    least = F.when(several, F.col("_least")).otherwise(F.col("_id"))
+    rows = marked.withColumns({"low": F.size("tokens"), "node": node, "least": least}).drop("tokens", "_node", "_least")
+    first = marked.where(F.col("key").isNotNull() & (~several | (F.col("_node") == F.col("_row"))))
+    return scratch.keep(rows), first.select(F.col("_row").alias("node"), F.lit(0).alias("first"), "tokens"), copies.select(F.col("_node").alias("node"), F.col("_least").alias("least"))
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, nodes: DataFrame, n: int, percent: int, scratch: Scratch) -> DataFrame:
-    """(a, b, linked) of pairs of keys."""
-    keys = scratch.keep(pairs.select(F.col("a").alias("key")).union(pairs.select("b")).distinct())
-    sets = _token_sets(texts, nodes.select("key", "_id").join(_hint(keys, keys.count()), "key", "left_semi"), n, scratch)
-    side = lambda k: sets.select(F.col("key").alias(k), F.col("tokens").alias(f"t{k}"))
-    x = pairs.join(side("b"), "b").join(side("a"), "a")
+    """(a, b, linked) of pairs of nodes."""
+    wanted = scratch.keep(pairs.select(F.col("a").alias("node")).union(pairs.select("b")).distinct())
+    named = nodes.select("node", "_id", "key").join(broadcast_small(wanted, wanted.count()), "node", "left_semi")
+    sets = sets_of(texts, named, n, scratch)
+    side = lambda k: sets.select(F.col("node").alias(k), F.col("tokens").alias(f"t{k}"))
+    both = pairs.join(side("b"), "b").join(side("a"), "a").select("a", "b", "ta", "tb")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for k in range(0, whole.num_rows, 500):
-                b = whole.slice(k, 500)
-                linked = []
-                for u, v in zip(b.column("ta"), b.column("tb"), strict=True):
-                    u, v = np.frombuffer(u.as_buffer(), np.int64), np.frombuffer(v.as_buffer(), np.int64)
-                    both = len(np.intersect1d(u, v, assume_unique=True))
-                    linked.append(100 * both >= percent * (len(u) + len(v) - both))
-                yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(linked, pa.bool_())], ["a", "b", "linked"])
-
-    out = scratch.keep(x.select("a", "b", "ta", "tb").mapInArrow(run, "a binary, b binary, linked boolean"))
+        for batch in in_steps(batches):
+            linked = []
+            for u, v in zip(batch.column("ta"), batch.column("tb"), strict=True):
+                u, v = np.frombuffer(u.as_buffer(), np.int64), np.frombuffer(v.as_buffer(), np.int64)
+                common = len(np.intersect1d(u, v, assume_unique=True))
+                linked.append(100 * common >= percent * (len(u) + len(v) - common))
+            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(linked, pa.bool_())], ["a", "b", "linked"])
+
+    out = scratch.keep(both.mapInArrow(run, "a long, b long, linked boolean"))
     scratch.drop(sets)
-    scratch.drop(keys)
+    scratch.drop(wanted)
     return out
 
 
-def _close(a: str, b: str, percent: int) -> Column:
-    """Sizes that a linked pair may have."""
-    return (F.col(a) * 100 >= F.col(b) * percent) & (F.col(b) * 100 >= F.col(a) * percent)
-
-
-def _frequent_tokens(counts: DataFrame, bar: int) -> np.ndarray:
-    """Sorted tokens of (token, count) above the bar, or above a higher one that leaves few enough."""
-    while counts.where(F.col("count") > bar).count() > MAX_FREQUENT:
-        bar *= 2
-    return _tokens(counts.where(F.col("count") > bar))
-
+def _overlap(percent: int) -> Column:
+    """Tokens that two linked sets have in common at least."""
+    return F.ceil((F.col("na") + F.col("nb")) * percent / (100 + percent) - F.lit(1e-9))
 
-def _tokens(df: DataFrame) -> np.ndarray:
-    return np.sort(df.select("token").toArrow().column("token").to_numpy())
 
+def _shared(percent: int) -> Column:
+    """Rare entries that two linked sets share at least, if any. A set whose entries are all rare, and end before the other's
+    do, has all that it shares of them among the other's, and lacks no more of them than of its whole. Two sets with fewer
+    rare tokens than that have all of them among their entries, and can share no more frequent ones than either has."""
+    must = lambda size: size - F.ceil(size * percent / 100 - F.lit(1e-9)) + 1 - (size - _overlap(percent))
+    a, b, fa, fb = must(F.col("na")), must(F.col("nb")), F.col("fa"), F.col("fb")
+    least = F.when(fa.isNull() & fb.isNull(), F.least(a, b)).when(fa.isNull(), a).when(fb.isNull(), b)
+    return F.greatest(F.lit(1), least.otherwise(_overlap(percent) - F.least(fa, fb)))
 
-def _shared_only(entries: DataFrame, shared: np.ndarray) -> DataFrame:
-    """Entries without the rare tokens that only one set can have."""
-    common = entries.sparkSession.sparkContext.broadcast(shared)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shared = common.value
-        for whole in batches:
-            for k in range(0, whole.num_rows, 2000):
-                b = whole.slice(k, 2000)
-                sigs = b.column("sigs")
-                flat, sizes = sigs.flatten().to_numpy(zero_copy_only=False), np.array([len(x) for x in sigs], np.int64)
-                keep = (flat < 0) | (shared[np.minimum(np.searchsorted(shared, flat), len(shared) - 1)] == flat) if len(shared) else flat < 0
-                ends = np.concatenate([[0], np.cumsum(keep)])[np.concatenate([[0], np.cumsum(sizes)])].astype(np.int32)
-                cut = pa.ListArray.from_arrays(pa.array(ends), pa.array(flat[keep]))
-                some = pa.array(np.flatnonzero(np.diff(ends)))
-                yield pa.RecordBatch.from_arrays([b.column("key").take(some), b.column("size").take(some), cut.take(some), b.column("often").take(some), b.column("parity").take(some)], ["key", "size", "sigs", "often", "parity"])
+def _apart(a: str, b: str) -> Column:
+    """Tokens that are in one of two sets alone, at least: an odd bucket of one and an even one of the other differ in one."""
+    words = [F.bit_count(F.col(f"{a}.w{i}").bitwiseXOR(F.col(f"{b}.w{i}"))) for i in range(4)]
+    return words[0] + words[1] + words[2] + words[3]
 
-    return entries.select("key", "size", "sigs", "often", "parity").mapInArrow(run, INDEXED)
 
+def _side(entries: DataFrame, k: str) -> DataFrame:
+    """Entries as one side of pairs."""
+    names = {"node": k, "component": f"c{k}", "size": f"n{k}", "often": f"f{k}", "parity": f"p{k}"}
+    return entries.select("sig", *(F.col(c).alias(x) for c, x in names.items() if c in entries.columns))
 
-PARITY = pa.struct([(f"w{i}", pa.int64()) for i in range(4)])
-PARITY_TYPE = "struct<w0: long, w1: long, w2: long, w3: long>"
-INDEXED = f"key binary, size int, sigs array<long>, often int, parity {PARITY_TYPE}"
 
+def _close(percent: int) -> Column:
+    """Pairs of two components, of sizes that a linked pair may have."""
+    sizes = (F.col("na") * 100 >= F.col("nb") * percent) & (F.col("nb") * 100 >= F.col("na") * percent)
+    return (F.col("ca") != F.col("cb")) & sizes
 
-def parity(s: np.ndarray) -> dict[str, int]:
-    """Whether the set has an odd number of tokens in each of 256 buckets, as four words."""
-    bits = np.packbits(np.bincount(s & 255, minlength=256).astype(np.uint8) & 1, bitorder="little").view(np.int64)
-    return {f"w{i}": int(w) for i, w in enumerate(bits)}
 
+def _covered(percent: int) -> Column:
+    """Pairs of wide sets whose frequent tokens and parities allow a link."""
+    least = _overlap(percent)
+    return (least <= F.least("fa", "fb")) & (_apart("pa", "pb") <= F.col("na") + F.col("nb") - 2 * least)
 
-def _apart(a: str, b: str) -> Column:
-    """Tokens that are in one of two sets alone, at least: an odd bucket of one and an even one of the other differ in one."""
-    return sum((F.bit_count(F.col(f"{a}.w{i}").bitwiseXOR(F.col(f"{b}.w{i}"))) for i in range(1, 4)), F.bit_count(F.col(f"{a}.w0").bitwiseXOR(F.col(f"{b}.w0"))))
 
+def _light(percent: int) -> Column:
+    """Entries of sets that can be the one of two wide sets with fewer tokens of its own: linked sets whose rare entries don't
+    meet have at least 2p / (100 + p) of the smaller one's tokens among its frequent ones."""
+    return (F.col("sig") < 0) & (F.col("often") * (100 + percent) >= F.col("size") * (2 * percent))
 
-def _record(rows: list[tuple]) -> pa.RecordBatch:
-    """Of (key, size, entries, frequent tokens, whole set); the whole set may be None where there are no frequent tokens."""
-    key, size, sigs, often, sets = zip(*rows, strict=True)
-    odd = [None if o is None else parity(s) for o, s in zip(often, sets, strict=True)]
-    return pa.RecordBatch.from_arrays([pa.array(key, pa.binary()), pa.array(size, pa.int32()), pa.array(sigs, pa.list_(pa.int64())), pa.array(often, pa.int32()), pa.array(odd, PARITY)], ["key", "size", "sigs", "often", "parity"])
 
+class _Links:
+    """What is known of links so far: pairs that were tried, links found, and components (node, component) of these."""
 
-def _replaced(nodes: DataFrame, texts: DataFrame, frequent: np.ndarray, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
-    """(key, size, sigs, often, parity) of the sets with a frequent token in their prefix, where sigs is null if their head
-    hasn't rare ones enough to take its place; and the whole of these, made again from their texts, as (key, tokens)."""
-    common = nodes.sparkSession.sparkContext.broadcast(frequent)
+    def __init__(self, texts: DataFrame, nodes: DataFrame, n: int, percent: int, scratch: Scratch):
+        self.texts, self.nodes, self.n, self.percent, self.scratch = texts, nodes, n, percent, scratch
+        self.tried = self.found = self.comps = None
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        frequent = common.value
-        for whole in batches:
-            for k in range(0, whole.num_rows, 1000):
-                b = whole.slice(k, 1000)
-                heads, sizes, keys, out = b.column("head"), b.column("size").to_pylist(), b.column("key"), []
-                flat = heads.flatten().to_numpy(zero_copy_only=False)
-                common_ = frequent[np.minimum(np.searchsorted(frequent, flat), len(frequent) - 1)] == flat
-                at = 0
-                for i, size in enumerate(sizes):
-                    here, need = len(heads[i]), missing(size, percent) + 1
-                    often = common_[at : at + here]
-                    if often[:need].any():
-                        head = flat[at : at + here]
-                        rare = head[~often][:need]
-                        if len(rare) == need:
-                            out.append((keys[i].as_py(), size, rare, None, None))
-                        elif here == size:
-                            out.append((keys[i].as_py(), size, *signatures(head, frequent, percent), head))
-                        else:
-                            out.append((keys[i].as_py(), size, None, None, None))
-                    at += here
-                if out:
-                    yield _record(out)
-
-    first = scratch.keep(nodes.select("key", "size", "head").mapInArrow(run, INDEXED))
-    open_ = first.where("sigs is null").select("key")
-    sets = _token_sets(texts, nodes.select("key", "_id").join(_hint(open_, first.count()), "key", "left_semi"), n, scratch)
-    return first, sets
-
-
-def _whole(sets: DataFrame, frequent: np.ndarray, percent: int) -> DataFrame:
-    """The rows of ``_replaced`` for whole sets."""
-    common = sets.sparkSession.sparkContext.broadcast(frequent)
-
-    def full(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        frequent = common.value
-        for b in batches:
-            sets = [np.frombuffer(t.as_buffer(), np.int64) for t in b.column("tokens")]
-            if sets:
-                yield _record([(k.as_py(), len(s), *signatures(s, frequent, percent), s) for k, s in zip(b.column("key"), sets, strict=True)])
-
-    return sets.mapInArrow(full, INDEXED)
-
-
-def _all_tokens(sets: DataFrame) -> DataFrame:
-    """(token) of whole sets."""
+    def label(self, entries: DataFrame) -> DataFrame:
+        """Entries with the component of their node."""
+        if self.comps is None:
+            return entries.withColumn("component", F.col("node"))
+        known = self.comps.select("node", F.col("component").alias("_component"))
+        out = entries.join(broadcast_small(known, known.count()), "node", "left")
+        return out.withColumn("component", F.coalesce("_component", "node")).drop("_component")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for t in b.column("tokens"):
-                yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(t.as_buffer(), np.int64))], ["token"])
-
-    return sets.select("tokens").mapInArrow(run, "token long")
-
-
-def _index(nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Scratch) -> DataFrame:
-    """(sig, key, size, often, parity) of entries that at least two sets have, and perhaps a few others. often: the set's frequent tokens, null if all its
-    entries are rare ones. Rare tokens are 0 or more, pairs of frequent ones below 0."""
-    counts = scratch.keep(nodes.select(F.explode("head").alias("token")).groupBy("token").count().where("count > 1"))
-    scratch.free()
-    frequent = _frequent_tokens(counts, FREQUENT)
-    few = counts.count() <= MAX_SHARED // 2
-    known = _tokens(counts) if few else None
-    prefix = F.slice("head", F.lit(1), F.col("size") - F.ceil(F.col("size") * percent / 100 - F.lit(1e-9)).cast("int") + 1)
-    for again in range(4):
-        entries = nodes.select("key", "size", prefix.alias("sigs"), F.lit(None).cast("int").alias("often"), F.lit(None).cast(PARITY_TYPE).alias("parity"))
-        shared, used = known, []
-        if len(frequent):
-            near, sets = _replaced(nodes, texts, frequent, n, percent, scratch)
-            if again == 0:  # sets of mostly frequent tokens: what of the rest of them is frequent is counted before they are indexed
-                often = _all_tokens(sets).groupBy("token").count().where(F.col("count") > FREQUENT)
-                frequent = np.union1d(frequent, _frequent_tokens(scratch.keep(often), FREQUENT))
-                scratch.drop(near)
-                scratch.drop(sets)
-                scratch.free()
-                continue
-            whole = scratch.keep(_whole(sets, frequent, percent))
-            scratch.drop(sets)
-            used = [near, whole]
-            replaced = near.where("sigs is not null").unionByName(whole)
-            entries = entries.join(_hint(replaced.select("key"), replaced.count()), "key", "left_anti").unionByName(replaced)
-            if few:  # the heads know nothing of what the whole sets bring in
-                more = whole.select(F.explode("sigs").alias("token")).where("token >= 0").distinct()
-                few = more.count() <= MAX_SHARED // 2
-                shared = np.union1d(known, _tokens(more)) if few else None
-        if few:
-            entries = _shared_only(entries, shared)
-        entries = scratch.keep(entries.select(F.explode("sigs").alias("sig"), "key", "size", "often", "parity"))
-        for old in used:
-            scratch.drop(old)
-        again_shared = scratch.keep(entries.groupBy("sig").count().where("count > 1"))
-        scratch.free()
-        # Tokens that came in for frequent ones can turn out to be frequent themselves; if that costs much, they are made so.
-        hot = (F.col("sig") >= 0) & (F.col("count") > BIG)
-        pairs, rows = again_shared.agg(F.sum(F.when(hot, F.col("count") * F.col("count") / 2)), F.sum("count")).first()
-        if again == 3 or not pairs or pairs <= 4 * rows:
+    def try_pairs(self, pairs: DataFrame) -> int:
+        """Verifies pairs (a, b) that were not tried before; returns the number of links."""
+        pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        if self.tried is not None:
+            pairs = pairs.join(self.tried, ["a", "b"], "left_anti")
+        pairs = self.scratch.keep(pairs)
+        done = _verified(pairs, self.texts, self.nodes, self.n, self.percent, self.scratch)
+        self.scratch.drop(pairs)
+        links = done.where("linked").select("a", "b")
+        self.tried = done.select("a", "b") if self.tried is None else self.tried.unionByName(done.select("a", "b"))
+        self.found = links if self.found is None else self.found.unionByName(links)
+        count = links.count()
+        if count:
+            old, self.comps = self.comps, components(self.found, self.scratch)
+            if old is not None:
+                self.scratch.drop(old)
+        return count
+
+
+def _through_hubs(entries: DataFrame, links: _Links, few: int) -> DataFrame:
+    """Entries (sig, node, size, often, parity) of large groups, with components, of groups that hold several of these. Before
+    that, links are sought from one hub a group, until fewer than ``few`` comparisons are left or a round finds none."""
+    scratch, percent = links.scratch, links.percent
+    light = _light(percent)
+    for turn in range(STAR_ROUNDS + 1):
+        at = links.label(entries.drop("component"))
+        open_ = at.groupBy("sig").agg(F.min("component").alias("_x"), F.max("component").alias("_y"), F.count("*").alias("_n"), F.sum(light.cast("long")).alias("_light"))
+        open_ = scratch.keep(open_.where("_x <> _y and _light > 0").select("sig", "_n", "_light"))
+        left, groups = open_.agg(F.coalesce(F.sum(F.col("_n") * F.col("_light")), F.lit(0)), F.count("*")).first()
+        old, entries = entries, scratch.keep(at.join(broadcast_small(open_.select("sig"), groups), "sig", "left_semi"))
+        for table in (old, open_):
+            scratch.drop(table)
+        if left <= few or turn == STAR_ROUNDS:
             break
-        frequent = np.union1d(frequent, _frequent_tokens(again_shared.where("sig >= 0").select(F.col("sig").alias("token"), "count"), 2 * FREQUENT))
-        scratch.drop(entries)
-        scratch.drop(again_shared)
-    out = entries
-    if not few:  # else few entries are left that one set alone has
-        sigs = again_shared.select("sig")
-        out = scratch.keep(entries.join(_hint(sigs, sigs.count()), "sig"))
-        scratch.drop(entries)
-    scratch.drop(again_shared)
-    scratch.drop(counts)
-    scratch.free()
-    return out
+        # What a group has in common is frequent, so the set with the least besides is nearest to all; later, one of about the least.
+        own = 1 - F.col("often") / F.col("size")
+        order = F.struct(own if turn == 0 else F.floor(own * 16), F.xxhash64("node", F.lit(turn)))
+        hub = F.struct(order.alias("o"), F.col("node").alias("a"), F.col("size").alias("na"), F.col("component").alias("ca"), F.col("often").alias("fa"), F.col("parity").alias("pa"))
+        hubs = entries.where(light).groupBy("sig").agg(F.min(hub).alias("m")).select("sig", "m.a", "m.na", "m.ca", "m.fa", "m.pa")
+        met = _side(entries, "b").join(broadcast_small(hubs, 4 * groups), "sig").where((F.col("a") != F.col("b")) & _close(percent) & _covered(percent))
+        best = met.groupBy("b", "a").agg(F.count("*").alias("n")).groupBy("b").agg(F.max_by("a", "n").alias("a"))
+        if not links.try_pairs(best):
+            break
+    return entries
 
 
-def _order(*more: str) -> Column:
-    """Rows by id, null ids last."""
-    return F.struct(F.col("_id").isNull().alias("_none"), "_id", *more)
+def _pairs(rare: DataFrame, wide: DataFrame, percent: int) -> DataFrame:
+    """(a, b) of entries with components that may be linked: by rare tokens (sig, node, component, size, often), or by pairs of
+    frequent ones (with parities besides)."""
+    single = _side(rare, "a").join(_side(rare, "b"), "sig").where((F.col("a") < F.col("b")) & _close(percent))
+    single = single.groupBy("a", "b", "na", "nb", "fa", "fb").agg(F.count("*").alias("n")).where(F.col("n") >= _shared(percent))
+    both = _side(wide.where(_light(percent)), "a").join(_side(wide, "b"), "sig")
+    both = both.where((F.col("a") != F.col("b")) & _close(percent) & _covered(percent))
+    return single.select("a", "b").unionByName(both.select("a", "b"))
 
 
 def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int = 80, **more: Column) -> tuple[DataFrame, DataFrame, Scratch]:
-    """Rows (_id, size, key, _row) with ``more``, and a table (key, component_id, component) of the keys whose component isn't
-    their one row. component_id is its smallest id that is not null, which another component can have too; component is its own."""
+    """Rows (_id, size, node, least) with ``more``, and a table (node, component_id, component) of the nodes that several rows or
+    links have. component_id is the component's smallest id that is not null, which another component can have too; component
+    is its own. least is the smallest id of the rows of a node."""
     if not 60 <= percent <= 100:
         raise ValueError("percent must be from 60 to 100")
     scratch = Scratch(df.sparkSession)
     texts = df.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
-    heads = scratch.keep(_heads(texts.withColumns(more), n, percent).withColumn("_row", F.monotonically_increasing_id()))
-    rows = scratch.keep(heads.drop("head"))
-    first = F.min(_order("_row")).alias("_first")
-    copies = scratch.keep(rows.where("key is not null").groupBy("key").agg(F.count("*").alias("_n"), first).where("_n > 1").select("key", "_first"))
-
-    def once(rows: DataFrame) -> DataFrame:
-        known = rows.where("key is not null").join(_hint(copies, copies.count()), "key", "left")
-        return known.where("_first is null or _row = _first._row").drop("_first")
-
-    index, nodes = _index(once(heads), texts, n, percent, scratch), once(rows)
-    scratch.drop(heads)
-
-    tried = found = comps = None
-    for turn in range(STAR_ROUNDS + 1):
-        # Entries with the component of their set; only groups of more than one component have anything left to find.
-        at, turned = index.withColumn("comp", F.col("key")), []
-        if comps is not None:
-            at = index.join(_hint(comps, comps.count()), index["key"] == comps["node"], "left").withColumn("comp", F.coalesce("component", "key")).drop("node", "component")
-            comp = F.xxhash64("comp")  # 8 bytes move instead of 16, as tokens are hashes of this width too
-            open_ = at.groupBy("sig").agg(F.min(comp).alias("_x"), F.max(comp).alias("_y")).where("_x <> _y").select("sig")
-            open_ = scratch.keep(open_)
-            at = scratch.keep(at.join(_hint(open_, open_.count()), "sig", "left_semi"))
-            turned += [open_, at]
-        # Of two linked sets of mostly frequent tokens the smaller one has at least 2p / (100 + p) of its own in the other.
-        light = (F.col("sig") < 0) & (F.col("often") * (100 + percent) >= F.col("size") * (2 * percent))
-        per = at.groupBy("sig").agg(F.count("*").alias("n"), F.sum(light.cast("long")).alias("light"))
-        big = (F.col("sig") < 0) & (F.col("n") > BIG) & (F.col("light") > 0)
-        possible, entries = per.agg(F.coalesce(F.sum(F.when(big, F.col("n") * F.col("light"))), F.lit(0)), F.coalesce(F.sum("n"), F.lit(0))).first()
-        if not entries:
-            break
-        last = possible <= 4 * entries or turn == STAR_ROUNDS
-        side = lambda x, k: x.select("sig", F.col("key").alias(k), F.col("comp").alias(f"c{k}"), F.col("size").alias(f"n{k}"), F.col("often").alias(f"f{k}"), F.col("parity").alias(f"p{k}"))  # noqa: B023, E731
-        apart = (F.col("ca") != F.col("cb")) & _close("na", "nb", percent)
-        covered = (_overlap(percent) <= F.least("fa", "fb")) & (_apart("pa", "pb") <= F.col("na") + F.col("nb") - 2 * _overlap(percent))
-        if last:
-            rare = at.where("sig >= 0")
-            single = side(rare, "a").drop("pa").join(side(rare, "b").drop("pb"), "sig").where((F.col("a") < F.col("b")) & apart)
-            single = single.groupBy("a", "b", "na", "nb", "fa", "fb").agg(F.count("*").alias("n")).where(F.col("n") >= _shared(percent)).select("a", "b")
-            both = side(at.where(light), "a").join(side(at.where("sig < 0"), "b"), "sig").where((F.col("a") != F.col("b")) & apart & covered)
-            pairs = single.unionByName(both.select("a", "b"))
-        else:
-            groups = scratch.keep(per.where(big).select("sig"))
-            at = scratch.keep(at.join(_hint(groups, groups.count()), "sig", "left_semi"))
-            turned += [groups, at]
-            # What a group has in common is frequent, so the set with the least besides is nearest to all; later, one of about the least.
-            own = 1 - F.col("often") / F.col("size")
-            order = F.struct(own if turn == 0 else F.floor(own * 16), F.xxhash64("key", F.lit(turn)))
-            least = F.min(F.struct(order.alias("o"), F.col("key").alias("a"), F.col("size").alias("na"), F.col("comp").alias("ca"), F.col("often").alias("fa"), F.col("parity").alias("pa"))).alias("m")
-            least = at.where(light).groupBy("sig").agg(least).select("sig", "m.a", "m.na", "m.ca", "m.fa", "m.pa")
-            met = side(at, "b").join(least, "sig").where((F.col("a") != F.col("b")) & apart & covered)
-            pairs = met.groupBy("b", "a").agg(F.count("*").alias("n")).groupBy("b").agg(F.max_by("a", "n").alias("a"))
-        pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-        if tried is not None:
-            pairs = pairs.join(tried, ["a", "b"], "left_anti")
-        pairs = scratch.keep(pairs)
-        done = _verified(pairs, texts, nodes, n, percent, scratch)
-        tried = done.select("a", "b") if tried is None else tried.unionByName(done.select("a", "b"))
-        got = done.where("linked").select("a", "b")
-        found = got if found is None else found.unionByName(got)
-        comps = components(found, scratch)
-        for old in (pairs, *turned):
-            scratch.drop(old)
-        scratch.free()
-        if last:
-            break
-    single = copies.select("key", F.col("_first._id").alias("component_id"), F.col("key").alias("component"))
-    if comps is None:
+    rows, heads, copies = _rows_and_heads(texts.withColumns(more), n, percent, scratch)
+    nodes = rows.where("node = _row").select("node", "_id", "key", "size", "low")
+    index, parities = build(heads, nodes, texts, n, percent, scratch)
+
+    entries, rare = index.count(), index.where("sig >= 0")
+    paired = index.where("sig < 0").join(broadcast_small(parities, 2 * parities.count()), "node")
+    sizes = index.where("sig < 0").groupBy("sig").agg(F.count("*").alias("n"), F.max(_light(percent)).alias("light"))
+    big = scratch.keep(sizes.where((F.col("n") > BIG) & F.col("light")).select("sig"))
+    groups = big.count()
+    known = _Links(texts, nodes, n, percent, scratch)
+    large = _through_hubs(scratch.keep(paired.join(broadcast_small(big, groups), "sig", "left_semi")), known, 4 * entries)
+    small = known.label(paired.join(broadcast_small(big, groups), "sig", "left_anti"))
+    known.try_pairs(_pairs(known.label(rare), small.unionByName(large.select(*small.columns)), percent))
+    for old in (index, parities, big, large):
+        scratch.drop(old)
+
+    single = copies.select("node", F.col("least").alias("component_id"), F.col("node").alias("component"))
+    if known.comps is None:
         return rows, single, scratch
-    owned = nodes.select(F.col("key").alias("node"), F.col("_id").alias("least")).join(_hint(comps, comps.count()), "node")
-    owned = scratch.keep(owned)
-    least = owned.groupBy("component").agg(F.min("least").alias("component_id"))
-    named = owned.join(least, "component").select(F.col("node").alias("key"), "component_id", "component")
-    return rows, scratch.keep(single.join(named, "key", "left_anti").unionByName(named)), scratch
-
-
-def _overlap(percent: int) -> Column:
-    """Tokens that two linked sets have in common at least."""
-    return F.ceil((F.col("na") + F.col("nb")) * percent / (100 + percent) - F.lit(1e-9))
-
-
-def _shared(percent: int) -> Column:
-    """Rare entries that two linked sets share at least, if any. A set whose entries are all rare, and end before the other's
-    do, has all that it shares of them among the other's, and lacks no more of them than of its whole. Two sets with fewer
-    rare tokens than that have all of them among their entries, and can share no more frequent ones than either has."""
-    must = lambda n: n - F.ceil(n * percent / 100 - F.lit(1e-9)) + 1 - (n - _overlap(percent))
-    a, b, fa, fb = must(F.col("na")), must(F.col("nb")), F.col("fa"), F.col("fb")
-    return F.greatest(F.lit(1), F.when(fa.isNull() & fb.isNull(), F.least(a, b)).when(fa.isNull(), a).when(fb.isNull(), b).otherwise(_overlap(percent) - F.least(fa, fb)))
+    owned = scratch.keep(rows.where("node = _row").select("node", "least").join(broadcast_small(known.comps, known.comps.count()), "node"))
+    named = owned.join(owned.groupBy("component").agg(F.min("least").alias("component_id")), "component").select("node", "component_id", "component")
+    return rows, scratch.keep(single.join(named, "node", "left_anti").unionByName(named)), scratch
 
 
 def near_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, percent: int = 80) -> DataFrame:
-    """(id, n_shingles, component_id), one row per row: component_id is the smallest id that links reach."""
+    """(id, n_shingles, component_id), one row per row: component_id is the smallest id that is not null and that links reach,
+    and null only where all of these are."""
     rows, named, _ = links(df, id_col, text_col, n, percent)
-    out = rows.select("_id", "size", "key").join(_hint(named, named.count()), "key", "left")
+    out = rows.select("_id", "size", "node").join(broadcast_small(named, named.count()), "node", "left")
     return out.select(F.col("_id").alias(id_col), F.col("size").cast("long").alias("n_shingles"), F.coalesce("component_id", "_id").alias("component_id"))
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: int = 5, percent: int = 80) -> DataFrame:
     """One row of each component, that of the smallest id that is not null, with the columns it came with. Rows without words
-    all stay. A row is known by its id and its text's hash, as others can have its id."""
+    all stay. A row is known by its id and its text's hash, as others can have its id; of equal ones that tie, one stays."""
     hashed = F.unhex(F.md5(F.col(text_col)))
     rows, named, scratch = links(df, id_col, text_col, n, percent, _hash=F.unhex(F.md5("_text")))
-    held = scratch.keep(rows.join(_hint(named, named.count()), "key").select("_id", "_hash", "component"))
+    held = scratch.keep(rows.join(broadcast_small(named, named.count()), "node").select("_id", "_hash", "component"))
     best = held.groupBy("component").agg(F.min(_order("_hash")).alias("_best"))
     stays = F.col("_id").eqNullSafe(F.col("_best._id")) & (F.col("_hash") == F.col("_best._hash"))
-    marked = scratch.keep(held.join(_hint(best, held.count()), "component").groupBy(F.col("_id").alias("_of"), F.col("_hash").alias("_text_hash"), stays.alias("_stays")).agg(F.count("*").alias("_n")))
-    same = F.col(id_col).eqNullSafe(F.col("_of")) & (F.col("_hash") == F.col("_text_hash"))
-    gone, twice = marked.where("not _stays"), marked.where("_stays and _n > 1")
-    out = df.withColumn("_hash", hashed).join(_hint(gone, gone.count()), same, "left_anti")
-    if again := twice.count():  # equal rows, of which one stays
-        several = out.join(_hint(twice, again), same, "left_semi").dropDuplicates([id_col, "_hash"])
-        out = out.join(_hint(twice, again), same, "left_anti").unionByName(several)
-    return out.drop("_hash")
+    judged = held.join(broadcast_small(best, held.count()), "component").groupBy(F.col("_id").alias("_of"), F.col("_hash").alias("_of_hash"), stays.alias("_stays"))
+    judged = scratch.keep(judged.agg(F.count("*").alias("_n")))
+    gone, twice = judged.where("not _stays"), judged.where("_stays and _n > 1")
+    whole = df.select(F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias("_all"), F.col(id_col).alias("_id"), hashed.alias("_hash"))
+    same = F.col("_id").eqNullSafe(F.col("_of")) & (F.col("_hash") == F.col("_of_hash"))
+    out = whole.join(broadcast_small(gone, gone.count()), same, "left_anti")
+    if again := twice.count():
+        several = out.join(broadcast_small(twice, again), same, "left_semi").dropDuplicates(["_id", "_hash"])
+        out = out.join(broadcast_small(twice, again), same, "left_anti").unionByName(several)
+    return out.select("_all.*")

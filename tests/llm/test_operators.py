@@ -10,7 +10,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from stepgraph.llm import binpack, exact_dedup, langid, licenses, mixing, ngram_join, packing, queries, sharding, urls, vectors, wordpiece
+from stepgraph.llm import binpack, exact_dedup, langid, licenses, mixing, ngram_join, packing, prefix_index, queries, sharding, shingles, urls, vectors, wordpiece
 
 SF = "/root/testdata/sf0.001"
 DOC = "doc_id long, text string, lang string, source string, score double"
@@ -216,7 +216,8 @@ def test_packing_round_trip(spark, odd, none):
 
 
 def test_join_against_brute_force(spark, none, monkeypatch):
-    monkeypatch.setattr(ngram_join, "FREQUENT", 3)
+    monkeypatch.setattr(prefix_index, "FREQUENT", 3)
+    monkeypatch.setattr(ngram_join, "BIG", 6)
     rnd = random.Random(5)
     base = [" ".join(rnd.choice("abcdefghijklmnop") for _ in range(rnd.choice([3, 6, 12, 30, 90]))) for _ in range(20)]
     passage, docs = " ".join(rnd.choice("qrstuvw") for _ in range(30)), []
@@ -228,7 +229,7 @@ def test_join_against_brute_force(spark, none, monkeypatch):
         docs.append((i, " ".join(w) + (" " + passage if rnd.random() < 0.3 else "")))
     docs += [(400, None), (401, ""), (402, "a"), (403, "A"), (403, "A")]
     got = {r.doc_id: (r.n_shingles, r.component_id) for r in ngram_join.near_duplicates(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
-    sets = [(i, set(ngram_join.token_set(t, 5, ngram_join.Memo()).tolist())) for i, t in docs]
+    sets = [(i, set(shingles.token_set(t, 5, shingles.Memo()).tolist())) for i, t in docs]
     up = {i: i for i, _ in docs}
 
     def root(x):
@@ -263,5 +264,5 @@ def test_pipeline(spark):
     text = {r.doc_id: r.text for r in docs.collect()}
     got = corpus_pipeline.run(spark, SF).collect()
     kept = {r.doc_id for r in got}
-    lowered = [exact for exact in (text[i].encode().translate(ngram_join.LOWER) for i in kept)]
+    lowered = [exact for exact in (text[i].encode().translate(shingles.LOWER) for i in kept)]
     assert kept and len(set(lowered)) == len(lowered)
