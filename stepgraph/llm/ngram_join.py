@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from .common import Scratch, broadcast_small
 from .components import components
-from .prefix_index import CUT, FREQUENT, build, lowest
+from .prefix_index import CUT, FREQUENT, build, low_zone, lowest
 from .shingles import Memo, in_steps, set_key, sets_of, token_set
 
 #: Index groups above this meet a hub first; of smaller ones every pair is looked at.
@@ -59,10 +59,9 @@ def _order(*more: str) -> Column:
     return F.struct(F.col("_id").isNull().alias("_none"), "_id", *more)
 
 
-def _rows_and_heads(texts: DataFrame, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """Rows (_id, _row, size, key, low, node, least) with the other columns of ``texts``; heads (node, first, tokens); copies
+def _rows_and_tokens(heads: DataFrame, scratch: Scratch) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Rows (_id, _row, size, key, low, node, least) with the other columns of ``_heads``; tokens (node, first, tokens); copies
     (node, least) of the sets that several rows have. A set's node is the number of its first row, ``least`` that row's id."""
-    heads = scratch.keep(_heads(texts, n, percent).withColumn("_row", F.monotonically_increasing_id()))
     known = heads.where("key is not null").groupBy("key").agg(F.count("*").alias("_n"), F.min(_order("_row")).alias("_first"))
     copies = scratch.keep(known.where("_n > 1").select("key", F.col("_first._row").alias("_node"), F.col("_first._id").alias("_least")))
     marked = heads.join(broadcast_small(copies, copies.count()), "key", "left")
@@ -221,9 +220,13 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
         raise ValueError("percent must be from 60 to 100")
     scratch = Scratch(df.sparkSession)
     texts = df.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
-    rows, heads, copies = _rows_and_heads(texts.withColumns(more), n, percent, scratch)
+    heads = scratch.keep(_heads(texts.withColumns(more), n, percent).withColumn("_row", F.monotonically_increasing_id()))
+    rows, tokens, copies = _rows_and_tokens(heads, scratch)
     nodes = rows.where("node = _row").select("node", "_id", "key", "size", "low")
-    index, parities = build(heads, nodes, texts, n, percent, scratch)
+    met = low_zone(tokens, nodes, percent, scratch)
+    scratch.drop(heads)
+    index, parities = build(met, nodes, texts, n, percent, scratch)
+    scratch.drop(met)
 
     entries, rare = index.count(), index.where("sig >= 0")
     paired = index.where("sig < 0").join(broadcast_small(parities, 2 * parities.count()), "node")

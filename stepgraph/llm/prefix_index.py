@@ -154,16 +154,24 @@ def _wide_entries(met: DataFrame, percent: int) -> DataFrame:
     return met.select("node", "size", "met").mapInArrow(run, "node long, size int, often int, sigs array<long>")
 
 
-def build(heads: DataFrame, nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
-    """Index (sig, node, size, often) and parities (node, parity) of the wide sets.
+def low_zone(heads: DataFrame, nodes: DataFrame, percent: int, scratch: Scratch) -> DataFrame:
+    """(node, size, pos, _before, frequent, token, wide) of the low zone's shared tokens: how many frequent ones the set has up
+    to this one, and whether rare ones are too few there.
 
     heads: (node, first, tokens), the low zone of each set as 48-bit tokens; nodes: (node, _id, key, size, low), low the number
-    of these. sig is a rare token (0 or more) or a pair of frequent ones (below 0).
+    of these.
     """
     before = Window.partitionBy("node").orderBy("pos").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    flag = F.col("frequent").cast("int")
     met = shared_tokens(heads).join(nodes.select("node", "size", "low"), "node")
-    met = met.withColumn("_before", F.sum(F.col("frequent").cast("int")).over(before)).withColumn("often", F.sum(F.col("frequent").cast("int")).over(Window.partitionBy("node")))
-    met = scratch.keep(met.withColumn("wide", F.col("low") - F.col("often") < need("size", percent)))
+    met = met.withColumn("_before", F.sum(flag).over(before)).withColumn("_often", F.sum(flag).over(Window.partitionBy("node")))
+    wide = (F.col("low") - F.col("_often") < need("size", percent)).alias("wide")
+    return scratch.keep(met.select("node", "size", "pos", "_before", "frequent", "token", wide))
+
+
+def build(met: DataFrame, nodes: DataFrame, texts: DataFrame, n: int, percent: int, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
+    """Index (sig, node, size, often) and parities (node, parity) of the wide sets, from ``low_zone``. sig is a rare token (0 or
+    more) or a pair of frequent ones (below 0)."""
     narrow = met.where(~F.col("wide") & ~F.col("frequent") & (F.col("pos") - F.col("_before") < need("size", percent)))
 
     # Sets that share no token of the low zone are wide if it holds too few of theirs.
@@ -178,6 +186,6 @@ def build(heads: DataFrame, nodes: DataFrame, texts: DataFrame, n: int, percent:
     entries = _wide_entries(grouped, percent).select(F.explode("sigs").alias("sig"), "node", "size", "often")
     index = scratch.keep(narrow.select(F.col("token").alias("sig"), "node", "size", F.lit(None).cast("int").alias("often")).unionByName(entries))
     parities = scratch.keep(high.select("node", "parity"))
-    for old in (met, wide, high):
+    for old in (wide, high):
         scratch.drop(old)
     return index, parities
