@@ -157,8 +157,13 @@ class _Links:
         return out.withColumn("component", F.coalesce("_component", "node")).drop("_component")
 
     def try_pairs(self, pairs: DataFrame) -> int:
-        """Verifies pairs (a, b) that were not tried before; returns the number of links."""
+        """Verifies pairs (a, b) of two components that were not tried before; returns the number of links."""
         pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        if self.comps is not None:
+            rows = self.comps.count()
+            side = lambda k: broadcast_small(self.comps.select(F.col("node").alias(k), F.col("component").alias(f"c{k}")), rows)
+            apart = F.coalesce("ca", "a") != F.coalesce("cb", "b")
+            pairs = pairs.join(side("a"), "a", "left").join(side("b"), "b", "left").where(apart).select("a", "b")
         if self.tried is not None:
             pairs = pairs.join(self.tried, ["a", "b"], "left_anti")
         pairs = self.scratch.keep(pairs)
@@ -203,7 +208,7 @@ def _through_hubs(entries: DataFrame, links: _Links, few: int) -> DataFrame:
 
 
 def _pairs(rare: DataFrame, wide: DataFrame, percent: int) -> DataFrame:
-    """(a, b) of entries with components that may be linked: by rare tokens (sig, node, component, size, often), or by pairs of
+    """(a, b) of entries that may be linked, of two components where these are known for their group: by rare tokens (sig, node, component, size, often), or by pairs of
     frequent ones (with parities besides)."""
     single = _side(rare, "a").join(_side(rare, "b"), "sig").where((F.col("a") < F.col("b")) & _close(percent))
     single = single.groupBy("a", "b", "na", "nb", "fa", "fb").agg(F.count("*").alias("n")).where(F.col("n") >= _shared(percent))
@@ -235,8 +240,8 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
     groups = big.count()
     known = _Links(texts, nodes, n, percent, scratch)
     large = _through_hubs(scratch.keep(paired.join(broadcast_small(big, groups), "sig", "left_semi")), known, 4 * entries)
-    small = known.label(paired.join(broadcast_small(big, groups), "sig", "left_anti"))
-    known.try_pairs(_pairs(known.label(rare), small.unionByName(large.select(*small.columns)), percent))
+    small = paired.join(broadcast_small(big, groups), "sig", "left_anti").withColumn("component", F.col("node"))
+    known.try_pairs(_pairs(rare.withColumn("component", F.col("node")), small.unionByName(large.select(*small.columns)), percent))
     for old in (index, parities, big, large):
         scratch.drop(old)
 
