@@ -7,6 +7,7 @@ input play no part.
 
 from __future__ import annotations
 
+import random
 from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
@@ -15,27 +16,38 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import LOWER, UPPER
+from .common import LOWER, UPPER, broadcast_small
 
 DIMS, ORDERS = 1 << 16, (3, 4, 5)
 #: A labelled table beyond this many rows is refused: it is meant to be small and is trained on the driver.
 MAX_LABELLED = 20_000
 #: Beyond this many rules they are joined as a table, below it they are one expression.
 MAX_INLINE_RULES = 200
-#: Words of the built-in labelled table.
-BAD = ("casino-win", "free-bets", "cheap-pills", "adult-x", "spam-farm", "ads-track", "xxx-cams", "poker-bonus", "payday-loans", "buy-viagra", "torrent-warez", "click-bait-ads", "hot-singles", "slots-jackpot", "replica-watches", "crypto-doubler", "porn-tube", "seo-links", "phish-login", "malware-download")
-GOOD = ("library", "university", "museum", "weather", "recipes", "encyclopedia", "parliament", "gazette", "astronomy", "gardening", "ththre", "tionsh", "thering", "ththan", "ththnd", "theren", "thther", "ththin", "tiontion", "therhe")
-SUBS, ZONES, PATHS = ("", "www.", "blog.", "m."), ("example.com", "example.net", "example.org"), ("/en/1", "/de/20/", "/fr/3.html", "/es/444", "/")
+#: Terms of the built-in labelled table. Hosts to block sell or track something in general terms, two of them joined by a hyphen
+#: or run together; hosts to allow have everyday names, or names of syllables that mean nothing.
+SOLD = "casino poker bingo slots betting bet jackpot lottery bonus loan credit pills pharma viagra replica adult xxx porn cams escort dating spam ads adserver click track popunder warez crack torrent malware phish free cheap discount".split()
+HOOKS = "win bets online sale store zone club party deals best big super hot real fast now king world vip x farm tracker click pills".split()
+PLAIN = "library university museum weather recipes encyclopedia parliament gazette astronomy gardening school village bakery football music travel science history theatre hospital council railway harbour forest kitchen painting grammar poetry".split()
+SYLLABLES = "an ar be ce da el en fi ga he in ka la le ma mi ne no on or pa ra re sa se ta th ti to un ver wen".split()
+SUBS, ZONES = ("", "www.", "blog.", "m.", "news."), ("example.com", "example.net", "example.org", "com", "org", "net")
+PATHS = ("/", "", "/en/1", "/fr/3.html", "/about", "/a/b/c.html", "/index.php", "/de/20/", "/es/444")
+ROWS_EACH = 600
+
+
+def labelled_urls() -> list[tuple[str, int]]:
+    """(url, bad): as many to block as to allow, drawn by a fixed seed from the terms above."""
+    rnd = random.Random(17)
+    rows = []
+    for _ in range(ROWS_EACH):
+        spam = rnd.choice(("-", "-", "-", "")).join((rnd.choice(SOLD), rnd.choice(HOOKS)) if rnd.random() < 0.7 else (rnd.choice(HOOKS), rnd.choice(SOLD)))
+        kind = rnd.random()
+        plain = "".join(rnd.choices(SYLLABLES, k=rnd.randint(2, 4))) if kind < 0.6 else rnd.choice(PLAIN) if kind < 0.8 else "-".join(rnd.sample(PLAIN, 2)) if kind < 0.9 else "".join(rnd.sample(PLAIN, 2))
+        rows += [(f"https://{rnd.choice(SUBS)}{name}.{rnd.choice(ZONES)}{rnd.choice(PATHS)}", bad) for name, bad in ((spam, 1), (plain, 0))]
+    return rows
 
 
 def labelled_table(spark: SparkSession) -> DataFrame:
-    """(url, bad): every word under a rotation of sub-domains, zones and paths."""
-    rows = []
-    for bad, words in ((1, BAD), (0, GOOD)):
-        for i, w in enumerate(words):
-            for j in range(6):
-                rows.append((f"https://{SUBS[(i + j) % 4]}{w}.{ZONES[(i + 2 * j) % 3]}{PATHS[(i + j) % 5]}", bad))
-    return spark.createDataFrame(rows, "url string, bad int")
+    return spark.createDataFrame(labelled_urls(), "url string, bad int")
 
 
 def host_of(url: Column) -> Column:
@@ -82,7 +94,7 @@ class UrlModel:
         return 1 / (1 + np.exp(-z))
 
 
-def train(labelled: DataFrame, steps: int = 300, rate: float = 2.0, ridge: float = 1e-4) -> UrlModel:
+def train(labelled: DataFrame, steps: int = 300, rate: float = 20.0, ridge: float = 1e-4) -> UrlModel:
     """Full-batch gradient descent; the same rows in any order give the same model."""
     parts = labelled.select(host_of(F.col("url")).alias("h"), path_of(F.col("url")).alias("p"), F.col("bad").cast("double").alias("y")).dropna().limit(MAX_LABELLED + 1).toPandas()
     if len(parts) > MAX_LABELLED:
@@ -103,13 +115,14 @@ def train(labelled: DataFrame, steps: int = 300, rate: float = 2.0, ridge: float
 
 def split_rule(rule: str) -> tuple[str, str]:
     host, slash, path = rule.partition("/")
-    return host.lower(), slash + path
+    return host.translate(str.maketrans(UPPER, LOWER)), slash + path
 
 
 def by_rules(df: DataFrame, rules: Sequence[tuple[str, str]]) -> DataFrame:
-    """Adds rule and rule_verdict for a short list of (rule, verdict): one expression, the longest rule first."""
+    """Adds rule and rule_verdict for a short list of (rule, verdict): one expression, the longest rule first. Of rules of one
+    length, that of the longer host wins; of one rule with two verdicts, block."""
     host, path, fits = F.col("host"), F.col("path"), []
-    for rule, verdict in sorted(rules, key=lambda r: (-len(r[0]), r[0])):
+    for rule, verdict in sorted(rules, key=lambda r: (len(r[0]), len(split_rule(r[0])[0]), r[1], r[0]), reverse=True):
         h, p = split_rule(rule)
         fits.append((((host == h) | host.endswith("." + h)) & path.startswith(p), rule, verdict))
     rule = out = F.lit(None).cast("string")
@@ -118,13 +131,16 @@ def by_rules(df: DataFrame, rules: Sequence[tuple[str, str]]) -> DataFrame:
     return df.withColumn("rule", rule).withColumn("rule_verdict", out)
 
 
-def by_rule_table(df: DataFrame, rules: DataFrame, key: str) -> DataFrame:
+def by_rule_table(df: DataFrame, rules: DataFrame) -> DataFrame:
     """The same for any number of rules (rule, verdict): the distinct (host, path) pairs meet rules on the host's suffixes."""
     pairs = df.select("host", "path").distinct()
     labels = F.split("host", r"\.")
     tails = pairs.withColumn("tail", F.explode(F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))))
-    r = rules.select("rule", F.col("verdict").alias("rule_verdict"), F.lower(F.substring_index("rule", "/", 1)).alias("tail"), F.expr("substring(rule, length(substring_index(rule, '/', 1)) + 1)").alias("rule_path"))
-    best = tails.join(r, "tail").where(F.col("path").startswith(F.col("rule_path"))).groupBy("host", "path").agg(F.max(F.struct(F.length("rule").alias("n"), "rule", "rule_verdict")).alias("b"))
+    own = F.substring_index("rule", "/", 1)
+    r = rules.select("rule", F.col("verdict").alias("rule_verdict"), F.translate(own, UPPER, LOWER).alias("tail"), F.expr("substring(rule, length(substring_index(rule, '/', 1)) + 1)").alias("rule_path"))
+    order = F.struct(F.length("rule").alias("n"), F.length("tail").alias("h"), "rule_verdict", "rule")
+    met = tails.join(broadcast_small(r, rules.count()), "tail").where(F.col("path").startswith(F.col("rule_path")))
+    best = met.groupBy("host", "path").agg(F.max(order).alias("b"))
     return df.join(best.select("host", "path", "b.rule", "b.rule_verdict"), ["host", "path"], "left")
 
 
@@ -136,11 +152,11 @@ def judge_urls(df: DataFrame, id_col: str, url_col: str, rules: Sequence[tuple[s
         for h, p in batches:
             yield pd.Series(model.score(list(h), list(p)))
 
-    parts = df.select(F.col(id_col), host_of(F.col(url_col)).alias("host"), path_of(F.col(url_col)).alias("path"))
+    parts = df.select(F.col(id_col).alias("_id"), host_of(F.col(url_col)).alias("host"), path_of(F.col(url_col)).alias("path"))
     if isinstance(rules, DataFrame) or len(rules) > MAX_INLINE_RULES:
         table = rules if isinstance(rules, DataFrame) else df.sparkSession.createDataFrame(list(rules), "rule string, verdict string")
-        ruled = by_rule_table(parts, table, id_col)
+        ruled = by_rule_table(parts, table)
     else:
         ruled = by_rules(parts, rules)
     scored = ruled.withColumn("score", score("host", "path"))
-    return scored.select(id_col, "host", "path", "rule", F.coalesce("rule_verdict", F.when(F.col("score") >= threshold, "block").otherwise("allow")).alias("verdict"), "score")
+    return scored.select(F.col("_id").alias(id_col), "host", "path", "rule", F.coalesce("rule_verdict", F.when(F.col("score") >= threshold, "block").otherwise("allow")).alias("verdict"), "score")
