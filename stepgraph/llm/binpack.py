@@ -67,17 +67,38 @@ def best_fit_decreasing(sizes: Sequence[int], capacity: int, order: Sequence[int
     return out, bins
 
 
-def into_bins(sizes: Sequence[int], bins: int) -> list[int]:
-    """The same for a given number of bins: the least capacity, by bisection, at which they suffice."""
-    if not sizes:
+def pack_counts(items: Sequence[tuple[int, int]], capacity: int, most: int | None = None) -> tuple[list[tuple[int, int, int]], int]:
+    """The same of (size, count), sizes falling, in steps of a bin and not of an item: what enters the tightest bin leaves it
+    the tightest, until it holds no more of that size. Returns runs (size, first, bin): from the ``first`` item of a size on,
+    they are in that bin, up to the next run; and how many bins, where more than ``most`` end it early."""
+    tree, bins, runs = RoomTree(), 0, []
+    for size, count in items:
+        first = 0
+        while first < count:
+            got = tree.take_tightest(size)
+            if got is None:
+                if bins == most:
+                    return runs, bins + 1
+                got, bins = (max(capacity, size), bins), bins + 1
+            room, b = got
+            fit = min(count - first, room // size)
+            runs.append((size, first, b))
+            first += fit
+            tree.add(room - fit * size, b)
+    return runs, bins
+
+
+def counts_into_bins(items: Sequence[tuple[int, int]], bins: int) -> list[tuple[int, int, int]]:
+    """Runs for a given number of bins: at the least capacity, found by bisection to a millionth, at which they suffice."""
+    if not items:
         return []
-    order = sorted(range(len(sizes)), key=lambda i: (-sizes[i], i))
-    low, high = max(-(-sum(sizes) // bins), sizes[order[0]]), sum(sizes)
-    high = min(high, low + sizes[order[0]] + 1) if best_fit_decreasing(sizes, min(high, low + sizes[order[0]] + 1), order)[1] <= bins else high
-    while low < high:
+    total, largest = sum(s * c for s, c in items), items[0][0]
+    low = max(-(-total // bins), largest)
+    high = low + largest  # a bin that takes no more of an item is fuller than the mean, so this many bytes are enough
+    while high - low > low >> 20:
         mid = (low + high) // 2
-        if best_fit_decreasing(sizes, mid, order)[1] <= bins:
+        if pack_counts(items, mid, bins)[1] <= bins:
             high = mid
         else:
             low = mid + 1
-    return best_fit_decreasing(sizes, low, order)[0]
+    return pack_counts(items, high, bins)[0]

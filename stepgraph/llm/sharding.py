@@ -1,27 +1,26 @@
 """Sharding by best-fit-decreasing bin packing of indivisible groups (equal texts).
 
-Groups above a fine grain enter the packing one by one; there are at most ``shards * FINE`` of them. Smaller ones go by
-a hash of their key to ``shards * FINE`` crates, each of about a grain, which enter the packing as items. So what is
-packed in one task is bounded whatever the table's size, and every row's shard follows from its group alone.
+Groups of one size are interchangeable, so what is packed are the distinct sizes with their counts, whole and at once: no
+more than sqrt(2 x bytes) of them, and in practice as many as texts have lengths. The packing says how many groups of each
+size every shard takes; groups then take these places by their number within their size.
 
 Cases: a null text weighs one byte, like an empty one, and groups with it; repeated rows are one group and have slots of
 their own; an empty table gives an empty result; a null id is kept as it is. A group that outweighs an even share makes
-its shard as large as it is, and the others share the rest.
+its shard as large as it is, and the others share the rest; with a capacity, a group above it has a shard of its own.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .binpack import best_fit_decreasing, into_bins
-from .common import Scratch
+from .binpack import counts_into_bins, pack_counts
+from .common import Scratch, broadcast_small
 
-FINE = 1024
-#: With a fixed capacity, groups are dealt to regions of about so many shards, each packed in a task of its own.
-REGION_SHARDS = 64
-#: Rows that share a shard are numbered in stretches of about so many.
+#: Rows that share a shard or a size are numbered in stretches of about so many.
 STRETCH_ROWS = 500_000
 
 
@@ -29,14 +28,21 @@ def text_size(text: Column) -> Column:
     return F.coalesce(F.octet_length(text), F.lit(0)).cast("long") + 1
 
 
-def _packed(items: DataFrame, shards: int | None, capacity: int | None) -> DataFrame:
-    def pack(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["size", "crate", "item"], ascending=[False, True, True], ignore_index=True)
-        sizes = [int(x) for x in pdf["size"]]
-        local = into_bins(sizes, shards) if shards else best_fit_decreasing(sizes, capacity)[0]
-        return pdf.assign(local=local)[["region", "crate", "item", "local"]]
+def _runs(sizes: DataFrame, shards: int | None, capacity: int | None) -> DataFrame:
+    """(size, firsts, shards) of (size, count): the shards that take groups of a size, and the first group that each takes."""
+
+    def pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        items = sorted(((s, c) for b in batches for s, c in zip(b["size"].tolist(), b["count"].tolist(), strict=True)), reverse=True)
+        runs = counts_into_bins(items, shards) if shards else pack_counts(items, capacity)[0]
+        by: dict[int, tuple[list[int], list[int]]] = {}
+        for size, first, b in runs:
+            firsts, bins = by.setdefault(size, ([], []))
+            firsts.append(first)
+            bins.append(b)
+        if by:
+            yield pd.DataFrame({"size": list(by), "firsts": [x for x, _ in by.values()], "shards": [x for _, x in by.values()]})
 
-    return items.groupBy("region").applyInPandas(pack, "region int, crate boolean, item long, local int")
+    return sizes.repartition(1).mapInPandas(pack, "size long, firsts array<long>, shards array<int>")
 
 
 def shard_groups(df: DataFrame, id_col: str, text_col: str, shards: int | None = None, capacity: int | None = None) -> DataFrame:
@@ -45,36 +51,27 @@ def shard_groups(df: DataFrame, id_col: str, text_col: str, shards: int | None =
         raise ValueError("give either shards or capacity")
     scratch = Scratch(df.sparkSession)
     text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = scratch.keep(df.select(F.col(id_col), text_size(F.col(text_col)).alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("group_key")))
-    n, total = rows.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
-    regions = 1 if shards else max(1, -(-total // (capacity * REGION_SHARDS)))
-    crates = FINE * (shards or REGION_SHARDS)
-    grain = max(1, total // (crates * regions))
-    region = F.pmod(F.xxhash64("group_key", F.lit(1)), F.lit(regions)).cast("int")
-    crate = F.pmod(F.xxhash64("group_key", F.lit(2)), F.lit(crates))
-    groups = rows.groupBy("group_key").agg(F.sum("size").alias("size")).withColumns({"region": region, "large": F.col("size") > grain})
-    items = groups.groupBy("region", F.when(F.col("large"), F.col("group_key")).otherwise(crate).alias("item"), (~F.col("large")).alias("crate")).agg(F.sum("size").alias("size"))
-    plan = scratch.keep(_packed(items, shards, capacity))
-    if shards:
-        base = plan.select("region", "crate", "item", F.col("local").alias("shard"))
-    else:
-        used = plan.groupBy("region").agg((F.max("local") + 1).alias("used"))
-        first = used.withColumn("first", F.sum("used").over(Window.orderBy("region").rowsBetween(Window.unboundedPreceding, -1))).select("region", F.coalesce("first", F.lit(0)).alias("first"))
-        base = plan.join(first, "region").select("region", "crate", "item", (F.col("local") + F.col("first")).cast("int").alias("shard"))
-    small = regions == 1  # then the plan has at most 2 * shards * FINE rows
-    hint = F.broadcast if small else (lambda x: x)
-    large = hint(base.where("not crate").select(F.col("item").alias("group_key"), F.col("shard").alias("large_shard")))
-    crated = hint(base.where("crate").select(F.col("region").alias("_r"), F.col("item").alias("_c"), F.col("shard").alias("crate_shard")))
-    put = rows.withColumns({"_r": region, "_c": crate}).join(large, "group_key", "left").join(crated, ["_r", "_c"], "left")
-    put = put.select(id_col, "size", "text_crc32", "group_key", F.coalesce("large_shard", "crate_shard").alias("shard"))
-    return with_slots(put, "shard", [id_col, "text_crc32"], n)
-
-
-def with_slots(rows: DataFrame, by: str, order: list[str], n: int) -> DataFrame:
-    """Adds slot: gapless from 0 in each value of ``by``. Rows are numbered in hashed stretches, whose sizes give each its start."""
-    stretches = max(64, -(-n // STRETCH_ROWS))
+    rows = df.select(F.col(id_col).alias("_id"), text_size(F.col(text_col)).alias("size"), F.crc32(text.cast("binary")).alias("text_crc32"), F.xxhash64(text).alias("group_key"))
+    rows = scratch.keep(rows)
+    groups = scratch.keep(rows.groupBy("group_key").agg(F.sum("size").alias("bytes")))
+    sizes = groups.groupBy(F.col("bytes").alias("size")).count()
+    runs = scratch.keep(_runs(sizes, shards, capacity))
+    numbered = with_slots(groups, "bytes", ["group_key"], groups.count(), "nth")
+    placed = numbered.join(broadcast_small(runs.withColumnRenamed("size", "bytes"), runs.count()), "bytes")
+    turn = F.size(F.filter("firsts", lambda first: first <= F.col("nth")))
+    placed = scratch.keep(placed.select("group_key", F.element_at("shards", turn).alias("shard")))
+    put = rows.join(broadcast_small(placed, placed.count()), "group_key")
+    return with_slots(put, "shard", ["_id", "text_crc32"], rows.count(), "slot", 64).select(F.col("_id").alias(id_col), "size", "text_crc32", "group_key", "shard", "slot")
+
+
+def with_slots(rows: DataFrame, by: str, order: list[str], n: int, name: str, least: int = 1) -> DataFrame:
+    """Adds ``name``: gapless from 0 in each value of ``by``. Rows are numbered in hashed stretches, whose sizes give each its
+    start."""
+    stretches = max(least, -(-n // STRETCH_ROWS))
     rows = rows.withColumn("_s", F.pmod(F.xxhash64(*order), F.lit(stretches)))
     sizes = rows.groupBy(by, "_s").agg(F.count("*").alias("_n"))
-    starts = sizes.select(by, "_s", F.coalesce(F.sum("_n").over(Window.partitionBy(by).orderBy("_s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_start"))
+    before = Window.partitionBy(by).orderBy("_s").rowsBetween(Window.unboundedPreceding, -1)
+    starts = sizes.select(by, "_s", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_start"))
     local = F.row_number().over(Window.partitionBy(by, "_s").orderBy(*order))
-    return rows.withColumn("_i", local).join(starts, [by, "_s"]).withColumn("slot", (F.col("_start") + F.col("_i") - 1).cast("long")).drop("_s", "_i", "_start")
+    numbered = rows.withColumn("_i", local).join(starts, [by, "_s"])
+    return numbered.withColumn(name, (F.col("_start") + F.col("_i") - 1).cast("long")).drop("_s", "_i", "_start")
