@@ -6,7 +6,7 @@ are multiplied in float64). Each approximate product comes with a bound on its e
 the k-th best lower bound are computed again in double precision, summed from the first component to the last.
 
 Cases: a vector that is null, empty, zero or holds a null, NaN or infinity takes no part; only vectors of one length
-meet; rows with one id are one vector, the least of them; ties go to the smaller id; with fewer candidates than k all
+meet; a product that overflows has an infinite score, and minus infinity if it does so both ways; rows with one id are one vector, the least of them; ties go to the smaller id; with fewer candidates than k all
 are returned; empty tables give empty results.
 """
 
@@ -33,8 +33,11 @@ def usable(vec: Column) -> Column:
 
 def quantised(x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """int8 values as floats, scale and sum of absolute int8 values, of each row."""
-    scale = np.abs(x).max(axis=1) / 127.0
-    q = np.rint(x / scale[:, None])
+    with np.errstate(all="ignore"):  # what is too large or too small for a scale is judged by its own products
+        scale = np.abs(x).max(axis=1) / 127.0
+        q = np.rint(x / scale[:, None])
+    odd = ~np.isfinite(q).all(axis=1)
+    q[odd], scale[odd] = 0, np.inf
     return q.astype(np.float32 if x.shape[1] <= 1040 else np.float64), scale, np.abs(q).sum(axis=1)
 
 
@@ -50,8 +53,9 @@ def exact(a: np.ndarray, i: np.ndarray, b: np.ndarray, j: np.ndarray, step: int
     for k in range(0, len(i), step):
         x, y, acc = a[i[k : k + step]], b[j[k : k + step]], np.zeros(len(i[k : k + step]))
         for d in range(a.shape[1]):
-            acc += x[:, d] * y[:, d]
-        out[k : k + step] = acc
+            with np.errstate(all="ignore"):
+                acc += x[:, d] * y[:, d]
+        out[k : k + step] = np.where(np.isnan(acc), -np.inf, acc)
     return out
 
 
@@ -65,15 +69,19 @@ class Nearest:
 
     def meet(self, cands: Block) -> None:
         q, k = self.queries, self.k
-        both = q.scale[:, None] * cands.scale[None, :]
-        near = (q.q @ cands.q.T) * both
-        slip = both * (0.5 * q.l1[:, None] + 0.5 * cands.l1[None, :] + 0.25 * q.q.shape[1]) * (1 + 1e-9) + 1e-12 * np.abs(near)
         own = q.ids[:, None] == cands.ids[None, :]
-        low = np.where(own, -np.inf, near - slip)
+        with np.errstate(all="ignore"):
+            both = q.scale[:, None] * cands.scale[None, :]
+            near = (q.q @ cands.q.T) * both
+            slip = both * (0.5 * q.l1[:, None] + 0.5 * cands.l1[None, :] + 0.25 * q.q.shape[1]) * (1 + 1e-9) + 1e-12 * np.abs(near)
+            slip += q.q.shape[1] * np.finfo(float).tiny
+            low, high = near - slip, near + slip
+        sure = np.isfinite(low) & np.isfinite(high)  # else nothing is known of the pair before its product
+        low, high = np.where(sure & ~own, low, -np.inf), np.where(sure, high, np.inf)
         floor = self.worst
         if low.shape[1] > k:
             floor = np.maximum(floor, np.partition(low, low.shape[1] - k, axis=1)[:, low.shape[1] - k])
-        i, j = np.nonzero((near + slip >= floor[:, None]) & ~own)
+        i, j = np.nonzero((high >= floor[:, None]) & ~own)
         score = exact(q.vecs, i, cands.vecs, j)
         for row, s, v in zip(i.tolist(), score.tolist(), cands.ids[j].tolist(), strict=True):
             heap = self.best[row]
