@@ -19,8 +19,17 @@ def _own_folder() -> str:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; a local one only where that is unset, as in tests."""
-    return spark.conf.get("spark.checkpoint.dir", None) or f"file://{_own_folder()}"
+    """The folder of spark.checkpoint.dir. Where that is unset, a folder of this machine, for a local master alone."""
+    if given := spark.conf.get("spark.checkpoint.dir", None):
+        return given
+    if not spark.sparkContext.master.split("[")[0] == "local":
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+    return f"file://{_own_folder()}"
+
+
+def whole_rows(df: DataFrame) -> Column:
+    """A row of ``df`` as one column, so that names an operator adds can't clash with the input's."""
+    return F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias("_all")
 
 
 #: Tables of more rows than this are joined by shuffle, not by broadcast (40 MB or so).

@@ -13,7 +13,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, ascii_lower
+from .common import Scratch, ascii_lower, whole_rows
 
 #: More repeated hashes than this are joined by shuffle, not by broadcast (32 MB of keys).
 BROADCAST_ROWS = 500_000
@@ -49,17 +49,18 @@ def mark_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text
 def drop_duplicates(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min") -> DataFrame:
     """The rows that stay, with the columns they came with; of repeated rows with one id one stays."""
     scratch = Scratch(df.sparkSession)
-    gone = scratch.keep(mark_duplicates(df, id_col, text_col, keep).where("group_size > 1").select(F.col(id_col).alias("_id"), "kept", "text_sha256"))
-    ids = gone.groupBy("_id").agg(F.max("kept").alias("_kept"), F.count("*").alias("_rows"))
+    sha = lambda text: F.sha2(normalised(text).cast("binary"), 256)
+    copies = mark_duplicates(df, id_col, text_col, keep).where("group_size > 1")
+    copies = scratch.keep(copies.select(F.col(id_col).alias("_of"), "kept", F.col("text_sha256").alias("_of_sha")))
+    ids = scratch.keep(copies.groupBy("_of").agg(F.max("kept").alias("_kept"), F.count("*").alias("_rows")))
     hint = F.broadcast if ids.count() <= BROADCAST_ROWS else (lambda x: x)
-    marked = df.join(hint(ids), df[id_col].eqNullSafe(ids["_id"]), "left")
-    single = marked.where("_rows is null or (_kept and _rows = 1)").select(*df.columns)
+    whole = df.select(whole_rows(df), F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
+    marked = whole.join(hint(ids), F.col("_id").eqNullSafe(F.col("_of")), "left").drop("_of")
+    single = marked.where("_rows is null or (_kept and _rows = 1)").select("_all")
     # An id that stands on several rows is settled row by row, on its text.
-    several = marked.where("_rows > 1").withColumn("_sha", F.sha2(normalised(F.col(text_col)).cast("binary"), 256))
-    kept = gone.where("kept").select("_id", F.col("text_sha256").alias("_sha"), F.lit(True).alias("_stay")).distinct()
-    copies = gone.select("_id", F.col("text_sha256").alias("_sha"), F.lit(True).alias("_copy")).distinct()
-    settled = several.drop("_id").join(copies.withColumnRenamed("_id", "_cid"), (F.col(id_col).eqNullSafe(F.col("_cid"))) & (several["_sha"] == copies["_sha"]), "left").drop(copies["_sha"])
-    settled = settled.join(kept.withColumnRenamed("_id", "_kid"), (F.col(id_col).eqNullSafe(F.col("_kid"))) & (settled["_sha"] == kept["_sha"]), "left").drop(kept["_sha"])
-    alone = settled.where("_copy is null").select(*df.columns)
-    one = settled.where("_stay").dropDuplicates([id_col, "_sha"]).select(*df.columns)
-    return single.unionByName(alone).unionByName(one)
+    several = marked.where("_rows > 1 or (_rows = 1 and not _kept)").select("_all", "_id", sha(F.col("_text")).alias("_sha"))
+    states = copies.groupBy("_of", "_of_sha").agg(F.max("kept").alias("_stays"))
+    settled = several.join(hint(states), F.col("_id").eqNullSafe(F.col("_of")) & (F.col("_sha") == F.col("_of_sha")), "left")
+    alone = settled.where("_stays is null").select("_all")
+    one = settled.where("_stays").dropDuplicates(["_id", "_sha"]).select("_all")
+    return single.unionByName(alone).unionByName(one).select("_all.*")

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, broadcast_small
+from .common import Scratch, broadcast_small, whole_rows
 from .components import components
 from .prefix_index import CUT, FREQUENT, build, low_zone, lowest
 from .shingles import Memo, in_steps, set_key, sets_of, token_set
@@ -272,7 +272,7 @@ def keep_one(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", n: i
     judged = held.join(broadcast_small(best, held.count()), "component").groupBy(F.col("_id").alias("_of"), F.col("_hash").alias("_of_hash"), stays.alias("_stays"))
     judged = scratch.keep(judged.agg(F.count("*").alias("_n")))
     gone, twice = judged.where("not _stays"), judged.where("_stays and _n > 1")
-    whole = df.select(F.struct(*(F.col(f"`{c}`") for c in df.columns)).alias("_all"), F.col(id_col).alias("_id"), hashed.alias("_hash"))
+    whole = df.select(whole_rows(df), F.col(id_col).alias("_id"), hashed.alias("_hash"))
     same = F.col("_id").eqNullSafe(F.col("_of")) & (F.col("_hash") == F.col("_of_hash"))
     out = whole.join(broadcast_small(gone, gone.count()), same, "left_anti")
     if again := twice.count():
