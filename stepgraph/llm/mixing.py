@@ -5,8 +5,8 @@ a capped source leaves goes to the others by weight. The level has a closed form
 size / weight: the first one at which the rest stay below their caps.
 
 A source is then taken in whole passes and one last fractional pass: documents in the order of a seeded hash until the
-target is met, the last of them cut at a word. The running sum is built from 256 stretches per source, so that a source
-with a third of all rows is spread over 256 keys.
+target is met, the last of them cut at a word. The running sum is built from stretches of the hash's range, 256 of them or
+more, so that a source with any share of the rows is spread over many keys of a bounded size.
 
 Cases: a null or empty text has size 0 and is taken with 0 words; a null source is a source, the last; a source of size
 0 has target 0; repeated rows are taken one by one; an empty table gives an empty result.
@@ -17,9 +17,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch
+from .common import Scratch, broadcast_small, whole_rows
 
 WORDS = r"[^\x20\x09-\x0D]+"
+GAPPED = r"[\x20\x09-\x0D]*[^\x20\x09-\x0D]+"
+#: Rows of one source are summed in stretches of about so many, 256 stretches at least.
+STRETCH_ROWS = 500_000
 
 
 def n_words(text: Column) -> Column:
@@ -53,7 +56,11 @@ def mix(df: DataFrame, id_col: str, source_col: str, size: Column, weights: tupl
     rows = df.select(F.col(id_col).alias("_id"), F.col(source_col).alias("source"), size.alias("size"))
     key = F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("n"))
     turned = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("_id").cast("string"), F.lit("")), F.lit(":"), F.col("size").cast("string")).cast("binary"))
-    rows = scratch.keep(rows.withColumns({"_key": key, "_turn": turned}).withColumn("_stretch", F.substring("_turn", 1, 2)))
+    rows = scratch.keep(rows.withColumns({"_key": key, "_turn": turned}))
+    digits = 2
+    while rows.count() > STRETCH_ROWS * 16**digits:
+        digits += 1
+    rows = rows.withColumn("_stretch", F.substring("_turn", 1, digits))
     stretches = scratch.keep(rows.groupBy("_key", "source", "_stretch").agg(F.sum("size").alias("_size")))
     sources = stretches.groupBy("_key", "source").agg(F.sum("_size").alias("source_size"))
     weighed = sources.join(weights, sources["source"].eqNullSafe(weights["source"])).select(sources["*"], weights["weight"].cast("double")) if isinstance(weights, DataFrame) else cyclic_weights(sources, weights)
@@ -69,15 +76,41 @@ def mix(df: DataFrame, id_col: str, source_col: str, size: Column, weights: tupl
     return x.select(F.col("_id").alias(id_col), "source", "size", "source_size", "target", "whole", "part", (F.col("whole") * F.col("size") + F.col("part")).cast("long").alias("taken"))
 
 
+def _numbered(rows: DataFrame, by: list[str], order: Column) -> DataFrame:
+    """Adds _nth, from 1, among rows that agree in ``by``, nulls included."""
+    return rows.withColumn("_nth", F.row_number().over(Window.partitionBy(*by).orderBy(order)))
+
+
 def mixed_rows(df: DataFrame, id_col: str, text_col: str, source_col: str, weights: tuple[float, ...], epochs: int = 3, seed: int = 0) -> DataFrame:
     """The mix itself: rows repeated as often as they are taken, with the columns they came with. A row that is taken in
-    part has its first words. Ids should be unique: rows that share one are all treated like the first of them."""
+    part has its text up to that word. Rows that share an id (or have none) are told apart by source and size, and by a
+    number where these agree too, as the mix takes such rows one by one."""
+    scratch = Scratch(df.sparkSession)
     plan = mix(df, id_col, source_col, n_words(F.col(text_col)), weights, epochs, seed)
-    plan = plan.groupBy(F.col(id_col).alias("_id")).agg(F.max_by(F.struct("size", "whole", "part"), "taken").alias("_p")).where("_p.whole > 0 or _p.part > 0")
-    x = df.join(plan, df[id_col].eqNullSafe(plan["_id"]))
-    words = F.array_join(F.slice(F.regexp_extract_all(F.col(text_col), F.lit(WORDS), 0), 1, F.greatest(F.col("_p.part"), F.lit(1)).cast("int")), " ")
-    cut = F.when(F.col("_p.part") < F.col("_p.size"), words).otherwise(F.col(text_col))
-    passes = F.col("_p.whole") + F.when(F.col("_p.part") > 0, 1).otherwise(0)
+    plan = scratch.keep(plan.select(F.col(id_col).alias("_of"), F.col("source").alias("_of_source"), F.col("size").alias("_of_size"), "whole", "part"))
+    shared = scratch.keep(plan.groupBy("_of").agg(F.count("*").alias("_n")).where("_n > 1").select(F.col("_of").alias("_shared")))
+    rows = shared.count()
+    taken = (F.col("whole") > 0) | (F.col("part") > 0)
+    whole = df.select(whole_rows(df), F.col(id_col).alias("_id"), F.col(text_col).alias("_text"), F.col(source_col).alias("_source"))
+    same_id = F.col("_id").eqNullSafe(F.col("_of"))
+    x = whole
+    if rows:
+        few = broadcast_small(shared, rows)
+        x = whole.join(few, F.col("_id").eqNullSafe(F.col("_shared")), "left_anti")
+        apart = whole.join(few, F.col("_id").eqNullSafe(F.col("_shared")), "left_semi").withColumn("_size", n_words(F.col("_text")))
+        apart = _numbered(apart, ["_id", "_source", "_size"], F.xxhash64("_text")).withColumnRenamed("_nth", "_row")
+        twins = plan.join(few, F.col("_of").eqNullSafe(F.col("_shared")), "left_semi")
+        twins = _numbered(twins, ["_of", "_of_source", "_of_size"], F.struct("whole", "part")).where(taken)
+        same = same_id & F.col("_source").eqNullSafe(F.col("_of_source")) & (F.col("_size") == F.col("_of_size")) & (F.col("_row") == F.col("_nth"))
+        apart = apart.join(twins, same).select("_all", "_text", "_of_size", "whole", "part")
+    columns = "_all", "_text", "_of_size", "whole", "part"
+    x = x.join(plan.where(taken), same_id).select(*columns)
+    if rows:
+        x = x.unionByName(apart)
+    # Each word with the gap before it: the first of these give the text back as it is.
+    words = F.array_join(F.slice(F.regexp_extract_all("_text", F.lit(GAPPED), 0), 1, F.greatest(F.col("part"), F.lit(1)).cast("int")), "")
+    cut = F.when(F.col("part") < F.col("_of_size"), words).otherwise(F.col("_text"))
+    passes = F.col("whole") + F.when(F.col("part") > 0, 1).otherwise(0)
     x = x.withColumn("_pass", F.explode(F.sequence(F.lit(1).cast("long"), passes.cast("long"))))
-    text = F.when(F.col("_pass") <= F.col("_p.whole"), F.col(text_col)).otherwise(cut)
-    return x.withColumn(text_col, text).select(*df.columns)
+    text = F.when(F.col("_pass") <= F.col("whole"), F.col("_text")).otherwise(cut)
+    return x.select(*((text if c == text_col else F.col("_all").getField(c)).alias(c) for c in df.columns))
