@@ -22,6 +22,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import whole_rows
+
 ORDER, PIECE, CHUNK = 4, 1_000_000, 500_000
 #: About so many labelled documents of each language are fitted on, and a quarter as many calibrate the rejection.
 DOCS_PER_LANG = 400
@@ -208,7 +210,8 @@ def train(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
                 s = "".join(map(chr, codes))
                 by[lang].update(map("".join, zip(*(s[i:] for i in range(ORDER)), strict=False)))
             for lang, c in by.items():
-                yield pd.DataFrame({"lang": lang, "gram": list(c), "n": list(c.values())})
+                if c:  # a text of few letters has none
+                    yield pd.DataFrame({"lang": lang, "gram": list(c), "n": list(c.values())})
 
     got = rows.where("u < 80").select("lang", "text").mapInPandas(count, "lang string, gram string, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")).toPandas()
     counts = {lang: dict(zip(g.gram, map(int, g.n), strict=True)) for lang, g in got.groupby("lang")}
@@ -241,9 +244,9 @@ def identify(df: DataFrame, model: LangModel, text_col: str = "text") -> DataFra
             name, score, ce, rejected = model.judge([None if t is None else t for t in b])
             yield pd.DataFrame({"lang_pred": name, "score": score, "cross_entropy": ce, "rejected": rejected})
 
-    out = df.withColumn("_judged", judged(F.col(text_col)))
     names = ["lang_pred", "score", "cross_entropy", "rejected"]
-    return out.select(*[c for c in df.columns if c not in names], *[F.col(f"_judged.{n}").alias(n) for n in names])
+    out = df.select(whole_rows(df), judged(F.col(text_col)).alias("_judged"))
+    return out.select(*[F.col("_all").getField(c).alias(c) for c in df.columns if c not in names], *[F.col(f"_judged.{n}").alias(n) for n in names])
 
 
 def held_out(doc_id: Column) -> Column:
