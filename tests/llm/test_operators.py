@@ -10,7 +10,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from stepgraph.llm import binpack, exact_dedup, langid, licenses, mixing, ngram_join, packing, prefix_index, queries, sharding, shingles, urls, vectors, wordpiece
+from stepgraph.llm import binpack, common, exact_dedup, langid, licenses, mixing, ngram_join, packing, prefix_index, queries, sharding, shingles, urls, vectors, wordpiece
 
 SF = "/root/testdata/sf0.001"
 DOC = "doc_id long, text string, lang string, source string, score double"
@@ -215,9 +215,12 @@ def test_packing_round_trip(spark, odd, none):
     assert packing.pack(none, "doc_id", "text", files).count() == 0
 
 
-def test_join_against_brute_force(spark, none, monkeypatch):
+@pytest.mark.parametrize("broadcast", [1_000_000, 0])
+def test_join_against_brute_force(spark, none, monkeypatch, broadcast):
+    """By broadcast joins and by shuffled ones; with limits so small that hubs and pairs of frequent tokens are needed."""
     monkeypatch.setattr(prefix_index, "FREQUENT", 3)
     monkeypatch.setattr(ngram_join, "BIG", 6)
+    monkeypatch.setattr(common, "BROADCAST_ROWS", broadcast)
     rnd = random.Random(5)
     base = [" ".join(rnd.choice("abcdefghijklmnop") for _ in range(rnd.choice([3, 6, 12, 30, 90]))) for _ in range(20)]
     passage, docs = " ".join(rnd.choice("qrstuvw") for _ in range(30)), []
