@@ -41,6 +41,18 @@ def broadcast_small(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if rows <= BROADCAST_ROWS else df
 
 
+#: Rows that go to a Python worker at once.
+BATCH_ROWS = 1000
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Lowers the session's rows a batch, so that a batch of texts takes some MB of the JVM and of a worker, not some hundred.
+    It is a setting of the running session and decides nothing but memory."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key, "0")) <= BATCH_ROWS:
+        spark.conf.set(key, str(BATCH_ROWS))
+
+
 class Scratch:
     """Written tables that cut lineage. All executors and the driver see them, so a lost executor loses nothing.
 

@@ -22,7 +22,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import whole_rows
+from .common import small_batches, whole_rows
 
 ORDER, PIECE, CHUNK = 4, 1_000_000, 500_000
 #: About so many labelled documents of each language are fitted on, and a quarter as many calibrate the rejection.
@@ -200,6 +200,7 @@ def training_sample(df: DataFrame, id_col: str, lang_col: str, per_lang: int) ->
 
 def train(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", per_lang: int = DOCS_PER_LANG, slack: float = 1.5) -> LangModel:
     """Counts run on the executors over a bounded sample of labelled rows; what comes back is a table of n-grams."""
+    small_batches(df.sparkSession)
     rows = training_sample(df.select(id_col, text_col, lang_col), id_col, lang_col, per_lang * 5 // 4).select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text"), "u").where(F.col("text").isNotNull())
 
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -244,6 +245,7 @@ def identify(df: DataFrame, model: LangModel, text_col: str = "text") -> DataFra
             name, score, ce, rejected = model.judge([None if t is None else t for t in b])
             yield pd.DataFrame({"lang_pred": name, "score": score, "cross_entropy": ce, "rejected": rejected})
 
+    small_batches(df.sparkSession)
     names = ["lang_pred", "score", "cross_entropy", "rejected"]
     out = df.select(whole_rows(df), judged(F.col(text_col)).alias("_judged"))
     return out.select(*[F.col("_all").getField(c).alias(c) for c in df.columns if c not in names], *[F.col(f"_judged.{n}").alias(n) for n in names])

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, broadcast_small, whole_rows
+from .common import Scratch, broadcast_small, small_batches, whole_rows
 from .components import components
 from .prefix_index import CUT, FREQUENT, build, low_zone, lowest
 from .shingles import Memo, in_steps, set_key, sets_of, token_set
@@ -224,6 +224,7 @@ def links(df: DataFrame, id_col: str, text_col: str, n: int = 5, percent: int =
     if not 60 <= percent <= 100:
         raise ValueError("percent must be from 60 to 100")
     scratch = Scratch(df.sparkSession)
+    small_batches(df.sparkSession)
     texts = df.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
     heads = scratch.keep(_heads(texts.withColumns(more), n, percent).withColumn("_row", F.monotonically_increasing_id()))
     rows, tokens, copies = _rows_and_tokens(heads, scratch)

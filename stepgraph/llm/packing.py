@@ -23,9 +23,11 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .binpack import best_fit_decreasing
-from .common import Scratch
+from .common import Scratch, small_batches
 
-SMALL, STRETCHES, MEMO = 32, 256, 300_000
+SMALL, STRETCHES, MEMO = 32, 256, 100_000
+#: Pieces of one length are numbered in stretches of about so many, ``STRETCHES`` at least.
+STRETCH_ROWS = 500_000
 #: A text with any of these is not split at its spaces.
 UNEVEN = ("  ", " \n", "\n ", *(chr(c) for c in range(0x3001) if chr(c).isspace() and chr(c) not in " \n"))
 
@@ -82,6 +84,7 @@ def encoder(tokenizer: str, ranks: str, pattern: str) -> Encoder:
 
 def pieces(df: DataFrame, id_col: str, text_col: str, files: tuple[str, str, str], end_id: int, capacity: int) -> DataFrame:
     """(id, start, length, ids_crc32, doc_tokens). ``files``: tokenizer file, its rank file and its pattern."""
+    small_batches(df.sparkSession)
     end = np.array([end_id], "<u4").tobytes()
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -108,7 +111,8 @@ def pieces(df: DataFrame, id_col: str, text_col: str, files: tuple[str, str, str
 
 def harmonic(rows: DataFrame, order: list[str], capacity: int) -> DataFrame:
     """Adds sequence_id and offset to rows with a ``length`` of at most the capacity."""
-    rows = rows.withColumn("_s", F.pmod(F.xxhash64(*order), F.lit(STRETCHES)).cast("int"))
+    stretches = max(STRETCHES, -(-rows.count() // STRETCH_ROWS))
+    rows = rows.withColumn("_s", F.pmod(F.xxhash64(*order), F.lit(stretches)).cast("int"))
     sizes = rows.groupBy("length", "_s").agg(F.count("*").alias("_n"))
     starts = sizes.select("length", "_s", F.coalesce(F.sum("_n").over(Window.partitionBy("length").orderBy("_s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_start"))
     counts = {r[0]: r[1] for r in sizes.groupBy("length").agg(F.sum("_n")).collect()}  # at most one row a length

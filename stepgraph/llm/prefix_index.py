@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import Scratch, broadcast_small
-from .shingles import MULS, in_steps, mixed, sets_of
+from .shingles import MULS, gathered, in_steps, mixed, sets_of
 
 #: A token in more sets than this is frequent.
 FREQUENT = 8
@@ -60,7 +60,7 @@ def _occurrences(sets: DataFrame) -> DataFrame:
     is -1 - pos, and a row with null node and pos marks it for the others."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in in_steps(batches, STEP):
+        for b in gathered(batches, STEP):
             tokens = b.column("tokens")
             flat, sizes = tokens.flatten().to_numpy(zero_copy_only=False), tokens.value_lengths().to_numpy(zero_copy_only=False)
             node = np.repeat(b.column("node").to_numpy(zero_copy_only=False), sizes)

@@ -59,6 +59,18 @@ def in_steps(batches: Iterator[pa.RecordBatch], step: int = STEP) -> Iterator[pa
             yield whole.slice(k, step)
 
 
+def gathered(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[pa.RecordBatch]:
+    """Batches put together until they have so many rows."""
+    held: list[pa.RecordBatch] = []
+    for b in batches:
+        held.append(b)
+        if sum(x.num_rows for x in held) >= rows:
+            yield pa.concat_batches(held)
+            held = []
+    if held:
+        yield pa.concat_batches(held)
+
+
 def sets_of(texts: DataFrame, wanted: DataFrame, n: int, scratch: Scratch) -> DataFrame:
     """(node, tokens) of the sets that ``wanted`` (node, _id, key) names, made again from ``texts`` (_id, _text).
 
