@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, broadcast_small, small_batches, whole_rows
+from .common import Scratch, broadcast_small, small_batches, trimmed, whole_rows
 from .components import components
 from .prefix_index import CUT, FREQUENT, build, low_zone, lowest
 from .shingles import Memo, in_steps, set_key, sets_of, token_set
@@ -51,7 +51,7 @@ def _heads(texts: DataFrame, n: int, percent: int) -> DataFrame:
             made = [pa.array([len(s) for s in sets], pa.int32()), pa.array([set_key(s) for s in sets], pa.binary()), low]
             yield pa.RecordBatch.from_arrays([*map(b.column, more), *made], [*more, "size", "key", "tokens"])
 
-    return texts.mapInArrow(run, f"{kinds}, size int, key binary, tokens array<long>")
+    return texts.mapInArrow(trimmed(run), f"{kinds}, size int, key binary, tokens array<long>")
 
 
 def _order(*more: str) -> Column:
@@ -90,7 +90,7 @@ def _verified(pairs: DataFrame, texts: DataFrame, nodes: DataFrame, n: int, perc
                 linked.append(100 * common >= percent * (len(u) + len(v) - common))
             yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(linked, pa.bool_())], ["a", "b", "linked"])
 
-    out = scratch.keep(both.mapInArrow(run, "a long, b long, linked boolean"))
+    out = scratch.keep(both.mapInArrow(trimmed(run), "a long, b long, linked boolean"))
     scratch.drop(sets)
     scratch.drop(wanted)
     return out

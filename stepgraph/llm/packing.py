@@ -13,9 +13,10 @@ result; texts are tokenised whole.
 
 from __future__ import annotations
 
+import json
 import zlib
 from collections.abc import Iterator
-from functools import cache
+from functools import cache, cached_property
 
 import numpy as np
 import pandas as pd
@@ -23,7 +24,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .binpack import best_fit_decreasing
-from .common import Scratch, small_batches
+from .common import Scratch, small_batches, trimmed
 
 SMALL, STRETCHES, MEMO = 32, 256, 100_000
 #: Pieces of one length are numbered in stretches of about so many, ``STRETCHES`` at least.
@@ -50,13 +51,19 @@ class Encoder:
         import base64
 
         import tiktoken
-        from tokenizers import Tokenizer
 
         table = {base64.b64decode(a): int(b) for a, b in (line.split() for line in open(ranks, "rb"))}
         self.fast = tiktoken.Encoding("packing", pat_str=pattern, mergeable_ranks=table, special_tokens={})
-        self.slow = Tokenizer.from_file(tokenizer)
-        self.special = [t.content for t in self.slow.get_added_tokens_decoder().values()]
-        self.memo: dict[str, bytes] = {}
+        self.tokenizer, self.memo = tokenizer, {}
+        with open(tokenizer, encoding="utf-8") as f:
+            self.special = [t["content"] for t in json.load(f).get("added_tokens") or ()]
+
+    @cached_property
+    def slow(self):
+        """For the few texts that hold a special token."""
+        from tokenizers import Tokenizer
+
+        return Tokenizer.from_file(self.tokenizer)
 
     def ids(self, text: str) -> bytes:
         if any(s in text for s in self.special):
@@ -104,9 +111,10 @@ def pieces(df: DataFrame, id_col: str, text_col: str, files: tuple[str, str, str
                         col.append(v)
                     at += size
             yield pd.DataFrame(dict(zip((id_col, "start", "length", "ids_crc32", "doc_tokens"), rows, strict=True)))
+        enc.memo.clear()
 
     id_type = df.schema[id_col].dataType.simpleString()
-    return df.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text")).mapInPandas(run, f"`{id_col}` {id_type}, start long, length long, ids_crc32 long, doc_tokens long")
+    return df.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text")).mapInPandas(trimmed(run), f"`{id_col}` {id_type}, start long, length long, ids_crc32 long, doc_tokens long")
 
 
 def harmonic(rows: DataFrame, order: list[str], capacity: int) -> DataFrame:

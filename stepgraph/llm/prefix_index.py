@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, broadcast_small
+from .common import Scratch, broadcast_small, trimmed
 from .shingles import MULS, gathered, in_steps, mixed, sets_of
 
 #: A token in more sets than this is frequent.
@@ -72,7 +72,7 @@ def _occurrences(sets: DataFrame) -> DataFrame:
             columns = pa.concat_arrays([pa.array(flat), pa.array(known[hot])]), pa.concat_arrays([pa.array(node), marks]), pa.concat_arrays([pa.array(pos), marks])
             yield pa.RecordBatch.from_arrays([c.cast(k) for c, k in zip(columns, (pa.int64(), pa.int64(), pa.int32()), strict=True)], ["token", "node", "pos"])
 
-    return sets.select("node", "first", "tokens").mapInArrow(run, "token long, node long, pos int")
+    return sets.select("node", "first", "tokens").mapInArrow(trimmed(run), "token long, node long, pos int")
 
 
 def shared_tokens(sets: DataFrame) -> DataFrame:
@@ -128,7 +128,7 @@ def _high_parts(sets: DataFrame, end: int) -> DataFrame:
             high = pa.array([s[i:] >> CUT for s, i in zip(whole, first, strict=True)], pa.list_(pa.int64()))
             yield pa.RecordBatch.from_arrays([b.column("node"), pa.array(first, pa.int32()), high, pa.array([_parity(s) for s in whole], PARITY)], ["node", "first", "tokens", "parity"])
 
-    return sets.mapInArrow(run, "node long, first int, tokens array<long>, parity struct<w0: long, w1: long, w2: long, w3: long>")
+    return sets.mapInArrow(trimmed(run), "node long, first int, tokens array<long>, parity struct<w0: long, w1: long, w2: long, w3: long>")
 
 
 def _wide_entries(met: DataFrame, percent: int) -> DataFrame:
@@ -151,7 +151,7 @@ def _wide_entries(met: DataFrame, percent: int) -> DataFrame:
                 often.append(common if short > 0 else None)
             yield pa.RecordBatch.from_arrays([b.column("node"), b.column("size"), pa.array(often, pa.int32()), pa.array(sigs, pa.list_(pa.int64()))], ["node", "size", "often", "sigs"])
 
-    return met.select("node", "size", "met").mapInArrow(run, "node long, size int, often int, sigs array<long>")
+    return met.select("node", "size", "met").mapInArrow(trimmed(run), "node long, size int, often int, sigs array<long>")
 
 
 def low_zone(heads: DataFrame, nodes: DataFrame, percent: int, scratch: Scratch) -> DataFrame:

@@ -10,14 +10,14 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, broadcast_small
+from .common import Scratch, broadcast_small, trimmed
 
-#: Words whose hashes a worker remembers at once, some 15 MB.
-MEMO = 100_000
+#: Words whose hashes a worker remembers at once, some 10 MB.
+MEMO = 50_000
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 MULS = [pow(0x9E3779B97F4A7C15, 2 * i + 1, 1 << 64) for i in range(64)]
 #: Texts that a worker turns into sets at once.
-STEP = 500
+STEP = 200
 
 
 def mixed(h: np.ndarray) -> np.ndarray:
@@ -88,7 +88,7 @@ def sets_of(texts: DataFrame, wanted: DataFrame, n: int, scratch: Scratch) -> Da
             sets = [token_set(t, n, memo) for t in b.column("_text").to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array([set_key(s) for s in sets], pa.binary()), pa.array([s.tobytes() for s in sets], pa.binary())], ["key", "tokens"])
 
-    made = few.select("_text").mapInArrow(run, "key binary, tokens binary")
+    made = few.select("_text").mapInArrow(trimmed(run), "key binary, tokens binary")
     made = scratch.keep(made.join(broadcast_small(wanted.select("node", "key"), rows), "key").select("node", "tokens"))
     scratch.drop(wanted)
     if made.count() == rows:
