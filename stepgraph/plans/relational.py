@@ -247,10 +247,10 @@ def tumbling(s, d):
     return streams.drained(x.select("user_id", F.col("w.start").cast("timestamp_ntz").alias("day"), "n"), Rounds(s))
 
 
-@add("stream_sessions")
+@add("stream_sessions", "with a as (select user_id, ts, coalesce(ts - lag(ts) over (partition by user_id order by ts) > interval 6 hour, true) as new from events), b as (select *, sum(new::int) over (partition by user_id order by ts rows unbounded preceding) as k from a) select user_id, date_trunc('milliseconds', min(ts))::timestamp as start, count(*) as n from b group by user_id, k having max(ts) + interval 6 hour <= (select max(ts) - interval 1 hour from events)")
 def sessions(s, d):
     x = streams.events(s, d).withWatermark("ts", "1 hour").groupBy(F.session_window("ts", "6 hours").alias("w"), "user_id").agg(F.count("*").alias("n"))
-    return streams.drained(x.select("user_id", F.col("w.start").alias("start"), "n"), Rounds(s))
+    return streams.drained(x.select("user_id", F.date_trunc("millisecond", "w.start").cast("timestamp_ntz").alias("start"), "n"), Rounds(s))
 
 
 @add("stream_dedup", "select user_id, event_type, count(distinct event_id) as n from events group by 1, 2")

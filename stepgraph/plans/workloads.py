@@ -10,10 +10,10 @@ from pyspark.sql import functions as F
 from ..baselines import sequential as seq
 from ..cost import Ledger, certificate, superstep_time, time_processor_product, total_time
 from ..model import Graph
-from ..operators import centrality, components, flood, rank, sets, simulation, spanning, subgraph, trees
+from ..operators import centrality, components, flood, local, rank, sets, simulation, spanning, subgraph, trees
 from ..sources import generators
 from ..sources.fixtures import SQL, duck, frame, graph, labelled
-from . import oracles, relational
+from . import oracles, relational, reports
 
 Query = Callable[[SparkSession, str], DataFrame]
 ALL: dict[str, tuple[Query, str | None]] = {}
@@ -36,7 +36,8 @@ def _first_id(g: Graph) -> DataFrame:
 
 # Hop distances ------------------------------------------------------------------------------------------------------
 add("diameter_user_hop", lambda s, d: flood.diameter(graph(s, d, "user_hop")), oracles.hops("user_hop") + "select max(hops) as diameter from r")
-add("ecc_event_chain", lambda s, d: flood.eccentricity(graph(s, d, "event_chain"), batches=2), "select event_id as id, greatest(nth - 1, n - nth)::int as ecc from (select event_id, row_number() over (partition by user_id order by ts, event_id) as nth, count(*) over (partition by user_id) as n from events) as q where n > 1")
+add("ecc_event_chain", lambda s, d: local.eccentricity(graph(s, d, "event_chain")), "select event_id as id, greatest(nth - 1, n - nth)::int as ecc from (select event_id, row_number() over (partition by user_id order by ts, event_id) as nth, count(*) over (partition by user_id) as n from events) as q where n > 1")
+add("ecc_batches_user_hop", lambda s, d: flood.eccentricity(graph(s, d, "user_hop"), batches=2), oracles.hops("user_hop") + "select src as id, max(hops) as ecc from r group by src")
 add("ecc_directed_hop_sparse", lambda s, d: flood.eccentricity(graph(s, d, "hop_sparse", True)), oracles.hops("hop_sparse", True) + "select src as id, max(hops) as ecc from r group by src")
 add("diameter_by_component_supply_thin", lambda s, d: flood.diameter(graph(s, d, "supply_thin"), by_component=True), oracles.hops("supply_thin") + ", x as (select src, min(dst) as component, max(hops) as ecc from r group by src) select component, max(ecc) as diameter from x group by component")
 add("apsp_user_hop", lambda s, d: flood.all_pairs_hops(graph(s, d, "user_hop")), oracles.hops("user_hop") + "select src, dst, hops from r")
@@ -45,7 +46,8 @@ add("sketch_user_hop", lambda s, d: flood.neighbourhood_sketch(graph(s, d, "user
 rounded = lambda df: df.select("id", F.round("rank", 10).alias("rank"))
 add("pagerank_page_leak", lambda s, d: rounded(rank.pagerank(graph(s, d, "page_link", True), iters=10)), oracles.pagerank("page_link", 10, True))
 add("pagerank_page_spread", lambda s, d: rounded(rank.pagerank(graph(s, d, "page_link", True), iters=10, dangling="spread")), oracles.pagerank("page_link", 10, True, True))
-add("pagerank_supply", lambda s, d: rounded(rank.pagerank(graph(s, d, "supply_thin"), iters=10)), oracles.pagerank("supply_thin", 10, False))
+for name in ("supply", "supply_thin"):
+    add(f"pagerank_{name}", lambda s, d, name=name: rounded(rank.pagerank(graph(s, d, name), iters=10)), oracles.pagerank(name, 10, False))
 
 
 def pagerank_tol(s: SparkSession, d: str) -> DataFrame:
@@ -242,14 +244,13 @@ add("balance_verdicts", balance_verdicts)
 TRI = "with {e} select a.src as x, a.dst as y, b.dst as z from e a join e b on a.dst = b.src join e c on c.src = a.src and c.dst = b.dst where a.src < a.dst and a.dst < b.dst"
 add("triangles_user_hop", lambda s, d: subgraph.triangles(graph(s, d, "user_hop")), TRI.format(e=oracles.sym("user_hop")))
 add("clustering_user_hop", lambda s, d: subgraph.clustering_coefficient(graph(s, d, "user_hop")).select("id", "triangles", F.round("coefficient", 9).alias("coefficient")), f"with t as ({TRI.format(e=oracles.sym('user_hop'))}), u as (select unnest([x, y, z]) as id from t), n as (select id, count(*) as k from u group by id), dg as (with {oracles.sym('user_hop')} select src as id, count(*) as d from e group by src) select dg.id, coalesce(k, 0) as triangles, round(case when d < 2 then 0.0 else 2.0 * coalesce(k, 0) / (d * (d - 1)) end, 9)::double as coefficient from dg left join n on n.id = dg.id")
-add("motif3_user_hop", lambda s, d: subgraph.motif3(graph(s, d, "user_hop")))
+add("motif3_user_hop", lambda s, d: subgraph.motif3(graph(s, d, "user_hop")), f"with t as ({TRI.format(e=oracles.sym('user_hop'))}), k as (with {oracles.sym('user_hop')} select count(*) as d from e group by src) select 'triangle' as motif, (select count(*) from t) as n union all select 'wedge', (sum(d * (d - 1) / 2) - 3 * (select count(*) from t))::bigint from k")
 add("match_pattern_turns", lambda s, d: subgraph.match_pattern(*TALK, turns(s, d)), f"with g as ({duck('turns')}), l as ({duck('turn_labels')}) select a.src as v0, a.dst as v1, b.dst as v2 from g a join g b on a.dst = b.src join l x on x.id = a.src and x.label = 'user' join l y on y.id = a.dst and y.label = 'assistant' join l z on z.id = b.dst and z.label = 'user'")
 add("link_scores_user_hop", lambda s, d: subgraph.link_scores(graph(s, d, "user_hop")).select("src", "dst", "common", F.round("jaccard", 9).alias("jaccard")), f"with {oracles.sym('user_hop')}, dg as (select src, count(*) as d from e group by src), p as (select a.dst as x, b.dst as y, count(*) as common from e a join e b on a.src = b.src where a.dst < b.dst group by 1, 2) select x as src, y as dst, common, round(common / (da.d + db.d - common), 9) as jaccard from p join dg da on da.src = x join dg db on db.src = y where not exists (select 1 from e where e.src = x and e.dst = y)")
 add("communities_user_hop", lambda s, d: subgraph.label_communities(graph(s, d, "user_hop")))
 add("modularity_geo", lambda s, d: subgraph.modularity(graph(s, d, "geo_tree"), graph(s, d, "geo_tree").vertices.select("id", F.lit(0).cast("long").alias("community"))).select(F.round("modularity", 9).alias("modularity")), "select 0.0::double as modularity")
 add("partition_cut_supply_thin", lambda s, d: subgraph.partition_quality(graph(s, d, "supply_thin"), graph(s, d, "supply_thin").vertices.select("id", F.pmod("id", F.lit(4)).alias("part"))).select("cut_edges", "edges"), f"select count(*) filter (where src % 4 <> dst % 4) as cut_edges, count(*) as edges from ({duck('supply_thin')}) as g")
 add("spectral_supply_forest", lambda s, d: subgraph.spectral_coords(graph(s, d, "user_hop"), 8))
-add("reachable_supply_thin", lambda s, d: one(s, yes=flood.reachable(graph(s, d, "geo_tree"), 0, 101)), "select true as yes")
 
 
 def efficiency_table(s: SparkSession, d: str) -> DataFrame:
@@ -267,7 +268,7 @@ def efficiency_table(s: SparkSession, d: str) -> DataFrame:
 
 
 add("efficiency_table", efficiency_table)
-for key, (query, sql) in relational.ALL.items():
+for key, (query, sql) in (relational.ALL | reports.ALL).items():
     add(key, query, sql)
 
 
