@@ -105,9 +105,9 @@ add("list_rank_rounds", list_rank_rounds, "with x as (select row_number() over (
 # Spanning forests ---------------------------------------------------------------------------------------------------
 
 
-def forest_check(method: str) -> Query:
+def forest_check(method: str, name: str) -> Query:
     def query(s: SparkSession, d: str) -> DataFrame:
-        g = graph(s, d, "supply_thin")
+        g = graph(s, d, name)
         f = components.spanning_forest(g, method)
         same = components.hook_shortcut(Graph(g.vertices, f)).join(components.hook_shortcut(g).withColumnRenamed("component", "c"), "id").agg(F.count_if(F.col("component") != F.col("c")).alias("split"))
         n = f.join(g.simple().edges.select("src", "dst"), ["src", "dst"], "left_semi").agg(F.count("*").alias("edges"))
@@ -116,9 +116,8 @@ def forest_check(method: str) -> Query:
     return query
 
 
-FOREST = oracles.components("supply_thin") + " "
-for m in ("hook", "bfs"):
-    add(f"spanning_forest_{m}", forest_check(m), f"with x as ({oracles.components('supply_thin')}) select (count(*) - count(distinct component))::bigint as edges, 0::bigint as split from x")
+for key, m, name in (("hook", "hook", "supply_thin"), ("bfs", "bfs", "supply_thin"), ("basket", "hook", "basket_thin")):
+    add(f"spanning_forest_{key}", forest_check(m, name), f"with x as ({oracles.components(name)}) select (count(*) - count(distinct component))::bigint as edges, 0::bigint as split from x")
 add("msf_supply_thin", lambda s, d: spanning.minimum_spanning_forest(graph(s, d, "supply_thin")), oracles.fold_forest("supply_thin"))
 add("msf_supply_forest", lambda s, d: spanning.minimum_spanning_forest(graph(s, d, "supply_forest")), oracles.fold_forest("supply_forest"))
 add("msf_trade", lambda s, d: spanning.minimum_spanning_forest(graph(s, d, "trade")), oracles.fold_forest("trade"))
@@ -211,7 +210,8 @@ add("bsp_pagerank_ledger", lambda s, d: ledger_of("pagerank", graph(s, d, "suppl
 add("bsp_tour_ledger", lambda s, d: ledger_of("tour", graph(s, d, "geo_tree")).table(s).where("sent > 0").select("proc", "sent", "received"), f"with {oracles.sym('geo_tree')}, a as (select (src % 8)::int as proc, count(*) as sent from e group by 1), b as (select (dst % 8)::int as proc, count(*) as received from e group by 1) select proc, sent, received from a join b using (proc)")
 add("superstep_times", lambda s, d: superstep_time(ledger_of("flood", graph(s, d, "supply_forest")).table(s), g=2.0, latency=50.0))
 add("time_processor_product", lambda s, d: time_processor_product(ledger_of("hook", graph(s, d, "supply_forest")).table(s)))
-add("total_time", lambda s, d: total_time(ledger_of("tour", graph(s, d, "geo_tree")).table(s)))
+# A tour has two rounds: all arcs are sent, and then every vertex looks at what it got.
+add("total_time", lambda s, d: total_time(ledger_of("tour", graph(s, d, "geo_tree")).table(s)), f"with {oracles.sym('geo_tree')}, a as (select src % 8 as proc, count(*) as sent, count(distinct src) as acting from e group by 1), b as (select dst % 8 as proc, count(*) as received from e group by 1) select 'tour' as algo, (max(acting + sent + received) + max(acting))::double as time, 2::bigint as rounds from a join b using (proc)")
 
 
 def balance(algo: str, make: Callable, c: float = 4.0) -> Query:
