@@ -184,6 +184,46 @@ def tree_orders(net: Net):
                 todo.append((nxt[0], u, None))
 
 
+def tree_tour(net: Net):
+    """Each arc and the one behind it, by walking every tree depth first from its least vertex."""
+    seen = set()
+    for root in net.ids:
+        if root in seen or not net.near[root]:
+            continue
+        seen.add(root)
+        walk, todo = [], [(root, None, iter([v for v, _ in net.near[root]]))]
+        while todo:
+            u, parent, rest = todo[-1]
+            v = next(rest, None)
+            net.ops += 1
+            if v is None:
+                todo.pop()
+                if parent is not None:
+                    walk.append((u, parent))
+                continue
+            seen.add(v)
+            walk.append((u, v))
+            near = [x for x, _ in net.near[v]]
+            at = near.index(u)
+            todo.append((v, u, iter(near[at + 1 :] + near[:at])))
+        for one, behind in zip(walk, walk[1:] + walk[:1], strict=True):
+            yield *one, *behind
+
+
+def breadth_tree(net: Net):
+    """Every vertex but the roots with its least neighbour of the level above."""
+    seen = set()
+    for root in net.ids:
+        if root not in seen:
+            dist = net.bfs(root)
+            seen.update(dist)
+            for v, d in dist.items():
+                if d:
+                    net.ops += len(net.near[v])
+                    up = min(u for u, _ in net.near[v] if dist[u] == d - 1)
+                    yield min(up, v), max(up, v)
+
+
 class Union:
     def __init__(self, net: Net):
         self.net, self.up = net, {v: v for v in net.ids}
@@ -335,10 +375,44 @@ def counted_simulation(net: Net, labels: dict, q_labels: dict, q_edges: list, du
                 yield q, v
 
 
+def strong_balls(net: Net, labels: dict, q_labels: dict, q_edges: list, radius: int):
+    """Dual simulation in the ball round every vertex, cut to the piece that realised query edges connect with the centre."""
+    for centre in net.ids:
+        ball, front = {centre}, {centre}
+        for _ in range(radius):
+            front = {v for u in front for v, _ in net.near[u] + net.back[u]} - ball
+            ball |= front
+        part = Net(ball, [(u, v, w) for u in ball for v, w in net.near[u] if v in ball], True)
+        match = list(counted_simulation(part, {v: labels.get(v) for v in ball}, q_labels, q_edges, True))
+        net.ops += part.ops + len(ball)
+        roles = defaultdict(set)
+        for q, v in match:
+            roles[v].add(q)
+        if centre not in roles:
+            continue
+        real = defaultdict(list)
+        for u in roles:
+            for v, _ in part.near[u]:
+                net.ops += 1
+                if any(a in roles[u] and b in roles.get(v, ()) for a, b in q_edges):
+                    real[u].append(v)
+                    real[v].append(u)
+        hit, todo = {centre}, [centre]
+        while todo:
+            for v in real[todo.pop()]:
+                if v not in hit:
+                    hit.add(v)
+                    todo.append(v)
+        for q, v in match:
+            if v in hit:
+                yield centre, q, v
+
+
 ANSWERS = {
     hops: "src long, dst long, hops long", components: "id long, component long", power_iteration: "id long, rank double", strong: "id long, scc long", blocks: "src long, dst long, block long",
     tree_orders: "id long, pre long, post long", sorted_union: "src long, dst long, w double", heap_forest: "src long, dst long, w double", lexicographic_colours: "id long, color int",
     greedy_weight_matching: "src long, dst long, w double", greedy_bipartite: "left long, right long", dependency_accumulation: "id long, score double", heap_paths: "id long, dist double", counted_simulation: "q int, id long",
+    tree_tour: "src long, dst long, next_src long, next_dst long", breadth_tree: "src long, dst long", strong_balls: "center long, q int, id long",
 }
 
 
@@ -358,7 +432,7 @@ def run(g: Graph, method: Callable, **args) -> DataFrame:
         edge = pdf[pdf.b.notna()]
         net = Net(set(pdf.a[pdf.b.isna()].tolist()), list(zip(edge.a.tolist(), edge.b.astype("int64").tolist(), edge.w.tolist(), strict=True)), directed)
         more = dict(args)
-        if method is counted_simulation:
+        if method in (counted_simulation, strong_balls):
             more["labels"] = dict(zip(pdf.a[pdf.b.isna()].tolist(), pdf.label[pdf.b.isna()].tolist(), strict=True))
         out = pd.DataFrame(list(method(net, **more)), columns=cols)
         return out.assign(ops=net.ops)

@@ -1,12 +1,15 @@
-"""Betweenness of unweighted graphs."""
+"""Betweenness, by hops or by weights."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from collections.abc import Callable
+
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..engine import Rounds
+from ..engine import Rounds, count_if
 from ..model import Graph
+from .flood import shortest_paths
 
 
 def betweenness(g: Graph, sources: DataFrame | None = None, normalized: bool = False) -> DataFrame:
@@ -42,3 +45,38 @@ def betweenness(g: Graph, sources: DataFrame | None = None, normalized: bool = F
         scale *= (1.0 if g.directed else 2.0) / ((n - 1) * (n - 2))
     sums = total.groupBy("id").agg(F.sum("delta").alias("d"))
     return g.vertices.select("id").join(sums, "id", "left").select("id", (F.coalesce("d", F.lit(0.0)) * scale).alias("score"))
+
+
+def weighted_betweenness(g: Graph, sources: DataFrame | None = None, digits: int = 9) -> DataFrame:
+    """(id, score) over shortest paths by weight, which must be above 0. An arc lies on one if the distances of its ends differ
+    by its weight, to ``digits``. Path counts, then dependencies, are summed along these arcs again until none changes, which
+    takes as many rounds as a shortest path has arcs. With ``sources`` (id), the sum over these is scaled to all."""
+    if g.edges.where("w is null or not w > 0").limit(1).count():
+        raise ValueError("weights must be above 0")
+    rounds = Rounds(g.spark)
+    start = (g.vertices if sources is None else sources).select("id")
+    far, _ = rounds.cut(shortest_paths(g, start).select("source", "id", "dist"))
+    a, b = (far.select("source", F.col("id").alias(k), F.col("dist").alias(f"d{k}")) for k in ("src", "dst"))
+    on, _ = rounds.cut(a.join(g.simple().arcs(), "src").join(b, ["source", "dst"]).where(F.round(F.col("dsrc") + F.col("w") - F.col("ddst"), digits) == 0).select("source", "src", "dst"))
+
+    def settled(begin: DataFrame, term: Callable[[DataFrame], DataFrame], end: str, value: str, first: Column) -> DataFrame:
+        state, _ = rounds.cut(begin)
+        while True:
+            rounds.next()
+            got = term(state).groupBy("source", F.col(end).alias("id")).agg(F.sum("x").alias("x"))
+            new = state.join(got, ["source", "id"], "left").withColumn("new", first + F.coalesce("x", F.lit(0.0)))
+            new, seen = rounds.cut(new.withColumns({"changed": F.col("new") != F.col(value), value: F.col("new")}).drop("x", "new"), state, n=count_if(F.col("changed")))
+            state = new
+            if not seen["n"]:
+                return state.drop("changed")
+            state = state.drop("changed")
+
+    own = F.when(F.col("source") == F.col("id"), 1.0).otherwise(0.0)
+    sigma = settled(far.select("source", "id", own.alias("sigma")), lambda s: on.join(s.withColumnRenamed("id", "src"), ["source", "src"]).select("source", "dst", F.col("sigma").alias("x")), "dst", "sigma", own)
+    n, _ = rounds.cut(sigma)
+    above = n.select("source", F.col("id").alias("src"), F.col("sigma").alias("s"))
+    pull = lambda s: on.join(s.withColumnRenamed("id", "dst"), ["source", "dst"]).join(above, ["source", "src"]).select("source", "src", (F.col("s") / F.col("sigma") * (1 + F.col("delta"))).alias("x"))
+    delta = settled(n.withColumn("delta", F.lit(0.0)), pull, "src", "delta", F.lit(0.0))
+    scale = (1.0 if g.directed else 0.5) * (g.vertices.count() / max(1, start.count()) if sources is not None else 1.0)
+    sums = delta.where("source <> id").groupBy("id").agg(F.sum("delta").alias("d"))
+    return g.vertices.select("id").join(sums, "id", "left").select("id", (F.coalesce("d", F.lit(0.0)) * scale).alias("score"))

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..engine import Rounds, count_if
-from ..functions.coins import unit
+from ..functions.coins import draw, unit
 from ..model import Graph
 
 
@@ -131,6 +131,32 @@ def partition_quality(g: Graph, parts: DataFrame) -> DataFrame:
     return e.crossJoin(F.broadcast(size))
 
 
+def label_partition(g: Graph, parts: int, rounds: int = 8, seed: int = 1) -> DataFrame:
+    """(id, part): from a random split, a vertex wants the part that most of its neighbours are in. Of those that want to change
+    from one part to another, about half as many go as want to come back, by a draw, so sizes stay near equal. The split
+    that cut the fewest edges is returned."""
+    r = Rounds(g.spark)
+    arcs, _ = r.cut(g.symmetrized().arcs().select("src", "dst"))
+    state, _ = r.cut(g.vertices.select("id", F.pmod(draw(F.col("id"), seed), F.lit(parts)).cast("int").alias("part")))
+    best, least = state, None
+    for k in range(rounds + 1):
+        votes = arcs.join(state.withColumnRenamed("id", "src"), "src").groupBy(F.col("dst").alias("id"), F.col("part").alias("p")).agg(F.count("*").alias("n"))
+        wish = votes.join(state, "id").groupBy("id").agg(F.max(F.struct("n", (-F.col("p")).alias("p"))).alias("m"), F.sum(F.when(F.col("p") == F.col("part"), F.col("n")).otherwise(0)).alias("own"), F.sum("n").alias("all"))
+        wish = wish.withColumn("want", F.when(F.col("m.n") > F.col("own"), -F.col("m.p")))
+        wish, got = r.cut(state.join(wish, "id", "left").select("id", "part", "want", F.coalesce(F.col("all") - F.col("own"), F.lit(0)).alias("cut")), cut=F.sum("cut"))
+        if least is None or got["cut"] < least:
+            best, least = state, got["cut"]
+        if k == rounds:
+            return best
+        # at most parts * parts rows
+        flow = wish.where("want is not null").groupBy("part", "want").agg(F.count("*").alias("go"))
+        back = flow.select(F.col("part").alias("want"), F.col("want").alias("part"), F.col("go").alias("come"))
+        share = flow.join(back, ["part", "want"]).select("part", "want", (F.least("go", "come") / F.col("go") / 2).alias("share"))
+        moves = F.coalesce(unit(F.col("id"), seed, k + 1) < F.col("share"), F.lit(False))
+        state, _ = r.cut(wish.join(F.broadcast(share), ["part", "want"], "left").select("id", F.when(moves, F.col("want")).otherwise(F.col("part")).alias("part")))
+    return best
+
+
 def spectral_coords(g: Graph, iters: int = 20) -> DataFrame:
     """(id, x): the second direction of the lazy walk, by power iteration with the first one taken out."""
     r = Rounds(g.spark)

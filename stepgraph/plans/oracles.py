@@ -120,6 +120,28 @@ select v.id, round(coalesce(s, 0) * 0.5, 6) as score from v left join (
   where a.hops + b.hops = t.hops and a.dst <> a.src and a.dst <> b.dst group by a.dst) as x on x.id = v.id"""
 
 
+def weighted_betweenness(name: str) -> str:
+    return f"""with recursive q as (select least(src, dst) as a, greatest(src, dst) as b, min(w) as w from ({duck(name)}) as q0 group by 1, 2),
+e as (select a as src, b as dst, w from q union all select b, a, w from q),
+d(src, dst, dist) using key (src, dst) as (
+  select distinct src, src, 0.0::double from e
+  union
+  select p.src, e.dst, min(p.dist + e.w) from d p join e on e.src = p.dst left join recurring.d o on o.src = p.src and o.dst = e.dst where o.dist is null or p.dist + e.w < o.dist group by p.src, e.dst),
+c(src, dst) as (
+  select distinct src, src from e
+  union all
+  select c.src, e.dst from c join e on e.src = c.dst join d x on x.src = c.src and x.dst = c.dst join d y on y.src = c.src and y.dst = e.dst where round(x.dist + e.w - y.dist, 9) = 0),
+n as (select src, dst, count(*)::double as n, any_value(dist) as dist from c join d using (src, dst) group by src, dst)
+select v.id, round(coalesce(s, 0) * 0.5, 6) as score from (select distinct src as id from e) as v left join (
+  select a.dst as id, sum(a.n * b.n / t.n) as s from n a join n b on a.dst = b.src join n t on t.src = a.src and t.dst = b.dst
+  where round(a.dist + b.dist - t.dist, 9) = 0 and a.dst <> a.src and a.dst <> b.dst group by a.dst) as x on x.id = v.id"""
+
+
+def breadth_tree(name: str) -> str:
+    """Edges to the least neighbour that is nearer to the component's least vertex."""
+    return hops(name, sources=f"where id in (select component from ({components(name)}) as k)") + "select least(min(e.src), e.dst) as src, greatest(min(e.src), e.dst) as dst from r a join e on e.src = a.dst join r b on b.src = a.src and b.dst = e.dst and b.hops = a.hops + 1 group by e.dst"
+
+
 def sssp(name: str) -> str:
     return f"""with recursive e as (select src, dst, w from ({duck(name)}) as q0 union all select dst, src, w from ({duck(name)}) as q1),
 d(id, dist) using key (id) as (

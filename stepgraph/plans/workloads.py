@@ -122,29 +122,36 @@ add("msf_supply_thin", lambda s, d: spanning.minimum_spanning_forest(graph(s, d,
 add("msf_supply_forest", lambda s, d: spanning.minimum_spanning_forest(graph(s, d, "supply_forest")), oracles.fold_forest("supply_forest"))
 add("msf_trade", lambda s, d: spanning.minimum_spanning_forest(graph(s, d, "trade")), oracles.fold_forest("trade"))
 add("msf_trade_by_dest", lambda s, d: spanning.minimum_spanning_forest(graph(s, d, "trade"), tie="dest").agg(F.sum("w").alias("total")), f"select sum(w) as total from ({oracles.fold_forest('trade')}) as f")
+add("spanning_forest_bfs_edges", lambda s, d: components.spanning_forest(graph(s, d, "supply_thin"), "bfs"), oracles.breadth_tree("supply_thin"))
+add("msf_embed", lambda s, d: spanning.minimum_spanning_forest(graph(s, d, "embed_knn")), oracles.fold_forest("embed_knn"))
 # Independent sets and matching --------------------------------------------------------------------------------------
 add("color_lexi_trade", lambda s, d: sets.mis_coloring(graph(s, d, "trade"), rule="lexi"), oracles.fold_colours("trade"))
 add("color_lexi_supply_thin", lambda s, d: sets.mis_coloring(graph(s, d, "supply_thin"), rule="lexi"), oracles.fold_colours("supply_thin"))
 
 
-def random_colours(s: SparkSession, d: str) -> DataFrame:
-    g = graph(s, d, "supply_forest")
+add("color_lexi_embed", lambda s, d: sets.mis_coloring(graph(s, d, "embed_knn"), rule="lexi"), oracles.fold_colours("embed_knn"))
+
+
+def random_colours(s: SparkSession, d: str, name: str) -> DataFrame:
+    g = graph(s, d, name)
     c = sets.mis_coloring(g, seed=3)
     return sets.improper_edges(g, c).select(F.col("n").cast("long").alias("improper"))
 
 
-add("color_random_supply_forest", random_colours, "select 0::bigint as improper")
+for name in ("supply_forest", "embed_knn"):
+    add(f"color_random_{name.removesuffix('_knn')}", lambda s, d, name=name: random_colours(s, d, name), "select 0::bigint as improper")
 
 
-def random_mis(s: SparkSession, d: str) -> DataFrame:
-    g = graph(s, d, "supply_thin")
+def random_mis(s: SparkSession, d: str, name: str) -> DataFrame:
+    g = graph(s, d, name)
     m = sets.maximal_independent_set(g, seed=5)
     arcs = g.symmetrized().arcs().join(m.withColumnRenamed("id", "src"), "src").where("in_mis").select(F.col("dst").alias("id")).distinct().withColumn("near", F.lit(True))
     x = m.join(arcs, "id", "left").fillna(False, ["near"])
     return x.agg(F.count_if(F.col("in_mis") & F.col("near")).alias("adjacent"), F.count_if(~F.col("in_mis") & ~F.col("near")).alias("uncovered"))
 
 
-add("mis_random_supply_thin", random_mis, "select 0::bigint as adjacent, 0::bigint as uncovered")
+for name in ("supply_thin", "embed_knn"):
+    add(f"mis_random_{name.removesuffix('_knn')}", lambda s, d, name=name: random_mis(s, d, name), "select 0::bigint as adjacent, 0::bigint as uncovered")
 add("match_weighted_supply_thin", lambda s, d: sets.dominant_edge_matching(graph(s, d, "supply_thin")), oracles.fold_matching("supply_thin"))
 add("match_bipartite_supply_thin", lambda s, d: sets.bipartite_matching(graph(s, d, "supply_thin"), rule="lexi"), oracles.lexi_bipartite("supply_thin", 30))
 
@@ -161,6 +168,9 @@ add("match_bipartite_page_host", random_matching, "select 0::bigint as conflicts
 # Centrality and paths -----------------------------------------------------------------------------------------------
 add("betweenness_user_hop", lambda s, d: centrality.betweenness(graph(s, d, "user_hop")).select("id", F.round("score", 6).alias("score")), oracles.betweenness("user_hop"))
 add("betweenness_sampled_supply_thin", lambda s, d: centrality.betweenness(graph(s, d, "supply_thin"), graph(s, d, "supply_thin").vertices.where("id % 50 = 0")))
+add("betweenness_supply_thin", lambda s, d: centrality.betweenness(graph(s, d, "supply_thin")).select("id", F.round("score", 6).alias("score")), oracles.betweenness("supply_thin"))
+add("betweenness_weighted_trade", lambda s, d: centrality.weighted_betweenness(graph(s, d, "trade")).select("id", F.round("score", 6).alias("score")), oracles.weighted_betweenness("trade"))
+add("sssp_embed", lambda s, d: flood.shortest_paths(graph(s, d, "embed_knn"), _first_id(graph(s, d, "embed_knn"))).select("id", F.round("dist", 6).alias("dist")), oracles.sssp("embed_knn"))
 add("sssp_supply_thin", lambda s, d: flood.shortest_paths(graph(s, d, "supply_thin"), _first_id(graph(s, d, "supply_thin"))).select("id", F.round("dist", 6).alias("dist")), oracles.sssp("supply_thin"))
 add("bfs_supply", lambda s, d: flood.shortest_paths(graph(s, d, "supply"), _first_id(graph(s, d, "supply")), weighted=False).select("id", F.col("dist").cast("int").alias("hops")), oracles.hops("supply", sources="where id = (select min(id) from v)") + "select dst as id, hops from r")
 add("sssp_geo", lambda s, d: flood.shortest_paths(graph(s, d, "geo_tree"), s.range(1), weighted=False).select("id", F.col("dist").cast("long").alias("depth")), f"select id, depth from ({oracles.tree_orders('geo_tree')}) as t")
@@ -194,6 +204,9 @@ for name, method, g, out, sql in (
 
     add(f"baseline_{name}", baseline, sql)
 add("baseline_strong", lambda s, d: seq.run(graph(s, d, "hop_sparse", True), seq.strong).drop("ops"), oracles.scc("hop_sparse"))
+add("baseline_tour", lambda s, d: seq.run(graph(s, d, "geo_tree"), seq.tree_tour).drop("ops"), oracles.TOUR.format(t=duck("geo_tree")))
+add("baseline_breadth_tree", lambda s, d: seq.run(graph(s, d, "supply_thin"), seq.breadth_tree).drop("ops"), oracles.breadth_tree("supply_thin"))
+add("baseline_strong_balls", lambda s, d: seq.run(turns(s, d), seq.strong_balls, q_labels=TALK[0], q_edges=TALK[1], radius=simulation.query_diameter(*TALK)).drop("ops"), oracles.strong_chain("turns", "turn_labels", *TALK, rounds=4))
 add("baseline_bipartite", lambda s, d: seq.run(graph(s, d, "page_host", True), seq.greedy_bipartite).agg(F.count("*").alias("pairs")), f"select count(distinct dst) as pairs from ({duck('page_host')}) as g")
 for dual in (False, True):
     add(f"baseline_{'dual' if dual else 'simulation'}", lambda s, d, dual=dual: seq.run(turns(s, d), seq.counted_simulation, q_labels=TALK[0], q_edges=TALK[1], dual=dual).drop("ops"), oracles.simulation("turns", "turn_labels", *TALK, rounds=4, dual=dual))
@@ -242,6 +255,8 @@ def balance_verdicts(s: SparkSession, d: str) -> DataFrame:
 add("balance_verdicts", balance_verdicts)
 # Harder workloads ---------------------------------------------------------------------------------------------------
 TRI = "with {e} select a.src as x, a.dst as y, b.dst as z from e a join e b on a.dst = b.src join e c on c.src = a.src and c.dst = b.dst where a.src < a.dst and a.dst < b.dst"
+add("knn_edges", lambda s, d: frame(s, d, "embed_knn"), duck("embed_knn"))
+add("triangles_embed", lambda s, d: subgraph.triangles(graph(s, d, "embed_knn")), TRI.format(e=oracles.sym("embed_knn")))
 add("triangles_user_hop", lambda s, d: subgraph.triangles(graph(s, d, "user_hop")), TRI.format(e=oracles.sym("user_hop")))
 add("clustering_user_hop", lambda s, d: subgraph.clustering_coefficient(graph(s, d, "user_hop")).select("id", "triangles", F.round("coefficient", 9).alias("coefficient")), f"with t as ({TRI.format(e=oracles.sym('user_hop'))}), u as (select unnest([x, y, z]) as id from t), n as (select id, count(*) as k from u group by id), dg as (with {oracles.sym('user_hop')} select src as id, count(*) as d from e group by src) select dg.id, coalesce(k, 0) as triangles, round(case when d < 2 then 0.0 else 2.0 * coalesce(k, 0) / (d * (d - 1)) end, 9)::double as coefficient from dg left join n on n.id = dg.id")
 add("motif3_user_hop", lambda s, d: subgraph.motif3(graph(s, d, "user_hop")), f"with t as ({TRI.format(e=oracles.sym('user_hop'))}), k as (with {oracles.sym('user_hop')} select count(*) as d from e group by src) select 'triangle' as motif, (select count(*) from t) as n union all select 'wedge', (sum(d * (d - 1) / 2) - 3 * (select count(*) from t))::bigint from k")
@@ -250,6 +265,17 @@ add("link_scores_user_hop", lambda s, d: subgraph.link_scores(graph(s, d, "user_
 add("communities_user_hop", lambda s, d: subgraph.label_communities(graph(s, d, "user_hop")))
 add("modularity_geo", lambda s, d: subgraph.modularity(graph(s, d, "geo_tree"), graph(s, d, "geo_tree").vertices.select("id", F.lit(0).cast("long").alias("community"))).select(F.round("modularity", 9).alias("modularity")), "select 0.0::double as modularity")
 add("partition_cut_supply_thin", lambda s, d: subgraph.partition_quality(graph(s, d, "supply_thin"), graph(s, d, "supply_thin").vertices.select("id", F.pmod("id", F.lit(4)).alias("part"))).select("cut_edges", "edges"), f"select count(*) filter (where src % 4 <> dst % 4) as cut_edges, count(*) as edges from ({duck('supply_thin')}) as g")
+
+
+def partition_by_labels(s: SparkSession, d: str) -> DataFrame:
+    """Vertices placed, and whether fewer edges are cut than by the random split that it starts from."""
+    g = graph(s, d, "supply_thin")
+    first, last = (subgraph.label_partition(g, 4, rounds=n) for n in (0, 8))
+    cut = [subgraph.partition_quality(g, p).select(F.col("cut_edges").alias(k)) for p, k in ((first, "a"), (last, "b"))]
+    return last.agg(F.count_distinct("id").alias("vertices")).crossJoin(cut[0]).crossJoin(cut[1]).select("vertices", (F.col("b") < F.col("a")).alias("fewer"))
+
+
+add("label_partition_supply_thin", partition_by_labels, f"with {oracles.sym('supply_thin')} select count(*) as vertices, true as fewer from v")
 add("spectral_supply_forest", lambda s, d: subgraph.spectral_coords(graph(s, d, "user_hop"), 8))
 
 

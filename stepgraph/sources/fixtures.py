@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from ..model import Graph
+from ..operators.neighbours import knn_edges
 
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
 
@@ -34,6 +36,8 @@ SQL = {
     "turns": "select src, dst from (select conv_id * 1000 + turn as src, lead(conv_id * 1000 + turn) over (partition by conv_id order by turn) as dst from {conversations}) as t where dst is not null",
     "turn_labels": "select conv_id * 1000 + turn as id, role as label from {conversations}",
     "entity_chain": "select distinct o_custkey + 10000000000 as src, o_orderkey + 20000000000 as dst from {orders} join {lineitem} on l_orderkey = o_orderkey where l_quantity >= 46 union select distinct l_orderkey + 20000000000, l_partkey + 30000000000 from {lineitem} where l_quantity >= 46",
+    # for DuckDB; Spark has knn_edges for it
+    "embed_knn": "select src, dst, min(w) as w from (select least(q, c) as src, greatest(q, c) as dst, round(1 - cosine, 9) as w from (select q, c, cosine, row_number() over (partition by q order by cosine desc, c) as nth from (select a.vec_id as q, b.vec_id as c, round(list_cosine_similarity(a.embedding::double[], b.embedding::double[]), 9) as cosine from {embeddings} as a join {embeddings} as b on a.vec_id <> b.vec_id) as p) as r where nth <= 5) as n group by src, dst",
     "entity_labels": "select c_custkey + 10000000000 as id, c_mktsegment as label from {customer} union all select o_orderkey + 20000000000, o_orderpriority from {orders} union all select p_partkey + 30000000000, p_type from {part}",
 }
 
@@ -49,6 +53,8 @@ def duck(name: str) -> str:
 
 
 def frame(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    if name == "embed_knn":
+        return knn_edges(spark.read.parquet(f"{sf_dir}/embeddings.parquet").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec")))
     text = SQL[name].replace("{explode}", "explode").replace("{lines}", "split(text, '\\n')")
     return spark.sql(text, **{t: spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in TABLES if "{" + t + "}" in text})
 
