@@ -26,7 +26,7 @@ class Rounds:
 
     def __init__(self, spark: SparkSession, ledger=None, max_steps: int = 10_000):
         self.spark, self.ledger, self.max_steps, self.step = spark, ledger, max_steps, 0
-        self.root, self.n, self.paths = f"{shared_folder(spark)}/r-{uuid.uuid4().hex}", 0, {}
+        self.root, self.n, self.paths, self.tables = f"{shared_folder(spark)}/r-{uuid.uuid4().hex}", 0, {}, []
         atexit.register(self._end)
 
     def cut(self, df: DataFrame, old: DataFrame | None = None, **counters: Column) -> tuple[DataFrame, dict]:
@@ -45,6 +45,15 @@ class Rounds:
             self._delete(self.paths.pop(id(old))[0])
         return out, got
 
+    def keyed(self, df: DataFrame, key: str) -> DataFrame:
+        """The written form of df, in as many buckets of ``key`` as a shuffle has partitions: it moves once, here, and rounds that
+        join it on ``key`` move their state only."""
+        buckets = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        path, self.n, name = f"{self.root}/{self.n}", self.n + 1, f"keyed_{uuid.uuid4().hex}"
+        df.repartition(buckets, key).write.bucketBy(buckets, key).sortBy(key).option("path", path).saveAsTable(name)
+        self.tables.append(name)
+        return self.spark.table(name)
+
     def next(self) -> int:
         self.step += 1
         if self.step > self.max_steps:
@@ -57,6 +66,8 @@ class Rounds:
 
     def _end(self) -> None:
         try:
+            for name in self.tables:
+                self.spark.sql(f"drop table if exists {name}")
             self._delete(self.root)
         except Exception:  # noqa: BLE001  the session may be gone by then
             pass

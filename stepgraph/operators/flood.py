@@ -75,7 +75,7 @@ def neighbourhood_sketch(g: Graph, steps: int, lg: int = 12) -> DataFrame:
 def min_label(g: Graph, ledger: Ledger | None = None, arcs: DataFrame | None = None) -> DataFrame:
     """(id, component): the least id of each component, by flooding improvements only."""
     rounds = Rounds(g.spark, ledger)
-    arcs, _ = rounds.cut((g.symmetrized().arcs() if arcs is None else arcs).select("src", "dst"))
+    arcs = rounds.keyed((g.symmetrized().arcs() if arcs is None else arcs).select("src", "dst"), "src")
     degrees = g.degrees() if ledger else None
     near = arcs.groupBy(F.col("dst").alias("id")).agg(F.min("src").alias("m"))
     state, _ = rounds.cut(g.vertices.select("id").join(near, "id", "left").select("id", F.least("id", "m").alias("component"), F.lit(True).alias("changed")))
@@ -101,7 +101,7 @@ def shortest_paths(g: Graph, sources: DataFrame, weighted: bool = True, max_dist
     arcs = g.arcs().select("src", "dst", w.cast("double").alias("w"))
     if weighted and g.weight and arcs.where("w < 0").limit(1).count():
         raise ValueError("negative weights")
-    arcs, _ = rounds.cut(arcs)
+    arcs = rounds.keyed(arcs, "src")
     degrees = g.degrees() if ledger else None
     state, _ = rounds.cut(sources.select(F.col("id").alias("source"), "id", F.lit(0.0).alias("dist"), F.lit(None).cast("long").alias("parent"), F.lit(True).alias("changed")))
     while True:

@@ -11,16 +11,17 @@ from ..model import Graph
 
 
 def pagerank(g: Graph, alpha: float = 0.85, iters: int = 30, tol: float | None = None, dangling: str = "leak", ledger: Ledger | None = None) -> DataFrame:
-    """(id, rank). ``alpha`` weighs what comes over links. A vertex without out-links keeps its rank to itself ("leak") or
-    spreads it over all ("spread"). ``tol``: stop once ranks change by less in sum, in at most ``iters`` rounds."""
+    """(id, rank). ``alpha`` weighs what comes over links. What a vertex without out-links has is lost ("leak") or
+    spread over all ("spread"). ``tol``: stop once ranks change by less in sum, in at most ``iters`` rounds."""
     rounds = Rounds(g.spark, ledger)
     e = g.simple().arcs().select("src", "dst")
     out = e.groupBy("src").agg(F.count("*").alias("deg"))
-    arcs, _ = rounds.cut(e.join(out, "src"))
+    arcs = rounds.keyed(e.join(out, "src"), "src")
     n = g.vertices.count()
     degrees = g.degrees() if ledger else None
     base = g.vertices.select("id").join(out.withColumnRenamed("src", "id"), "id", "left")
     state, _ = rounds.cut(base.select("id", F.lit(1.0 / n if n else 0.0).alias("rank"), "deg"))
+    kept = state
     for k in range(iters):
         mail = arcs.join(state.select(F.col("id").alias("src"), "rank"), "src")
         if ledger:
@@ -28,8 +29,8 @@ def pagerank(g: Graph, alpha: float = 0.85, iters: int = 30, tol: float | None =
         got = mail.groupBy(F.col("dst").alias("id")).agg(F.sum(F.col("rank") / F.col("deg")).alias("s"))
         lost = state.where("deg is null").agg(F.sum("rank")).first()[0] or 0.0 if dangling == "spread" else 0.0
         new = state.join(got, "id", "left").select("id", (F.lit((1 - alpha) / n) + alpha * (F.coalesce("s", F.lit(0.0)) + lost / n)).alias("rank"), "deg", F.col("rank").alias("old"))
-        new, seen = rounds.cut(new, None, delta=F.sum(F.abs(F.col("rank") - F.col("old"))))
-        state = new.drop("old")
+        new, seen = rounds.cut(new, kept, delta=F.sum(F.abs(F.col("rank") - F.col("old"))))
+        kept, state = new, new.drop("old")
         rounds.next()
         if tol is not None and seen["delta"] < tol:
             break

@@ -3,6 +3,7 @@ from itertools import combinations, permutations
 import numpy as np
 import pytest
 
+from stepgraph.engine import Rounds
 from stepgraph.model import Graph
 from stepgraph.operators import centrality, neighbours, subgraph
 
@@ -56,3 +57,17 @@ def test_two_cliques_are_cut_less_than_by_the_random_split(spark):
     assert {r.id for r in last.collect()} == {*range(12), *range(20, 32)}
     cut = [subgraph.partition_quality(g, p).first().cut_edges for p in (first, last)]
     assert cut[1] <= cut[0]
+
+
+def test_keyed_arcs_do_not_move_again(spark):
+    arcs = Rounds(spark).keyed(spark.range(500).selectExpr("id % 50 as src", "id as dst"), "src")
+    state = spark.range(50).withColumnRenamed("id", "src").repartition(3)
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        joined = state.join(arcs, "src")
+        plan = joined._jdf.queryExecution().executedPlan().toString()
+        assert plan.count("Exchange hashpartitioning") == 1
+        assert joined.count() == 500
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
