@@ -189,6 +189,12 @@ def test_mix(spark, odd, none):
     assert mixing.mix(none, "doc_id", "source", mixing.n_words(F.col("text")), (1.0,)).count() == 0
 
 
+def test_whole_texts_go_to_the_tokenizer(monkeypatch):
+    enc, calls = packing.Encoder(*queries.tokenizer_files()), []
+    monkeypatch.setattr(enc, "fast", type("Fast", (), {"encode_ordinary": lambda self, text: calls.append(text) or [7]})())
+    assert enc.ids("several rare words") == b"\7\0\0\0" and calls == ["several rare words"]
+
+
 def test_packing_round_trip(spark, odd, none):
     from tokenizers import Tokenizer
 
