@@ -187,11 +187,13 @@ def _through_hubs(entries: DataFrame, links: _Links, few: int) -> DataFrame:
     light = _light(percent)
     for turn in range(STAR_ROUNDS + 1):
         at = links.label(entries.drop("component"))
+        if links.comps is not None:  # read twice below, joined once
+            at = scratch.keep(at)
         open_ = at.groupBy("sig").agg(F.min("component").alias("_x"), F.max("component").alias("_y"), F.count("*").alias("_n"), F.sum(light.cast("long")).alias("_light"))
         open_ = scratch.keep(open_.where("_x <> _y and _light > 0").select("sig", "_n", "_light"))
         left, groups = open_.agg(F.coalesce(F.sum(F.col("_n") * F.col("_light")), F.lit(0)), F.count("*")).first()
         old, entries = entries, scratch.keep(at.join(broadcast_small(open_.select("sig"), groups), "sig", "left_semi"))
-        for table in (old, open_):
+        for table in (old, at, open_):
             scratch.drop(table)
         if left <= few or turn == STAR_ROUNDS:
             break

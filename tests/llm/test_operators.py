@@ -189,6 +189,23 @@ def test_mix(spark, odd, none):
     assert mixing.mix(none, "doc_id", "source", mixing.n_words(F.col("text")), (1.0,)).count() == 0
 
 
+def test_mixed_rows_leave_texts_in_place(spark):
+    """However large the table: what the last pass takes of a row is known by its source's end."""
+    rows = [(k % 7 if k % 3 else None, " ".join(f"w{i}" for i in range(k % 5 + 2)), "xyz"[k % 3]) for k in range(120)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(4)
+    plan = mixing.mix(df, "doc_id", "source", mixing.n_words(F.col("text")), (5.0, 2.0, 1.0))
+    want = {r.source: r.n for r in plan.groupBy("source").agg(F.sum("taken").alias("n")).collect()}
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        unique = df.withColumn("doc_id", F.monotonically_increasing_id())
+        steps = mixing.mixed_rows(unique, "doc_id", "text", "source", (5.0, 2.0, 1.0))._jdf.queryExecution().executedPlan().toString()
+        got = mixing.mixed_rows(df, "doc_id", "text", "source", (5.0, 2.0, 1.0))
+        assert "SortMergeJoin" not in steps
+        assert {r.source: r.n for r in got.groupBy("source").agg(F.sum(mixing.n_words(F.col("text"))).alias("n")).collect()} == want
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
 def test_whole_texts_go_to_the_tokenizer(monkeypatch):
     enc, calls = packing.Encoder(*queries.tokenizer_files()), []
     monkeypatch.setattr(enc, "fast", type("Fast", (), {"encode_ordinary": lambda self, text: calls.append(text) or [7]})())
@@ -253,6 +270,32 @@ def test_join_against_brute_force(spark, none, monkeypatch, broadcast):
     assert ngram_join.near_duplicates(none).count() == 0
 
 
+def test_entries_of_large_groups_are_labelled_once_a_round(spark, monkeypatch):
+    monkeypatch.setattr(ngram_join, "BIG", 6)
+    rnd, made, wanted = random.Random(3), spark.sparkContext.accumulator(0), []
+    label = ngram_join._Links.label
+
+    def counted(self, entries):
+        out = label(self, entries)
+        if self.comps is None:
+            return out
+        wanted.append(entries.count())
+        made_ = made
+
+        def seen(batches):
+            for b in batches:
+                made_.add(b.num_rows)
+                yield b
+
+        return out.mapInArrow(seen, out.schema)
+
+    monkeypatch.setattr(ngram_join._Links, "label", counted)
+    passage = [f"p{i}" for i in range(80)]
+    docs = [(i, " ".join([*passage, *(rnd.choice("abcdefgh") * 3 for _ in range(rnd.choice([2, 4, 20])))])) for i in range(80)]
+    assert ngram_join.near_duplicates(spark.createDataFrame(docs, "doc_id long, text string")).count() == 80
+    assert wanted and made.value == sum(wanted)
+
+
 def test_join_of_null_and_shared_ids(spark):
     t, u, v = (" ".join(f"{x}{i}" for i in range(60)) for x in "tuv")
     near = lambda text, k: f"{text} more{k}"  # noqa: E731  linked with the text
