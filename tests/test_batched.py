@@ -14,16 +14,38 @@ def rows(df, *cols):
 
 
 @pytest.mark.parametrize("directed", [False, True])
-def test_floods_in_tasks_equal_rounds(spark, monkeypatch, directed):
-    g = gen.random_graph(spark, 9, 9, 5)
-    g = Graph(g.vertices, g.edges.where("src <> dst").distinct(), directed)
-    part, led, want_led = g.vertices.where("id % 3 = 0"), Ledger("x"), Ledger("x")
-    got = [rows(flood.all_pairs_hops(g, part, ledger=led), "src", "dst", "hops"), rows(flood.diameter(g, by_component=True), "component", "diameter")]
-    scores = {r.id: r.score for r in centrality.betweenness(g).collect()}
+def test_floods_in_tasks_equal_a_queue(spark, directed):
+    g = gen.random_graph(spark, 90, 80, 5)
+    g = Graph(g.vertices, g.edges.where("src <> dst").distinct().cache(), directed)
+    near = {}
+    for u, v in g.simple().arcs().select("src", "dst").collect():
+        near.setdefault(u, []).append(v)
+    want = []
+    for s in range(90):
+        dist, todo = {s: 0}, [s]
+        for u in todo:
+            for v in near.get(u, ()):
+                if v not in dist:
+                    dist[v] = dist[u] + 1
+                    todo.append(v)
+        want += [(s, v, d) for v, d in dist.items()]
+    assert rows(flood.all_pairs_hops(g), "src", "dst", "hops") == sorted(want)
+    part = g.vertices.where("id % 3 = 0")
+    assert rows(flood.all_pairs_hops(g, part, max_hops=2), "src", "dst", "hops") == sorted(x for x in want if x[0] % 3 == 0 and x[2] <= 2)
+    ecc = {s: max(d for x, _, d in want if x == s) for s in range(90)}
+    assert rows(flood.eccentricity(g), "id", "ecc") == sorted(ecc.items())
+    least, far = {s: min(v for x, v, _ in want if x == s) for s in range(90)}, {}
+    for s, d in ecc.items():
+        far[least[s]] = max(far.get(least[s], 0), d)
+    assert rows(flood.diameter(g, by_component=True), "component", "diameter") == sorted(far.items())
+
+
+def test_costs_of_a_flood_in_tasks_equal_those_of_rounds(spark, monkeypatch):
+    led, want = Ledger("x"), Ledger("x")
+    flood.all_pairs_hops(gen.star(spark, 5), ledger=led)
     monkeypatch.setattr(batched, "ARCS", 0)
-    assert got == [rows(flood.all_pairs_hops(g, part, ledger=want_led), "src", "dst", "hops"), rows(flood.diameter(g, by_component=True), "component", "diameter")]
-    assert scores == pytest.approx({r.id: r.score for r in centrality.betweenness(g).collect()})
-    assert sorted(led.steps) == sorted(want_led.steps) and [x[:2] for x in led.stored] == [x[:2] for x in want_led.stored] and led.combined == want_led.combined
+    flood.all_pairs_hops(gen.star(spark, 5), ledger=want)
+    assert sorted(led.steps) == sorted(want.steps) and [x[:2] for x in led.stored] == [x[:2] for x in want.stored] and led.combined == want.combined
 
 
 def test_pairs_of_a_graph_that_fits_a_worker_are_not_capped(spark):
