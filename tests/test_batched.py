@@ -79,3 +79,54 @@ def test_worked_tours_read_a_given_table(spark):
 
     tour = workloads.queries()["euler_tour_worked"](spark, "/root/testdata/sf0.001")
     assert tour.inputFiles() and tour.count() == 2 * spark.read.parquet("/root/testdata/sf0.001/orders.parquet").count()
+
+
+def owed(g, sources):
+    """What shortest paths from the sources owe to each vertex, by a queue."""
+    near, score = {}, {r.id: 0.0 for r in g.vertices.collect()}
+    for u, v in g.simple().arcs().select("src", "dst").collect():
+        near.setdefault(u, []).append(v)
+    for s in sources:
+        dist, sigma, todo = {s: 0}, {s: 1.0}, [s]
+        for u in todo:
+            for v in near.get(u, ()):
+                if v not in dist:
+                    dist[v] = dist[u] + 1
+                    todo.append(v)
+                if dist[v] == dist[u] + 1:
+                    sigma[v] = sigma.get(v, 0.0) + sigma[u]
+        delta = dict.fromkeys(todo, 0.0)
+        for u in reversed(todo):
+            delta[u] = sum(sigma[u] / sigma[v] * (1 + delta[v]) for v in near.get(u, ()) if dist[v] == dist[u] + 1)
+            score[u] += delta[u] if u != s else 0.0
+    return score
+
+
+@pytest.mark.parametrize("directed", [False, True])
+@pytest.mark.parametrize("room", [1, 100])
+def test_betweenness_folds_hanging_trees_and_equals_a_queue(spark, monkeypatch, directed, room):
+    from stepgraph.operators import waves
+
+    monkeypatch.setattr(waves, "ROOM", room)
+    g = gen.random_graph(spark, 60, 50, 4)
+    g = Graph(g.vertices, g.edges.where("src <> dst").distinct().cache(), directed)
+    some = batched.fold(batched.hold(g), directed)
+    assert (len(some.ids) < 60) != directed
+    waved = waves.Waves(some.start, some.near, some.low, some.high)
+    total = dict(zip(some.whole.tolist(), some.base.tolist(), strict=True))
+    sums = some.reach * 0
+    for group in waved.groups(some.sources):
+        waved.dependencies(group, some.reach, some.times, sums)
+    for k, x in zip(some.ids.tolist(), sums.tolist(), strict=True):
+        total[k] += x
+    assert total == pytest.approx(owed(g, range(60)))
+    half = 1.0 if directed else 0.5
+    assert {r.id: r.score for r in centrality.betweenness(g).collect()} == pytest.approx({k: x * half for k, x in owed(g, range(60)).items()})
+    part = g.vertices.where("id % 3 = 0")
+    assert {r.id: r.score for r in centrality.betweenness(g, part).collect()} == pytest.approx({k: x * half * 3 for k, x in owed(g, range(0, 60, 3)).items()})
+
+
+def test_a_tree_needs_no_flood_for_betweenness(spark):
+    g = gen.star(spark, 9)
+    assert not len(batched.fold(batched.hold(g)).sources)
+    assert sorted(r.score for r in centrality.betweenness(g).collect()) == [0.0] * 8 + [28.0]
