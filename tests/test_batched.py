@@ -1,6 +1,7 @@
 """Floods inside tasks against floods by rounds, and the costs that are told of them."""
 
 import pytest
+from pyspark.sql import functions as F
 
 from stepgraph.baselines import sequential as seq
 from stepgraph.cost import Ledger
@@ -130,3 +131,16 @@ def test_a_tree_needs_no_flood_for_betweenness(spark):
     g = gen.star(spark, 9)
     assert not len(batched.fold(batched.hold(g)).sources)
     assert sorted(r.score for r in centrality.betweenness(g).collect()) == [0.0] * 8 + [28.0]
+
+
+@pytest.mark.parametrize("directed", [False, True])
+def test_shares_of_a_baseline_are_tasks_of_their_own(spark, directed):
+    g = gen.random_graph(spark, 64, 60, 7)
+    g = Graph(g.vertices, g.edges.where("src <> dst").distinct().cache(), directed)
+    got = seq.run(g, seq.hops).withColumn("task", F.spark_partition_id())
+    assert rows(got, "src", "dst", "hops") == rows(flood.all_pairs_hops(g), "src", "dst", "hops")
+    assert got.select("task").distinct().count() == seq.SHARES
+    assert {r.id: r.score for r in seq.run(g, seq.dependency_accumulation).collect()} == pytest.approx({k: x / 2 for k, x in owed(g, range(64)).items()})
+    arcs = {r.src: r.n for r in g.simple().arcs().groupBy("src").agg(F.count("*").alias("n")).collect()}
+    ops = got.count() + sum(arcs.get(r.dst, 0) for r in got.collect())
+    assert seq.operations(g, seq.hops) == seq.operations(g, seq.dependency_accumulation) == ops
