@@ -144,3 +144,12 @@ def test_shares_of_a_baseline_are_tasks_of_their_own(spark, directed):
     arcs = {r.src: r.n for r in g.simple().arcs().groupBy("src").agg(F.count("*").alias("n")).collect()}
     ops = got.count() + sum(arcs.get(r.dst, 0) for r in got.collect())
     assert seq.operations(g, seq.hops) == seq.operations(g, seq.dependency_accumulation) == ops
+
+
+def test_costs_of_ranking_are_told_of_whole_runs(spark):
+    from stepgraph.plans import workloads
+
+    g = gen.star(spark, 9)
+    led = workloads.ledger_of("pagerank", g)
+    assert led.rounds == 30 and led.messages == 30 * 16
+    assert seq.operations(g, seq.power_iteration, iters=30) == 30 * (9 + 16)
