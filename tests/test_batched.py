@@ -153,3 +153,12 @@ def test_costs_of_ranking_are_told_of_whole_runs(spark):
     led = workloads.ledger_of("pagerank", g)
     assert led.rounds == 30 and led.messages == 30 * 16
     assert seq.operations(g, seq.power_iteration, iters=30) == 30 * (9 + 16)
+
+
+def test_costs_of_all_hops_are_told_in_one_pass(spark, monkeypatch):
+    calls, record = [], Ledger.record_all
+    monkeypatch.setattr(Ledger, "record_all", lambda self, sends, steps, *a, **k: calls.append(steps) or record(self, sends, steps, *a, **k))
+    led = Ledger("x")
+    flood.all_pairs_hops(gen.path(spark, 5), ledger=led)
+    assert calls == [[0, 1, 2, 3, 4]] and led.messages == 5 * 8 and led.rounds == 5
+    assert led.stored[0][1] == 1.0 and led.stored[-1][1] == 3.0  # an end keeps five ids and has one edge
